@@ -1,0 +1,28 @@
+"""Connected components over edges of longs, by least labels and pointer jumps."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .common import materialize
+
+
+def connected(edges: DataFrame, name: str = "components") -> DataFrame:
+    """(node, label) for every node of ``edges`` (a, b); the label is the component's smallest node.
+
+    Every round is a table in the shared folder, so lineage stays short and a
+    lost executor costs one round at most. Only aggregates cross the network;
+    no node's neighbours are gathered.
+    """
+    both = materialize(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).filter("a <> b").distinct(), f"{name}-edges")
+    labels = materialize(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("a")).alias("label")), name)
+    while True:
+        heard = both.join(labels.select(F.col("node").alias("b"), F.col("label").alias("told")), "b").groupBy("a").agg(F.min("told").alias("told"))
+        low = labels.join(heard, F.col("node") == F.col("a")).select("node", "label", F.least("label", "told").alias("low"))
+        above = labels.select(F.col("node").alias("at"), F.col("label").alias("higher"))
+        stepped = low.join(above, F.col("low") == F.col("at")).select("node", F.least("low", "higher").alias("label"), (F.least("low", "higher") < F.col("label")).alias("moved"))
+        stepped = materialize(stepped, name)
+        labels = stepped.select("node", "label")
+        if stepped.filter("moved").isEmpty():
+            return labels
