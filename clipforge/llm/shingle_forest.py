@@ -1,8 +1,8 @@
 """N-gram Jaccard join by a MinHash LSH forest with exact verification.
 
 Texts are lower-cased and cut at white space; every run of five words is a
-shingle (a text of fewer words is one shingle, a text without words has none and
-links to nothing). Each of ``TREES`` trees orders the distinct texts by a path of
+shingle (a text of fewer words is one shingle; a text without words has none and
+links to copies of itself only). Each of ``TREES`` trees orders the distinct texts by a path of
 MinHash values; texts under one prefix of a path are candidates. The prefix is
 shortened from ``LONGEST`` values until a pair at the threshold is met in some
 tree with probability ``RECALL`` (prefix_length).
