@@ -14,7 +14,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from clipforge.llm import common, source_mix, token_codes, toxicity
+from clipforge.llm import common, leak_windows, shingle_forest, source_mix, token_codes, toxicity
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -22,6 +22,14 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return toxicity.filter_toxic(docs, model)
 
 
+def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return shingle_forest.keep_one(docs)
+
+
+def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return leak_windows.drop_leaks(docs, common.table(spark, sf_dir, "benchmark"))
+
+
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return source_mix.mix_documents(docs)
 
@@ -30,7 +38,7 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return token_codes.token_codes(docs)
 
 
-STAGES = [("toxicity", drop_toxic), ("mix", mix), ("codes", encode)]
+STAGES = [("toxicity", drop_toxic), ("near_duplicates", drop_copies), ("decontamination", drop_leaks), ("mix", mix), ("token_codes", encode)]
 
 #: SQL cannot express the classifier or the tokenizer; tests hold the stages against brute force.
 ORACLE_SQL = None
