@@ -85,3 +85,28 @@ def train_once(sample: DataFrame, fit, name: str) -> bytes:
     order: list[int] = []
     rows = sample.select("doc_id", "y", "text").coalesce(1).mapInPandas(run, "model binary").collect()
     return bytes(rows[0]["model"]) if rows else fit([], [])
+
+
+FILTER_BITS = 1 << 26
+
+
+def marked_likely(rows: DataFrame, key: Column, members: DataFrame, member: Column, name: str, bits: int = FILTER_BITS) -> DataFrame:
+    """Adds ``name``: whether the hash ``key`` may be among ``members``; true for all that are, and a few more.
+
+    The members' hashes set bits of one bitmap of ``bits`` bits, kept as rows of
+    4 KB. It is broadcast whole: 8 MB at most, however many members there are, so
+    a join that follows moves little besides what it keeps.
+    """
+    place = lambda c: F.pmod(c, F.lit(bits))
+    page = 1 << 15
+    put = members.select(place(member).alias("p_"))
+    pages = put.groupBy(F.floor(F.col("p_") / page).cast("int").alias("page_")).agg(F.bitmap_construct_agg(F.col("p_") % page).alias("bits_"))
+    at = rows.withColumn("p_", place(key)).withColumn("page_", F.floor(F.col("p_") / page).cast("int"))
+    byte = F.conv(F.hex(F.substring(F.col("bits_"), (F.floor((F.col("p_") % page) / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("int")
+    hit = F.coalesce(F.expr("shiftright(b_, cast(p_ % 8 as int)) & 1") == 1, F.lit(False))
+    return at.join(F.broadcast(pages), "page_", "left").withColumn("b_", byte).withColumn(name, hit).select(*rows.columns, name)
+
+
+def only_likely(rows: DataFrame, key: Column, members: DataFrame, member: Column) -> DataFrame:
+    """The rows that ``marked_likely`` marks."""
+    return marked_likely(rows, key, members, member, "likely_").filter("likely_").drop("likely_")

@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, table
+from .common import marked_likely, materialize, table
 
 MIN_SITES = 10
 LG_K = 12
@@ -54,9 +54,13 @@ def clean_documents(docs: DataFrame, site: Column, min_sites: int = MIN_SITES) -
     lines = _lines(sited)
     # equal texts lose the same lines, so one list of places serves all rows of a text
     places = lines.join(boilerplate(sited, min_sites), ["h1", "h2"], "left_semi").groupBy("t1", "t2").agg(F.collect_set("pos").alias("gone_"))
+    places = materialize(places, "boilerplate-places")
     text = F.coalesce(F.col("text"), F.lit(""))
     keyed = docs.withColumns({"k1_": F.xxhash64(text), "k2_": F.xxhash64(F.lit(17), text)})
-    joined = keyed.join(places, (F.col("k1_") == F.col("t1")) & (F.col("k2_") == F.col("t2")), "left").drop("t1", "t2", "k1_", "k2_")
+    # only texts that may lose a line meet the list; the others stay where they are
+    marked = marked_likely(keyed, F.col("k1_"), places, F.col("t1"), "likely_")
+    met = marked.filter("likely_").join(places, (F.col("k1_") == F.col("t1")) & (F.col("k2_") == F.col("t2")), "left").drop("t1", "t2")
+    joined = met.unionByName(marked.filter("not likely_").withColumn("gone_", F.lit(None).cast("array<int>"))).drop("k1_", "k2_", "likely_")
     cut = F.split(text, "\n", -1)
     gone = F.coalesce(F.col("gone_"), F.array().cast("array<int>"))
     clean = F.when(F.size(gone) == 0, text).otherwise(F.array_join(F.filter(cut, lambda _, i: ~F.array_contains(gone, i)), "\n"))
