@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-FAMILIES: list[str] = ["media", "buckets", "scenes", "quality", "dedup", "flow", "planner", "kernels", "inpainting", "surface"]
+FAMILIES: list[str] = ["media", "buckets", "scenes", "quality", "dedup", "flow", "planner", "kernels", "inpainting", "surface", "streams"]
 
 
 def load() -> tuple[dict, dict]:
