@@ -67,7 +67,7 @@ def test_restart_repeats_nothing(spark, replay, tmp_path):
 
 def test_late_rows_are_dropped(spark, tmp_path):
     folder = str(tmp_path / "late")
-    for k, rows_ in enumerate(([(1, "2024-01-01 00:00:00"), (2, "2024-01-03 00:00:00")], [(3, "2024-01-01 00:10:00"), (4, "2024-01-03 01:00:00")])):
+    for k, rows_ in enumerate(([(1, "2024-01-01 00:00:00"), (2, "2024-01-03 00:00:00")], [(4, "2024-01-03 01:00:00")], [(3, "2024-01-01 00:10:00")])):
         df = spark.createDataFrame(rows_, "event_id bigint, t string").select("event_id", F.col("t").cast("timestamp_ntz").alias("ts"), F.lit(1).cast("bigint").alias("user_id"), F.lit("view").alias("event_type"), F.lit(1.0).alias("value"), F.lit("{}").alias("props"))
         df.coalesce(1).write.mode("append").parquet(folder)
         time.sleep(1.2)  # files are taken in the order of their times
