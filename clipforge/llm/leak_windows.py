@@ -217,14 +217,19 @@ def drop_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The rows of ``docs`` that hold no item, with their own columns."""
     kept = docs
     for block in item_blocks(benchmark):
-        def clean(texts: pd.Series, block=block) -> pd.Series:
-            hit = {t for t, *_ in _index(block).scan(texts.tolist())}
-            return pd.Series([k not in hit for k in range(len(texts))], dtype=bool)
-
-        kept = kept.filter(F.pandas_udf(clean, "boolean")(F.coalesce(F.col("text"), F.lit(""))))
+        kept = kept.filter(_clean_of(block)(F.coalesce(F.col("text"), F.lit(""))))
     return kept
 
 
+def _clean_of(block: list):
+    @F.pandas_udf("boolean")
+    def clean(texts: pd.Series) -> pd.Series:
+        hit = {t for t, *_ in _index(block).scan(texts.tolist())}
+        return pd.Series([k not in hit for k in range(len(texts))], dtype=bool)
+
+    return clean
+
+
 _HELD: dict = {}
 
 
