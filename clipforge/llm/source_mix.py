@@ -6,10 +6,10 @@ first time free and each further time dearer, so costs are convex. A flow from
 patterns to source quotas says how many tokens each (pattern, source) pair
 gives, and seeded documents fill that number.
 
-A pattern of one source has only one way to go, so its flow is settled in
-closed form and never leaves the cluster. Only patterns of several sources and
-the sources they touch go to the solver on the driver; more than
-``max_patterns`` of them raise an error instead of being cut.
+A pattern of one source has only one way to go, so its flow is settled in closed
+form; only patterns of several sources and the sources they touch go to the
+solver. What comes to the driver is one row of sums for each pattern, never a
+document; more than ``max_patterns`` of them raise an error, none is cut.
 
 Null texts and texts of white space have size 0 and are taken 0 times. Null
 sources form a source of their own, last in order. Rows that repeat are each
@@ -119,7 +119,7 @@ def _fill(pdf: pd.DataFrame) -> pd.DataFrame:
     return pdf.assign(extra=takes)[["row", "extra"]]
 
 
-def plan_mix(docs: DataFrame, sources: Column, cycle=(1, 2, 3), max_repeats: int = 3, seed: int = SEED, bin_rows: int = 5000, max_patterns: int = 20_000) -> tuple[DataFrame, DataFrame]:
+def plan_mix(docs: DataFrame, sources: Column, cycle=(1, 2, 3), max_repeats: int = 3, seed: int = SEED, bin_rows: int = 5000, max_patterns: int = 200_000) -> tuple[DataFrame, DataFrame]:
     """(documents with ``row``, ``size``, ``pattern``, ``copies``; sources with their size and target).
 
     ``sources`` is an array of source names. A document's copies are the whole
