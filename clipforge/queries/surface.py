@@ -75,7 +75,10 @@ def outer(s, d):
     return a.join(b, a.c_nationkey == b.s_nationkey, "full").select(F.coalesce("c_nationkey", "s_nationkey").alias("nation"), F.coalesce("customers", F.lit(0)).alias("customers"), F.coalesce("suppliers", F.lit(0)).alias("suppliers"))
 
 
-w_cust = W.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
+def by_price():
+    return W.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
+
+
 dec = lambda c: F.col(c).cast("decimal(18,2)")
 QUERIES = {
     "scan_parquet_pruned": lambda s, d: ORD(s, d).filter("o_totalprice > 100000").agg(F.count("*").alias("n"), F.sum("o_orderkey").cast("bigint").alias("keys")),
@@ -97,8 +100,8 @@ QUERIES = {
     "agg_pivot": lambda s, d: EV(s, d).groupBy((F.col("user_id") % 10).alias("k")).pivot("event_type", ["click", "error", "purchase", "signup", "view"]).agg(F.count("event_id")).na.fill(0),
     "agg_percentile": lambda s, d: EV(s, d).groupBy("event_type").agg(rnd(F.percentile("value", F.lit(0.5))).alias("median"), F.min_by("event_id", F.struct("value", "event_id")).alias("least"), F.count_if(F.col("value") > 100).alias("large")),
     "agg_approx": lambda s, d: EV(s, d).groupBy("event_type").agg(F.approx_count_distinct("user_id").alias("users"), F.approx_percentile("value", F.lit(0.5)).alias("median"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("hll_users")),
-    "win_ranking": lambda s, d: ORD(s, d).filter("o_custkey <= 300").select("o_orderkey", F.row_number().over(w_cust).alias("rn"), F.rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("rk"), F.dense_rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("dr"), F.ntile(4).over(w_cust).alias("nt"), rnd(F.percent_rank().over(w_cust)).alias("pr"), rnd(F.cume_dist().over(w_cust)).alias("cd")),
-    "win_analytic": lambda s, d: ORD(s, d).filter("o_custkey <= 300").select("o_orderkey", F.lag("o_orderkey").over(w_cust).alias("before"), F.lead("o_orderkey", 2).over(w_cust).alias("after2"), F.first("o_orderkey").over(w_cust).alias("first"), F.nth_value("o_orderkey", 2).over(w_cust.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("second")),
+    "win_ranking": lambda s, d: ORD(s, d).filter("o_custkey <= 300").select("o_orderkey", F.row_number().over(by_price()).alias("rn"), F.rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("rk"), F.dense_rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("dr"), F.ntile(4).over(by_price()).alias("nt"), rnd(F.percent_rank().over(by_price())).alias("pr"), rnd(F.cume_dist().over(by_price())).alias("cd")),
+    "win_analytic": lambda s, d: ORD(s, d).filter("o_custkey <= 300").select("o_orderkey", F.lag("o_orderkey").over(by_price()).alias("before"), F.lead("o_orderkey", 2).over(by_price()).alias("after2"), F.first("o_orderkey").over(by_price()).alias("first"), F.nth_value("o_orderkey", 2).over(by_price().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("second")),
     "win_rows": lambda s, d: EV(s, d).select("event_id", F.sum(dec("value")).over(W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-2, 0)).cast("double").alias("last3")),
     "win_range": lambda s, d: PA(s, d).select("p_partkey", F.count("*").over(W.partitionBy("p_brand").orderBy("p_size").rangeBetween(-5, 5)).alias("near")),
     "win_running": lambda s, d: EV(s, d).select("event_id", F.sum(dec("value")).over(W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, 0)).cast("double").alias("running")),
