@@ -106,7 +106,7 @@ class PieceEncoder:
 
     CONTRACTIONS = ("s", "t", "re", "ve", "m", "ll", "d")  # fixed values of the pattern
 
-    def __init__(self, path: str, span: int = 1 << 20, keep: int = 600_000):
+    def __init__(self, path: str, span: int = 1 << 19, slots: int = 1 << 20, keep: int = 1 << 23):
         import regex
         from tokenizers import Tokenizer
 
@@ -115,8 +115,9 @@ class PieceEncoder:
         vocab = self.tok.get_vocab()
         self.opens = np.zeros(max(vocab.values()) + 1, bool)
         self.opens[[i for t, i in vocab.items() if t.startswith("Ġ")]] = True
-        points = [chr(c) if not 0xD800 <= c < 0xE000 else "�" for c in range(0x110000)]
-        every = "".join(points)
+        points = np.arange(0x110000, dtype="<u4")
+        points[0xD800:0xE000] = 0xFFFD
+        every = points.tobytes().decode("utf-32-le")
         self.kind = np.full(0x110000, 3, np.uint8)
         for value, pattern in ((1, r"\p{L}+"), (2, r"\p{N}+"), (0, r"\p{White_Space}+")):
             for m in regex.finditer(pattern, every):
@@ -125,40 +126,39 @@ class PieceEncoder:
         self.base = np.uint64(int(rng.integers(1 << 62)) * 2 + 1)
         self.mix = np.uint64(int(rng.integers(1 << 62)) * 2 + 1)
         self.span, self.keep = span, keep
+        self.shift = np.uint64(64 - slots.bit_length() + 1)
+        self.keys, self.at, self.n = np.zeros(slots, np.uint64), np.zeros(slots, np.int64), np.zeros(slots, np.int64)
+        self.ids, self.used = np.zeros(1 << 16, np.uint32), 0
         self._powers(span + 1)
-        self._reset()
 
     def _powers(self, n: int) -> None:
         inverse = np.uint64(pow(int(self.base), -1, 1 << 64))
         self.up = np.cumprod(np.full(n, self.base, np.uint64))
         self.down = np.cumprod(np.full(n, inverse, np.uint64))
 
-    def _reset(self) -> None:
-        self.slot: dict[int, int] = {}
-        self.ids, self.offsets, self.used = np.zeros(1 << 16, np.uint32), [0], 0
-
-    def _learn(self, hashes: list[int], pieces: list[str]) -> None:
-        plain = [k for k, p in enumerate(pieces) if len(p) > 1 and p[0] == " " and p[1:].isalpha()]
-        found: list = [None] * len(pieces)
-        if plain:
-            joined = np.array(self.tok.encode("".join(pieces[k] for k in plain), add_special_tokens=False).ids, np.uint32)
-            cuts = np.flatnonzero(self.opens[joined])
-            if len(cuts) == len(plain):
-                for k, part in zip(plain, np.split(joined, cuts[1:]), strict=True):
-                    found[k] = part
-        rest = [k for k in range(len(pieces)) if found[k] is None]
-        for k, e in zip(rest, self.tok.encode_batch([pieces[k] for k in rest], add_special_tokens=False), strict=True):
-            found[k] = np.array(e.ids, np.uint32)
-        lengths = [len(f) for f in found]
-        total = sum(lengths)
-        while self.used + total > len(self.ids):
+    def _learn(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Where the ids of each piece stand, and how many they are."""
+        at, n = np.zeros(len(pieces), np.int64), np.zeros(len(pieces), np.int64)
+        together = np.flatnonzero([len(p) > 1 and p[0] == " " and p[1:].isalpha() for p in pieces])
+        joined = np.array(self.tok.encode_batch_fast(["".join([pieces[k] for k in together.tolist()])], add_special_tokens=False)[0].ids, np.uint32)
+        cuts = np.append(np.flatnonzero(self.opens[joined]), len(joined))
+        if len(cuts) - 1 == len(together):
+            at[together], n[together] = self._store(joined) + cuts[:-1], np.diff(cuts)
+            alone = np.setdiff1d(np.arange(len(pieces)), together, assume_unique=True)
+        else:
+            alone = np.arange(len(pieces))
+        ids = [e.ids for e in self.tok.encode_batch_fast([pieces[k] for k in alone.tolist()], add_special_tokens=False)]
+        n[alone] = [len(e) for e in ids]
+        first = self._store(np.array([i for e in ids for i in e], np.uint32))
+        at[alone] = first + np.cumsum(n[alone]) - n[alone]
+        return at, n
+
+    def _store(self, ids: np.ndarray) -> int:
+        while self.used + len(ids) > len(self.ids):
             self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
-        if total:
-            self.ids[self.used:self.used + total] = np.concatenate(found)
-        for h, n in zip(hashes, lengths, strict=True):
-            self.slot[h] = len(self.offsets) - 1
-            self.used += n
-            self.offsets.append(self.used)
+        self.ids[self.used:self.used + len(ids)] = ids
+        self.used += len(ids)
+        return self.used - len(ids)
 
     def _starts(self, points: np.ndarray, kind: np.ndarray, first: np.ndarray) -> np.ndarray:
         """Where pieces start; ``first`` marks the first character of each text."""
@@ -199,18 +199,21 @@ class PieceEncoder:
         total = np.cumsum(code * self.up[:n])
         upto = np.where(start > 0, total[start - 1], np.uint64(0))
         hashes = (total[stop - 1] - upto) * self.down[start] + (stop - start).astype(np.uint64)
-        keys, at, back = np.unique(hashes, return_index=True, return_inverse=True)
-        listed = keys.tolist()
-        if len(self.slot) + len(listed) > self.keep:
-            self._reset()
-        missing = [k for k, h in enumerate(listed) if h not in self.slot]
-        if missing:
-            self._learn([listed[k] for k in missing], [whole[start[at[k]]:stop[at[k]]] for k in missing])
-        slots = np.fromiter((self.slot[h] for h in listed), np.int64, len(listed))[back]
-        offsets = np.asarray(self.offsets, np.int64)
-        n_ids = offsets[slots + 1] - offsets[slots]
+        slot = (hashes >> self.shift).astype(np.int64)
+        new = np.flatnonzero(self.keys[slot] != hashes)
+        at, n_ids = self.at[slot], self.n[slot]
+        if len(new):
+            # a table with one place for each slot: what it lacks is learnt, once for each piece of the span
+            if self.used > self.keep:  # all is forgotten, so memory is bounded
+                self.keys[:], self.used = 0, 0
+                new = np.arange(len(hashes))
+            fresh, where, back = np.unique(hashes[new], return_index=True, return_inverse=True)
+            where = new[where]
+            fresh_at, fresh_n = self._learn([whole[a:b] for a, b in zip(start[where].tolist(), stop[where].tolist(), strict=True)])
+            at[new], n_ids[new] = fresh_at[back], fresh_n[back]
+            self.keys[slot[where]], self.at[slot[where]], self.n[slot[where]] = fresh, fresh_at, fresh_n
         upto = np.concatenate([[0], np.cumsum(n_ids)])
-        ids = self.ids[np.arange(upto[-1]) + np.repeat(offsets[slots] - upto[:-1], n_ids)]
+        ids = self.ids[np.arange(upto[-1]) + np.repeat(at - upto[:-1], n_ids)]
         cuts = upto[np.searchsorted(start, ends)]
         return np.split(ids, cuts[:-1])
 
@@ -244,6 +247,17 @@ class PieceEncoder:
         return [*parts, text[at:]]
 
 
+_HELD: dict[str, PieceEncoder] = {}
+
+
+def encoder_of(path: str) -> PieceEncoder:
+    """One encoder for each worker process, so tasks share what it has learnt."""
+    if path not in _HELD:
+        _HELD.clear()
+        _HELD[path] = PieceEncoder(path)
+    return _HELD[path]
+
+
 # --- files -----------------------------------------------------------------------------------
 
 def _blob(doc_ids: list, counts: list[int], ids: list[np.ndarray]) -> bytes:
@@ -271,7 +285,7 @@ def write_codes(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2, blo
     task is simply run again.
     """
     def encode(batches):
-        encoder, part = PieceEncoder(tokenizer), TaskContext.get().partitionId()
+        encoder, part = encoder_of(tokenizer), TaskContext.get().partitionId()
         seq, start, size = 0, 0, 0
         doc_ids, counts, held = [], [], []
 
