@@ -29,7 +29,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, table
+from .common import materialize, only_likely, table
 from .graph import connected
 
 WORDS, THRESHOLD = 5, 0.8
@@ -203,7 +203,8 @@ def _classes(docs: DataFrame, threshold: float, trees: int, words: int) -> DataF
     placed = parts.join(sizes, "comp").withColumn("blk", F.pmod(F.xxhash64("node"), "blocks").cast("int"))
     placed = materialize(placed.join(nodes.select("node", "t1", "t2", "doc", "copies"), "node"), "forest-members")
     packs = max(1, placed.count() // PACK)
-    texts = _marked(docs).join(placed, ["t1", "t2"]).filter(F.col("doc_id").eqNullSafe(F.col("doc")))
+    likely = only_likely(_marked(docs), F.col("t1"), placed, F.col("t1"))
+    texts = likely.join(placed, ["t1", "t2"]).filter(F.col("doc_id").eqNullSafe(F.col("doc")))
     texts = texts.groupBy("node", "comp", "blocks", "blk", "copies").agg(F.min("text").alias("text"))
     pairs = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.struct(F.least(k, F.col("blk")).alias("i"), F.greatest(k, F.col("blk")).alias("j")))
     dealt = texts.withColumn("pair", F.explode(pairs)).select("node", "comp", "blk", "copies", "text", "pair.i", "pair.j", "blocks")
