@@ -8,17 +8,22 @@ from clipforge.functions.exprs import norm, rnd
 from clipforge.operators import attention as A
 from clipforge.sources import tables as T
 
-from .sqlviews import using
+from .sqlviews import unfiltered, using
 
 ITEMS = 50
 
 
-def cells(s, d):
-    return T.latents(s, d).filter(F.col("item") < ITEMS)
+def first(df, key, n, whole):
+    """The rows that the oracle of a query keeps, or all of them (the query's form ``_whole``)."""
+    return df if whole else df.filter(F.col(key) < n)
 
 
-def toks(s, d):
-    return cells(s, d).select("item", F.col("i").alias("tok"), "val")
+def cells(s, d, whole=False):
+    return first(T.latents(s, d), "item", ITEMS, whole)
+
+
+def toks(s, d, whole=False):
+    return cells(s, d, whole).select("item", F.col("i").alias("tok"), "val")
 
 
 
@@ -27,19 +32,19 @@ def group_of(kind):
     return {"full": None, "stride": [A.stride_group(F.col("tok"))], "block": [A.block_group(F.col("tok"))]}[kind]
 
 
-def att(kind):
-    return lambda s, d: A.attend(toks(s, d), group_of(kind)).select("item", "tok", rnd(F.col("out")).alias("out"), "pairs")
+def att(kind, whole=False):
+    return lambda s, d: A.attend(toks(s, d, whole), group_of(kind)).select("item", "tok", rnd(F.col("out")).alias("out"), "pairs")
 
 
-def separated(s, d):
-    return A.attend_separated(cells(s, d)).select("item", "tok", rnd(F.col("out")).alias("out"), "pairs")
+def separated(s, d, whole=False):
+    return A.attend_separated(cells(s, d, whole)).select("item", "tok", rnd(F.col("out")).alias("out"), "pairs")
 
 
-def cost(s, d):
+def cost(s, d, whole=False):
     """Per arm: score pairs, mean squared distance to full attention."""
-    full = A.attend(toks(s, d)).select("item", "tok", F.col("out").alias("full"))
+    full = A.attend(toks(s, d, whole)).select("item", "tok", F.col("out").alias("full"))
     out = None
-    for name, df in (("full", A.attend(toks(s, d))), ("stride", A.attend(toks(s, d), group_of("stride"))), ("block", A.attend(toks(s, d), group_of("block"))), ("separated", A.attend_separated(cells(s, d)))):
+    for name, df in (("full", A.attend(toks(s, d, whole))), ("stride", A.attend(toks(s, d, whole), group_of("stride"))), ("block", A.attend(toks(s, d, whole), group_of("block"))), ("separated", A.attend_separated(cells(s, d, whole)))):
         row = df.join(full, ["item", "tok"]).agg(F.lit(name).alias("arm"), F.sum("pairs").cast("bigint").alias("pairs"), rnd(F.avg((F.col("out") - F.col("full")) * (F.col("out") - F.col("full"))) + 1e-12, 8).alias("distance"))
         out = row if out is None else out.unionByName(row)
     return out
@@ -62,20 +67,20 @@ def texts(s, d):
     return c.select(F.col("label").alias("tid"), "key", F.col("label").cast("double").alias("value"))
 
 
-def joint(s, d):
-    text = T.load(s, d, "benchmark").filter("item_id < 50").select(F.col("item_id").alias("item"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(3).cast("bigint"))).alias("tok"), (F.length("text") % 10 / 10).alias("val"))
-    return A.joint_attend(toks(s, d), text).select("item", "tok", rnd(F.col("out")).alias("out"), "pairs")
+def joint(s, d, whole=False):
+    text = first(T.load(s, d, "benchmark"), "item_id", ITEMS, whole).select(F.col("item_id").alias("item"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(3).cast("bigint"))).alias("tok"), (F.length("text") % 10 / 10).alias("val"))
+    return A.joint_attend(toks(s, d, whole), text).select("item", "tok", rnd(F.col("out")).alias("out"), "pairs")
 
 
-def rope(s, d):
-    e = T.load(s, d, "embeddings").filter("vec_id < 100")
+def rope(s, d, whole=False):
+    e = first(T.load(s, d, "embeddings"), "vec_id", 100, whole)
     v = A.rope3d(F.col("embedding"), F.col("vec_id") % 8, F.col("vec_id") % 5, F.col("vec_id") % 3, (16, 24, 24))
     return e.select("vec_id", v.alias("r"), "embedding").select("vec_id", rnd(F.aggregate(F.transform("r", lambda x, i: x * (i + 1)), F.lit(0.0), lambda a, x: a + x) + 1e-10, 5).alias("placed"), rnd(norm(F.col("r")) - norm(F.col("embedding"))).alias("norm_change"))
 
 
-def rope_bases(s, d):
+def rope_bases(s, d, whole=False):
     """Mean squared change of the vector when time moves by one, for two bases."""
-    e = T.load(s, d, "embeddings").filter("vec_id < 100")
+    e = first(T.load(s, d, "embeddings"), "vec_id", 100, whole)
     out = None
     for base in (10_000.0, 256.0):
         a, b = (A.rope1d(F.col("embedding"), F.lit(p), 64, base) for p in (1, 2))
@@ -93,14 +98,14 @@ def moe_ratio(s, d):
     return s.createDataFrame([(n, float(round(v, 6))) for n, v in rows], "measure string, value double")
 
 
-def conditioned(s, d):
-    e = T.load(s, d, "embeddings").filter("vec_id < 100")
+def conditioned(s, d, whole=False):
+    e = first(T.load(s, d, "embeddings"), "vec_id", 100, whole)
     v = A.condition(A.time_features(F.col("vec_id") % 10 / 10, 64), F.col("embedding"))
     return e.select("vec_id", rnd(F.aggregate(F.transform(v, lambda x, i: x * (i + 1)), F.lit(0.0), lambda a, x: a + x) + 1e-10, 5).alias("placed"))
 
 
-def identity(s, d):
-    e = T.load(s, d, "embeddings").filter("vec_id < 100")
+def identity(s, d, whole=False):
+    e = first(T.load(s, d, "embeddings"), "vec_id", 100, whole)
     v = F.transform("embedding", lambda x: x.cast("double"))
     sq = lambda a: F.aggregate(F.zip_with(a, v, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s_, x: s_ + x)
     return e.agg(rnd(F.sum(sq(A.modulate(v, F.lit(0.5), F.lit(0.2), F.lit(0.0))))).alias("gate_zero"), rnd(F.avg(sq(A.modulate(v, F.lit(0.5), F.lit(0.2), F.lit(1.0)))) + 1e-10, 5).alias("gate_one"))
@@ -161,3 +166,11 @@ ORACLES = {
     "moe_param_ratio": "select n as measure, cast(v as double) as value from (values ('experts_total', 66.0), ('experts_active', 8.0), ('active_width', 2.0), ('param_share', 0.17), ('dense_width', 1.0), ('per_device', 8.0)) t(n, v)",
     "pipeline_partition": "with l as (select cast(i as bigint) as layer, 10 + i % 5 as cost from range(40) t(i)), c as (select *, sum(cost) over (order by layer) as upto, sum(cost) over () as total from l) select least(3, cast(floor((upto - cost / 2) * 4 / total) as bigint)) as stage, count(*) as layers, cast(sum(cost) as bigint) as cost from c group by 1",
 }
+
+# The oracles above keep the first items only; each of these queries also runs over whole tables, with its oracle less that filter.
+WHOLE = {
+    "attention_full": att("full", True), "attention_sparse_stride": att("stride", True), "attention_sparse_block": att("block", True),
+    **{n: lambda s, d, f=f: f(s, d, True) for n, f in (("attention_separated", separated), ("attention_cost", cost), ("joint_attention", joint), ("rope3d_rotate", rope), ("rope_base_sensitivity", rope_bases), ("modulate_identity", identity), ("time_condition", conditioned))},
+}
+QUERIES |= {f"{n}_whole": q for n, q in WHOLE.items()}
+ORACLES |= {f"{n}_whole": unfiltered(ORACLES[n], " where item < 50", " where item_id < 50", " where vec_id < 100") for n in WHOLE}
