@@ -35,14 +35,15 @@ def frechet_diag(df: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
 
 
 def moments(df: DataFrame, vec: str, dim: int) -> tuple[np.ndarray, np.ndarray]:
-    """Mean and covariance of vectors of ``dim`` (at most 64): one aggregate of dim * (dim + 3) / 2 sums comes to the driver."""
+    """Mean and covariance of vectors of ``dim`` (at most 64): one row of dim + 1 sums for each feature comes to the driver."""
     if dim > 64:
         raise ValueError("full covariance is for at most 64 features")
-    v = [F.col(vec)[i].cast("double") for i in range(dim)]
-    aggs = [F.avg(v[i]).alias(f"m{i}") for i in range(dim)] + [F.avg(v[i] * v[j]).alias(f"p{i}_{j}") for i in range(dim) for j in range(i, dim)]
-    r = df.agg(*aggs).collect()[0]
-    mean = np.array([r[f"m{i}"] for i in range(dim)])
-    cov = np.array([[r[f"p{min(i, j)}_{max(i, j)}"] for j in range(dim)] for i in range(dim)]) - np.outer(mean, mean)
+    v = F.slice(vec, 1, dim).cast("array<double>")
+    terms = df.select(v.alias("v"), F.posexplode(v).alias("i", "x"))
+    rows = terms.groupBy("i").agg(F.avg("x").alias("m"), *[F.avg(F.col("x") * F.col("v")[j]).alias(f"p{j}") for j in range(dim)]).collect()
+    rows = sorted(rows, key=lambda r: r["i"])
+    mean = np.array([r["m"] for r in rows])
+    cov = np.array([[r[f"p{j}"] for j in range(dim)] for r in rows]) - np.outer(mean, mean)
     return mean, cov
 
 

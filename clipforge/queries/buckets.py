@@ -10,7 +10,7 @@ from clipforge.operators import buckets as B
 from clipforge.operators import curriculum as C
 from clipforge.sources import tables as T
 
-from .sqlviews import h, using
+from .sqlviews import h, unfiltered, using
 
 BUDGET = 51_200
 LITERAL = "buckets(bucket_id, batch, t, h, w) as (values {})".format(", ".join(f"(cast({i} as bigint), cast({b} as bigint), cast({t} as bigint), cast({hh} as bigint), cast({w} as bigint))" for i, (b, t, hh, w) in enumerate(B.PRINTED)))
@@ -82,6 +82,10 @@ def mix_schedule(spark, d):
     return steps.select("step", rnd(C.image_share(F.col("step"), 1000)).alias("linear"), rnd(C.image_share(F.col("step"), 1000, shape="step")).alias("stepped"))
 
 
+def averaged(frames):
+    return C.ema(frames, 0.9, ["media_id"], "frame_no", "luma")
+
+
 QUERIES = {
     "bucket_assign": bucket_assign,
     "bucket_tokens": lambda s, d: B.with_tokens(B.bucket_table(s, B.PRINTED)).select("bucket_id", "lt", "lh", "lw", "cells", "tokens"),
@@ -100,9 +104,9 @@ QUERIES = {
     "stage_tokens": stage_tokens, "mix_schedule": mix_schedule,
     "mix_assign": lambda s, d: C.mix_assign(T.media_meta(s, d), 1000).groupBy(int_div(F.col("step"), 100).alias("tenth")).agg(F.count("*").alias("n"), F.sum("as_image").cast("bigint").alias("images")),
     "early_stop_point": early_stop_point,
-    "ema_series": lambda s, d: C.ema(T.frames(s, d).filter("frame_no <= 40"), 0.9, ["media_id"], "frame_no", "luma").select("media_id", "frame_no", rnd(F.col("ema") + 1e-9, 4).alias("ema")),
+    "ema_series": lambda s, d: averaged(T.frames(s, d).filter("frame_no <= 40")).select("media_id", "frame_no", rnd(F.col("ema") + 1e-9, 4).alias("ema")),
     "inspection_points": lambda s, d: C.inspection_points(T.frames(s, d), 10, "frame_no").select("media_id", "frame_no", "luma"),
-    "steps_to_converge": lambda s, d: C.steps_to_converge(C.ema(T.frames(s, d).filter("frame_no <= 40"), 0.9, ["media_id"], "frame_no", "luma"), 20.0, ["media_id"], "frame_no", "ema"),
+    "steps_to_converge": lambda s, d: C.steps_to_converge(averaged(T.frames(s, d).filter("frame_no <= 40")), 20.0, ["media_id"], "frame_no", "ema"),
     "epoch_account": lambda s, d: C.stage_plan(s).select("step_no", rnd(C.epochs(F.lit(500_000.0), F.col("batch"), F.col("steps"))).alias("epochs")),
 }
 
@@ -157,3 +161,8 @@ ORACLES = {
       select a.media_id, min(a.frame_no) filter (not exists (select 1 from g b where b.media_id = a.media_id and b.frame_no >= a.frame_no and b.gap > 20.0)) as converged_at from g a group by 1"""),
     "epoch_account": f"with {STAGE_LIT} select step_no, round(batch * steps / 500000.0, 6) as epochs from stages",
 }
+
+# The oracles above keep a part of the rows; the same over whole tables, with the oracle less that filter.
+QUERIES["ema_series_whole"] = lambda s, d: averaged(T.frames(s, d)).select("media_id", "frame_no", rnd(F.col("ema") + 1e-9, 4).alias("ema"))
+QUERIES["steps_to_converge_whole"] = lambda s, d: C.steps_to_converge(averaged(T.frames(s, d)), 20.0, ["media_id"], "frame_no", "ema")
+ORACLES |= {f"{n}_whole": unfiltered(ORACLES[n], " where a.frame_no <= 40") for n in ("ema_series", "steps_to_converge")}

@@ -66,9 +66,9 @@ def pairs88(s, d):
 
 
 def frechet_full(s, d):
-    """Full covariance on eight features: a matrix root, so no oracle."""
+    """Full covariance on all 64 features: a matrix root, so no oracle."""
     e = T.load(s, d, "embeddings")
-    v = M.frechet(e.filter("vec_id % 2 = 0"), e.filter("vec_id % 2 = 1"), "embedding", 8)
+    v = M.frechet(e.filter("vec_id % 2 = 0"), e.filter("vec_id % 2 = 1"), "embedding", 64)
     return s.createDataFrame([(round(v, 6),)], "frechet double")
 
 

@@ -12,7 +12,7 @@ from clipforge.plans import training as G
 from clipforge.sources import tables as T
 
 from .buckets import STAGE_LIT
-from .sqlviews import h, using
+from .sqlviews import h, unfiltered, using
 
 BUDGETS = tuple(range(50, 1601, 50))
 PARAMS = 13_400_000_000
@@ -78,9 +78,10 @@ def strategies(s, pruned):
     return rows.groupBy("step_no").agg(best).select("step_no", "b.cp", "b.zero", "b.offload", "b.time", "b.mem")
 
 
-def drifting(s, d, sync):
+def drifting(s, d, sync, whole=False):
     """Eight ranks, 100 updates of every parameter with a keyed difference per rank."""
-    e = T.load(s, d, "events").filter("event_id < 50").select(F.col("event_id").alias("param"), F.col("value"))
+    e = T.load(s, d, "events")
+    e = (e if whole else e.filter("event_id < 50")).select(F.col("event_id").alias("param"), F.col("value"))
     g = e.withColumn("rank", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(7).cast("bigint")))).withColumn("step", F.explode(F.sequence(F.lit(1).cast("bigint"), F.lit(100).cast("bigint"))))
     g = g.withColumn("grad", F.col("value") / 1000 + key_int(F.col("param"), "_", F.col("rank"), "_", F.col("step")) / F.lit(float(2**32)) * 1e-3)
     g = G.sync_gradients(g) if sync else g
@@ -113,23 +114,24 @@ def recovery(s, d):
 # --- inference -----------------------------------------------------------------------------------
 
 def trace(s, d, n=20, steps=50):
-    """A smooth keyed trace: per prompt and step eight values that move more at first."""
-    items = T.load(s, d, "benchmark").filter(F.col("item_id") < n).select("item_id")
+    """A smooth keyed trace: per prompt and step eight values that move more at first; of the prompts below ``n``, or of all."""
+    items = T.load(s, d, "benchmark").select("item_id")
+    items = items if n is None else items.filter(F.col("item_id") < n)
     rows = items.withColumn("step", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(steps - 1).cast("bigint"))))
     u = lambda j, k: key_int(F.col("item_id"), "_", str(j), k) / F.lit(float(2**32))
     vec = F.array(*[u(j, "p") + u(j, "q") * F.exp(-F.col("step") / 10.0) + u(j, "r") * F.sin(F.col("step") / 5.0 + j) / 10 for j in range(8)])
     return rows.withColumn("vec", vec)
 
 
-def similarity(s, d, cut):
-    t = trace(s, d).withColumn("vec", F.slice("vec", 1, 8) if cut == "rear" else F.slice("vec", 1, 4))
+def similarity(s, d, cut, n=20):
+    t = trace(s, d, n).withColumn("vec", F.slice("vec", 1, 8) if cut == "rear" else F.slice("vec", 1, 4))
     return I.step_similarity(t, "item_id", "vec").groupBy("step").agg(rnd(F.avg("similarity") + 1e-10, 5).alias("similarity"))
 
 
-def cache_error(s, d, part):
+def cache_error(s, d, part, n=20):
     """Mean squared deviation of reused from fresh values, by interval; the attention part is the faster half."""
     iv = small(s, [(k,) for k in (1, 2, 3, 4, 5)], "iv bigint")
-    t = trace(s, d).withColumn("vec", F.col("vec") if part == "layer" else F.transform(F.slice("vec", 1, 4), lambda x: x * 3))
+    t = trace(s, d, n).withColumn("vec", F.col("vec") if part == "layer" else F.transform(F.slice("vec", 1, 4), lambda x: x * 3))
     c = I.cached(t.crossJoin(F.broadcast(iv)), ["item_id", "iv"], "vec", F.col("iv"))
     return c.groupBy("iv").agg(rnd(F.avg(I.error(F.col("vec"), F.col("reused"))) + 1e-12, 7).alias("deviation"))
 
@@ -139,10 +141,10 @@ def schedule(s, d):
     return r.groupBy("iv").agg(F.count_if(I.refreshed(F.col("step"), F.col("iv"))).alias("full_evaluations"), F.sum(F.when(I.refreshed(F.col("step"), F.col("iv")), F.col("step")).otherwise(0)).cast("bigint").alias("steps_sum"))
 
 
-def config_search(s, d):
+def config_search(s, d, n=20):
     """Intervals 2-5, rear shares 0.5-0.8, both kinds of cache: of those within a tenth of speed-up the least deviation."""
-    lay = cache_error(s, d, "layer").withColumn("kind", F.lit("layer"))
-    att = cache_error(s, d, "attention").withColumn("kind", F.lit("attention"))
+    lay = cache_error(s, d, "layer", n).withColumn("kind", F.lit("layer"))
+    att = cache_error(s, d, "attention", n).withColumn("kind", F.lit("attention"))
     conf = lay.unionByName(att).filter("iv > 1").crossJoin(F.broadcast(small(s, [(x,) for x in (5, 6, 7, 8)], "tenths bigint")))
     conf = conf.withColumn("speedup", rnd(I.cache_speedup(50, F.col("iv"), F.col("tenths") / 10.0), 4)).withColumn("band", F.floor(F.col("speedup") * 10).cast("bigint"))
     conf = conf.withColumn("cost", rnd(F.col("deviation") * F.col("tenths") + 1e-12, 6))
@@ -279,3 +281,13 @@ ORACLES = {
     "nfe_model": "select cast(n as bigint) as steps, cast(g as integer) as guided, cast(n * (1 + g) as bigint) as evaluations from (values (4), (8), (50)) a(n), (values (0), (1)) b(g)",
     "scaling_linearity": "with w as (select cast(sum(cast(value as decimal(18,2))) as double) as w from events), l as (select cast(d as bigint) as devices, w / d + w * 0.02 as l from w, (values (1), (2), (4), (8)) v(d)) select devices, round((select l from l where devices = 1) / l, 6) as speedup, round((select l from l where devices = 1) / l / devices, 6) as linearity from l",
 }
+
+# The oracles above keep a part of the rows; the same over whole tables, with the oracle less that filter.
+WHOLE = {
+    "param_drift": lambda s, d: drifting(s, d, False, True), "param_drift_synced": lambda s, d: drifting(s, d, True, True),
+    "cache_step_similarity": lambda s, d: similarity(s, d, "rear", None), "cache_attn_similarity": lambda s, d: similarity(s, d, "attn", None),
+    "cache_layer_error": lambda s, d: cache_error(s, d, "layer", None), "cache_attention_error": lambda s, d: cache_error(s, d, "attention", None),
+    "cache_config_search": lambda s, d: config_search(s, d, None),
+}
+QUERIES |= {f"{n}_whole": q for n, q in WHOLE.items()}
+ORACLES |= {f"{n}_whole": unfiltered(ORACLES[n], " where item_id < 20", " where event_id < 50") for n in WHOLE}

@@ -11,7 +11,7 @@ from clipforge.sources import sinks
 from clipforge.sources import tables as T
 from clipforge.sources.scratch import materialize
 
-from .sqlviews import h
+from .sqlviews import h, unfiltered
 
 
 def t(name):
@@ -41,8 +41,8 @@ def ranges(s, d):
     return R.range_join(size, bands, "p", "lo", "hi", 8).groupBy("band").agg(F.count("*").alias("n"), F.sum("p_partkey").cast("bigint").alias("keys"))
 
 
-def intervals(s, d):
-    l = LI(s, d).filter("l_orderkey <= 2000").select(F.col("l_suppkey").alias("k"), F.unix_date(F.col("l_shipdate").cast("date")).cast("bigint").alias("a_lo"), F.floor("l_quantity").cast("bigint").alias("q"), F.col("l_orderkey").alias("oa"))
+def intervals(s, d, whole=False):
+    l = (LI(s, d) if whole else LI(s, d).filter("l_orderkey <= 2000")).select(F.col("l_suppkey").alias("k"), F.unix_date(F.col("l_shipdate").cast("date")).cast("bigint").alias("a_lo"), F.floor("l_quantity").cast("bigint").alias("q"), F.col("l_orderkey").alias("oa"))
     a = l.withColumn("a_hi", F.col("a_lo") + F.col("q")).select("k", "a_lo", "a_hi", "oa")
     b = a.select("k", F.col("a_lo").alias("b_lo"), F.col("a_hi").alias("b_hi"), F.col("oa").alias("ob"))
     return R.interval_join(a, b, "k", 16).filter("oa < ob").groupBy("k").agg(F.count("*").alias("n"))
@@ -80,6 +80,14 @@ def by_price():
 
 
 dec = lambda c: F.col(c).cast("decimal(18,2)")
+def ranking(orders):
+    return orders.select("o_orderkey", F.row_number().over(by_price()).alias("rn"), F.rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("rk"), F.dense_rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("dr"), F.ntile(4).over(by_price()).alias("nt"), rnd(F.percent_rank().over(by_price())).alias("pr"), rnd(F.cume_dist().over(by_price())).alias("cd"))
+
+
+def analytic(orders):
+    return orders.select("o_orderkey", F.lag("o_orderkey").over(by_price()).alias("before"), F.lead("o_orderkey", 2).over(by_price()).alias("after2"), F.first("o_orderkey").over(by_price()).alias("first"), F.nth_value("o_orderkey", 2).over(by_price().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("second"))
+
+
 QUERIES = {
     "scan_parquet_pruned": lambda s, d: ORD(s, d).filter("o_totalprice > 100000").agg(F.count("*").alias("n"), F.sum("o_orderkey").cast("bigint").alias("keys")),
     "scan_partitioned": partitioned,
@@ -100,8 +108,8 @@ QUERIES = {
     "agg_pivot": lambda s, d: EV(s, d).groupBy((F.col("user_id") % 10).alias("k")).pivot("event_type", ["click", "error", "purchase", "signup", "view"]).agg(F.count("event_id")).na.fill(0),
     "agg_percentile": lambda s, d: EV(s, d).groupBy("event_type").agg(rnd(F.percentile("value", F.lit(0.5))).alias("median"), F.min_by("event_id", F.struct("value", "event_id")).alias("least"), F.count_if(F.col("value") > 100).alias("large")),
     "agg_approx": lambda s, d: EV(s, d).groupBy("event_type").agg(F.approx_count_distinct("user_id").alias("users"), F.approx_percentile("value", F.lit(0.5)).alias("median"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("hll_users")),
-    "win_ranking": lambda s, d: ORD(s, d).filter("o_custkey <= 300").select("o_orderkey", F.row_number().over(by_price()).alias("rn"), F.rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("rk"), F.dense_rank().over(W.partitionBy("o_custkey").orderBy("o_orderstatus")).alias("dr"), F.ntile(4).over(by_price()).alias("nt"), rnd(F.percent_rank().over(by_price())).alias("pr"), rnd(F.cume_dist().over(by_price())).alias("cd")),
-    "win_analytic": lambda s, d: ORD(s, d).filter("o_custkey <= 300").select("o_orderkey", F.lag("o_orderkey").over(by_price()).alias("before"), F.lead("o_orderkey", 2).over(by_price()).alias("after2"), F.first("o_orderkey").over(by_price()).alias("first"), F.nth_value("o_orderkey", 2).over(by_price().rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("second")),
+    "win_ranking": lambda s, d: ranking(ORD(s, d).filter("o_custkey <= 300")),
+    "win_analytic": lambda s, d: analytic(ORD(s, d).filter("o_custkey <= 300")),
     "win_rows": lambda s, d: EV(s, d).select("event_id", F.sum(dec("value")).over(W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-2, 0)).cast("double").alias("last3")),
     "win_range": lambda s, d: PA(s, d).select("p_partkey", F.count("*").over(W.partitionBy("p_brand").orderBy("p_size").rangeBetween(-5, 5)).alias("near")),
     "win_running": lambda s, d: EV(s, d).select("event_id", F.sum(dec("value")).over(W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, 0)).cast("double").alias("running")),
@@ -171,3 +179,8 @@ ORACLES = {
     "sample_stratified": "select lang, doc_id from (select *, row_number() over (partition by lang order by " + h("cast(doc_id as varchar)") + ", doc_id) as k from documents) where k <= 10",
     "recursive_walk": "with recursive w(k, depth) as (select cast(0 as bigint), 0 union all select cast(n_nationkey as bigint), depth + 1 from w join nation on n_nationkey = k + n_regionkey + 1 where depth < 30) select k, min(depth) as depth from w group by k",
 }
+
+# The oracles above keep a part of the rows; the same over whole tables, with the oracle less that filter.
+WHOLE = {"join_interval": lambda s, d: intervals(s, d, True), "win_ranking": lambda s, d: ranking(ORD(s, d)), "win_analytic": lambda s, d: analytic(ORD(s, d))}
+QUERIES |= {f"{n}_whole": q for n, q in WHOLE.items()}
+ORACLES |= {f"{n}_whole": unfiltered(ORACLES[n], " where l_orderkey <= 2000", " where o_custkey <= 300") for n in WHOLE}
