@@ -101,17 +101,23 @@ class PieceEncoder:
     The library encodes each distinct piece once; how a text splits into pieces
     (runs of letters, digits, other signs and white space, and the contractions)
     is computed for all characters of a batch together. Pieces are independent of
-    each other in such a tokenizer, so the ids are those of the library.
+    each other in such a tokenizer, so the ids are those of the library. With
+    ``added`` texts are first split at the file's added tokens, which are one id
+    each, as the library does unless told to read them as ordinary text.
     """
 
     CONTRACTIONS = ("s", "t", "re", "ve", "m", "ll", "d")  # fixed values of the pattern
 
-    def __init__(self, path: str, span: int = 1 << 19, slots: int = 1 << 20, keep: int = 1 << 23):
+    def __init__(self, path: str, span: int = 1 << 19, slots: int = 1 << 20, keep: int = 1 << 23, added: bool = False):
         import regex
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
+        self.tok.encode_special_tokens = not added
+        self.added = {t.content: i for i, t in self.tok.get_added_tokens_decoder().items()} if added else {}
+        if added and any(t.lstrip or t.rstrip or t.single_word for t in self.tok.get_added_tokens_decoder().values()):
+            raise ValueError("added tokens that take in what stands beside them are not supported")
+        self.marks = regex.compile("(" + "|".join(map(regex.escape, sorted(self.added, key=len, reverse=True))) + ")") if self.added else None
         vocab = self.tok.get_vocab()
         self.opens = np.zeros(max(vocab.values()) + 1, bool)
         self.opens[[i for t, i in vocab.items() if t.startswith("Ġ")]] = True
@@ -218,7 +224,16 @@ class PieceEncoder:
         return np.split(ids, cuts[:-1])
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        """Ids of each text. Texts are taken together up to ``span`` characters; a longer one is cut where white space begins."""
+        """Ids of each text; added tokens stand for themselves, what is between them is encoded as texts are."""
+        if not self.marks or not any(t in text for text in texts for t in self.added):
+            return self._ordinary(texts)
+        parts = [self.marks.split(text) for text in texts]  # ordinary text and added tokens in turn
+        between = iter(self._ordinary([p for part in parts for p in part[::2]]))
+        ids = [[np.array([self.added[p]], np.uint32) if k % 2 else next(between) for k, p in enumerate(part)] for part in parts]
+        return [np.concatenate(x) for x in ids]
+
+    def _ordinary(self, texts: list[str]) -> list[np.ndarray]:
+        """Texts are taken together up to ``span`` characters; a longer one is cut where white space begins."""
         out: list[np.ndarray] = []
         held: list[str] = []
         size = 0
@@ -254,7 +269,7 @@ def encoder_of(path: str) -> PieceEncoder:
     """One encoder for each worker process, so tasks share what it has learnt."""
     if path not in _HELD:
         _HELD.clear()
-        _HELD[path] = PieceEncoder(path)
+        _HELD[path] = PieceEncoder(path, added=True)
     return _HELD[path]
 
 

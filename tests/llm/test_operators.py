@@ -414,6 +414,22 @@ def test_encoder_is_the_library(documents):
     assert [x.tolist() for x in own.encode(texts)] == [e.ids for e in lib.encode_batch(texts, add_special_tokens=False)]
 
 
+def test_added_tokens_are_those_of_the_library(spark):
+    from tokenizers import Tokenizer
+
+    lib = Tokenizer.from_file(token_codes.default_tokenizer())
+    end = "<|endoftext|>"
+    texts = [f"a {end} b", end, f"{end}{end}", f"x  {end}  y{end}'s", f"{end}\n", f"<|endof{end}text|>", "<|endoftext", "plain", "", f"word {end} " * 300]
+    assert [x.tolist() for x in token_codes.encoder_of(token_codes.default_tokenizer()).encode(texts)] == [lib.encode(t, add_special_tokens=False).ids for t in texts]
+    start, want = 0, {}
+    for i, t in enumerate(texts):
+        ids = np.array([*lib.encode(t, add_special_tokens=False).ids, 2], "<u4")
+        want[i] = (start, len(ids), zlib.crc32(ids.tobytes()))
+        start += len(ids)
+    rows = token_codes.token_codes(docs_of(spark, [(i, t, "s") for i, t in enumerate(texts)])).collect()
+    assert {r["doc_id"]: (r["start"], r["n_tokens"], r["ids_crc32"]) for r in rows} == want
+
+
 def test_token_query(spark, sf, documents):
     from tokenizers import Tokenizer
 
