@@ -4,13 +4,17 @@ A random walk reads a window character by character: at each step it writes the
 character it stands on and moves on or stays, as a fixed random table of step
 and character says. Texts at a small edit distance fall into step again, so
 their walks differ in few places (edit distance becomes Hamming distance), and a
-sample of places agrees with fair probability. ``WALKS`` independent walks and
-samples are taken of the item-sized window at every word of a document. Items
-are entered once from each of their words, so an edited passage is met by every
-window that begins inside it, and the chance to miss all of them is small
-(miss_probability measures it).
-
-A window that meets an item is verified: the edit distance of the whole item to
+sample of places agrees with fair probability. Independent walks and samples
+are taken at every word of a document, and inside long runs without a blank.
+Items are entered from each of their words up to ``TAIL`` bytes before their
+end, so an edited passage is met by every window that begins inside it. How
+many walks, and of which length, follows from the length of the item
+(``CLASSES``): so many that an item with ``EDITS`` edits at random places meets
+at least one with probability ``TARGET`` (tests measure it for each length).
+
+Of the windows that meet an item those are left out that hold fewer of its
+three-byte pieces than any text within ``EDITS`` must (an edit takes three at
+most, so none is lost). The others are verified: the edit distance of the whole item to
 the best-placed part of the document, by bit-parallel dynamic programming, must
 be at most ``EDITS`` of the item's length. Items too short for a walk are looked
 for literally, as whole words.
@@ -32,7 +36,10 @@ from pyspark.sql import functions as F
 
 from .common import table
 
-WALKS, STEPS, SAMPLE = 3, 56, 12
+TARGET = 0.95
+# Least length of an item, then walks, steps and sampled places that reach TARGET from that length on.
+CLASSES = ((40, 20, 32, 8), (80, 12, 40, 10))
+TAIL, RUN, PAD = 16, 24, 64
 EDITS = 0.2
 LEAST = 40
 ITEM_BLOCK = 20_000
@@ -44,7 +51,7 @@ def plain(text: str | None) -> bytes:
 
 
 class Walker:
-    def __init__(self, walks: int = WALKS, steps: int = STEPS, sample: int = SAMPLE):
+    def __init__(self, walks: int, steps: int, sample: int):
         rng = np.random.default_rng(31)
         self.moves = rng.integers(0, 2, (walks, steps, 256)).astype(np.int32)
         self.picked = [np.sort(rng.choice(steps, sample, replace=False)) for _ in range(walks)]
@@ -67,11 +74,24 @@ class Walker:
 
 
 def word_starts(data: np.ndarray) -> np.ndarray:
-    """Places after a blank or a separator (0), and the first."""
+    """Places after a blank or a separator (0), and the first; in runs over RUN bytes also those that two bytes choose."""
     if not len(data):
         return np.zeros(0, np.int64)
     edge = (data == 32) | (data == 0)
-    return np.flatnonzero(np.concatenate([[True], edge[:-1]]) & ~edge)
+    start = np.concatenate([[True], edge[:-1]]) & ~edge
+    first = np.flatnonzero(start)
+    ends = np.append(np.flatnonzero(edge), len(data))
+    stop = ends[np.searchsorted(ends, first)]
+    for a, b in zip(first[stop - first > RUN].tolist(), stop[stop - first > RUN].tolist(), strict=True):
+        two = data[a:b - 1].astype(np.uint32) * 251 + data[a + 1:b]
+        start[a + 1:b] |= (two * np.uint32(0x9E3779B1)) >> np.uint32(29) == 0
+    return np.flatnonzero(start)
+
+
+def pieces_of(data: np.ndarray) -> np.ndarray:
+    """A 16-bit number for the three bytes at each place but the last two."""
+    d = data.astype(np.uint32)
+    return (((d[:-2] << 16 | d[1:-1] << 8 | d[2:]) * np.uint32(0x9E3779B1)) >> np.uint32(16)).astype(np.uint16)
 
 
 def edit_distance(item: bytes, text: bytes, most: int) -> tuple[int, int]:
@@ -97,30 +117,53 @@ def edit_distance(item: bytes, text: bytes, most: int) -> tuple[int, int]:
     return best, end
 
 
-class Index:
-    """Items of one block, entered from each word, and those too short for that."""
+class Group:
+    """Items that are met by the same walks, with the keys of their words."""
 
-    def __init__(self, items: list[tuple[int, bytes]]):
-        self.walker, self.items = Walker(), items
-        self.long = [i for i, (_, t) in enumerate(items) if len(t) >= LEAST]
-        self.short = [i for i, (_, t) in enumerate(items) if 0 < len(t) < LEAST]
+    def __init__(self, items: list[tuple[int, bytes]], own: list[int], walker: Walker):
+        self.walker = walker
         pieces, base, item, offset, starts = [], 0, [], [], []
-        for i in self.long:
+        for i in own:
             data = np.frombuffer(items[i][1], np.uint8)
             s = word_starts(data)
-            s = s[s <= max(0, len(data) - LEAST)]
-            pieces += [data, np.zeros(STEPS, np.uint8)]
+            s = s[s <= len(data) - TAIL]
+            pieces += [data, np.zeros(PAD, np.uint8)]
             starts.append(s + base)
             offset.append(s)
             item.append(np.full(len(s), i))
-            base += len(data) + STEPS
-        if self.long:
-            keys = self.walker.keys(np.concatenate(pieces), np.concatenate(starts)).ravel()
-            item, offset = np.tile(np.concatenate(item), WALKS), np.tile(np.concatenate(offset), WALKS)
-            order = np.argsort(keys, kind="stable")
-            self.keys, self.item, self.offset = keys[order], item[order], offset[order]
-            self.bits = np.zeros(1 << 22, bool)
-            self.bits[self.keys >> np.uint64(42)] = True
+            base += len(data) + PAD
+        keys = walker.keys(np.concatenate(pieces), np.concatenate(starts))
+        walks = len(keys)
+        item, offset, keys = np.tile(np.concatenate(item), walks), np.tile(np.concatenate(offset), walks), keys.ravel()
+        order = np.argsort(keys, kind="stable")
+        self.keys, self.item, self.offset = keys[order], item[order], offset[order]
+        self.bits = np.zeros(1 << 22, bool)
+        self.bits[self.keys >> np.uint64(42)] = True
+
+    def meet(self, data: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(item, begin): where items would begin in ``data`` for the starts that they meet, each once and by item."""
+        keys = self.walker.keys(data, starts)
+        walk, at = np.nonzero(self.bits[keys >> np.uint64(42)])
+        hit = keys[walk, at]
+        lo, hi = np.searchsorted(self.keys, hit, "left"), np.searchsorted(self.keys, hit, "right")
+        n = hi - lo
+        entry = np.repeat(lo - np.cumsum(n) + n, n) + np.arange(n.sum())
+        both = np.unique((self.item[entry].astype(np.int64) << 32) + np.repeat(starts[at], n) - self.offset[entry] + (1 << 20))
+        return both >> 32, (both & 0xFFFFFFFF) - (1 << 20)
+
+
+class Index:
+    """Items of one block, entered from each word, and those too short for that."""
+
+    def __init__(self, items: list[tuple[int, bytes]]):
+        self.items = items
+        self.short = [i for i, (_, t) in enumerate(items) if 0 < len(t) < LEAST]
+        self.groups = []
+        for k, (least, *shape) in enumerate(CLASSES):
+            below = CLASSES[k + 1][0] if k + 1 < len(CLASSES) else float("inf")
+            own = [i for i, (_, t) in enumerate(items) if least <= len(t) < below]
+            if own:
+                self.groups.append(Group(items, own, Walker(*shape)))
         if self.short:
             import ahocorasick
 
@@ -150,26 +193,42 @@ class Index:
                     for i in hits:
                         start = end - 1 - len(self.items[i][1].decode("utf-8"))
                         best.setdefault((t, i), (0, start))
-        if self.long:
-            data = np.frombuffer(b"\0".join(texts) + b"\0" * (STEPS + 1), np.uint8)
+        if self.groups:
+            data = np.frombuffer(b"\0".join(texts) + b"\0" * PAD, np.uint8)
             base = np.concatenate([[0], np.cumsum([len(t) + 1 for t in texts])])
-            starts = word_starts(data)
-            keys = self.walker.keys(data, starts)
-            walk, at = np.nonzero(self.bits[keys >> np.uint64(42)])
-            hit = keys[walk, at]
-            lo, hi = np.searchsorted(self.keys, hit, "left"), np.searchsorted(self.keys, hit, "right")
-            tried: set = set()
-            for k in np.flatnonzero(hi > lo).tolist():
-                t = int(np.searchsorted(base, starts[at[k]], "right")) - 1
-                for e in range(lo[k], hi[k]):
-                    i = int(self.item[e])
-                    begin = int(starts[at[k]] - base[t] - self.offset[e])
-                    if (t, i) in best and best[t, i][0] == 0 or (t, i, begin) in tried:
-                        continue
-                    tried.add((t, i, begin))
-                    self._try(texts[t], t, i, begin, best)
+            starts, pieces = word_starts(data), pieces_of(data)
+            for group in self.groups:
+                for i, begin in self._likely(*group.meet(data, starts), pieces):
+                    t = min(max(int(np.searchsorted(base, begin, "right")) - 1, 0), len(texts) - 1)
+                    for u in (t, t + 1):  # a passage may begin with less than its item, so before its text
+                        if u < len(texts) and base[u] < begin + len(self.items[i][1]) and best.get((u, i), (1, 0))[0]:
+                            self._try(texts[u], u, i, begin - int(base[u]), best)
         return [(t, i, edits, start) for (t, i), (edits, start) in sorted(best.items())]
 
+    def _likely(self, item: np.ndarray, begin: np.ndarray, pieces: np.ndarray):
+        """The (item, begin) whose surroundings hold enough pieces of the item, then those that hold them at most ``EDITS`` out of place."""
+        cuts = np.append(np.flatnonzero(np.diff(item, prepend=-1)), len(item))
+        held = np.zeros(1 << 16, bool)
+        for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+            i = int(item[a])
+            text = self.items[i][1]
+            own, most = pieces_of(np.frombuffer(text, np.uint8)), int(EDITS * len(text))
+            held[own] = True
+            own = own.astype(np.int32)
+            reach = np.arange(-most, len(text) + most - 2)
+            for c in range(a, b, 4096):
+                some = begin[c:min(b, c + 4096)]
+                at = some[:, None] + reach
+                count = held[pieces[np.clip(at, 0, len(pieces) - 1)]]
+                count &= (at >= 0) & (at < len(pieces))
+                for x in some[count.sum(1) >= len(own) - 3 * most].tolist():
+                    at = x - most + np.arange(len(own) + 2 * most)
+                    near = np.where((at >= 0) & (at < len(pieces)), pieces[np.clip(at, 0, len(pieces) - 1)], -1)
+                    same = np.lib.stride_tricks.sliding_window_view(near, 2 * most + 1) == own[:, None]
+                    if same.any(1).sum() >= len(own) - 3 * most:
+                        yield i, x
+            held[own] = False
+
     def _try(self, text: bytes, t: int, i: int, begin: int, best: dict) -> None:
         item = self.items[i][1]
         most = int(EDITS * len(item))

@@ -14,7 +14,7 @@ import pytest
 sys.path.insert(0, os.path.dirname(os.path.dirname(__file__)))
 from parity import assert_same
 
-from clipforge.llm import license_digests, line_spread, private_spans, quality_cnn, source_mix, token_codes, toxicity
+from clipforge.llm import leak_windows, license_digests, line_spread, private_spans, quality_cnn, source_mix, token_codes, toxicity
 from clipforge.llm.leak_windows import drop_leaks, edit_distance, find_leaks, plain
 from clipforge.llm.queries import ORACLES, QUERIES
 from clipforge.llm.shingle_forest import Shingler, join_documents, keep_one, prefix_length
@@ -319,6 +319,33 @@ def test_leaks_of_whole_table_against_literal_search(spark, sf, documents):
     assert literal <= set(got) and all((e == 0) == (p in literal) for p, e in got.items())
 
 
+@pytest.mark.parametrize("size", [40, 60, 81, 120, 200])
+def test_leaks_with_all_edits_allowed_reach_the_target(duck, size):
+    rng = random.Random(5)
+
+    def damage(item, edits):
+        t = list(item)
+        for at in sorted(rng.sample(range(len(t)), edits), reverse=True):
+            t[at:at + 1] = rng.choice([["q"], [], [t[at], "q"]])
+        return "".join(t)
+
+    texts = sorted({plain(t).decode()[:size].strip() for (t,) in duck.execute("select text from benchmark").fetchall() if t.isascii()})
+    index = leak_windows.Index([(i, t.encode()) for i, t in enumerate(texts) if len(t) >= max(40, size - 1)])
+    docs = [(i, f"the words before {damage(t.decode(), int(0.2 * len(t)))} and what follows") for i, t in index.items for _ in range(4)]
+    within = {i: (t, int(0.2 * len(t))) for i, t in index.items}
+    docs = [(i, d) for i, d in docs if edit_distance(within[i][0], plain(d), within[i][1])[0] <= within[i][1]]  # blanks that meet count as one more edit
+    found = {(t, index.items[i][0]) for t, i, *_ in index.scan([d for _, d in docs])}
+    assert len(docs) > 20 and sum((k, i) in found for k, (i, _) in enumerate(docs)) >= leak_windows.TARGET * len(docs)
+
+
+def test_leaks_in_text_without_blanks():
+    rng = random.Random(8)
+    item = "".join(rng.choice("abcdefghijklmnop") for _ in range(120))
+    index = leak_windows.Index([(1, item.encode())])
+    edited = item[:30] + "q" + item[31:70] + item[71:]
+    assert [(t, i) for t, i, *_ in index.scan(["z" * 90 + edited + "y" * 50, "z" * 300])] == [(0, 0)]
+
+
 def test_leaks_odd_rows(spark):
     items = spark.createDataFrame([(1, "short one"), (2, None), (None, "x"), (3, ""), (4, "a passage that is long enough to be walked over more than once")], "item_id long, text string")
     rows = [*ODD, (20, "has Short  one here", "a"), (21, "shortone", "a"), (22, "intro. A passage that is long enough to be walked  over more than once", "a")]
