@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
+import atexit
+import ctypes
+import re
+import shutil
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -14,14 +19,19 @@ _OWN: dict[str, str] = {}
 def shared_dir(spark: SparkSession) -> str:
     """The folder every executor can reach: ``spark.checkpoint.dir``.
 
-    Only where the session names none (local tests) a temporary folder of this
-    machine is made and used instead.
+    Only where the session names none and runs on this machine alone (local
+    tests) a temporary folder is made and used instead; it goes when the process
+    ends. On a cluster without the setting an error is raised, for files in an
+    executor's own folder would be missed by the others.
     """
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not re.fullmatch(r"local(\[[^,]*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     if "dir" not in _OWN:
         _OWN["dir"] = tempfile.mkdtemp(prefix="clipforge-")
+        atexit.register(shutil.rmtree, _OWN["dir"], ignore_errors=True)
     return _OWN["dir"]
 
 
@@ -69,6 +79,38 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, target: str, per_class:
     return chosen.groupBy("doc_id", "y").agg(F.min(F.coalesce("text", F.lit(""))).alias("text"))
 
 
+_HELD: dict = {}
+
+
+def held(kind: str, what, make):
+    """``make(what)``, kept by a Python worker until it is asked for something else, so at most one model is in memory."""
+    key = (kind, hash(what if isinstance(what, (bytes, str)) else tuple(what)))
+    if key not in _HELD:
+        _HELD.clear()
+        _HELD[key] = make(what)
+    return _HELD[key]
+
+
+def give_back() -> None:
+    """Gives free memory back to the system; a worker lives on between tasks and would keep it."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # not glibc
+        pass
+
+
+def released(batches):
+    """The batches; what they took is given back after every few and after the last."""
+    n = 0
+    for n, batch in enumerate(batches):
+        yield batch
+        del batch
+        if n % 8 == 7:
+            give_back()
+    give_back()
+
+
 def train_once(sample: DataFrame, fit, name: str) -> bytes:
     """Runs ``fit(list of texts, list of labels) -> bytes`` in one task over a bounded sample."""
     def run(batches):

@@ -19,13 +19,14 @@ without labels). Other columns are ignored.
 from __future__ import annotations
 
 import io
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import held_out, labelled_sample, table, train_once
+from .common import held, held_out, labelled_sample, released, table, train_once
 
 N_BAD, N_GOOD = 1500, 3000
 WIDTH, FILTERS, HIDDEN, BLOCK = 6, 16, 16, 128
@@ -149,26 +150,16 @@ def fit(texts: list[str], ys: list[int], epochs: int = 8, batch: int = 16, rate:
     return net.dump()
 
 
-_HELD: dict = {}
-
-
-def _network(model: bytes) -> Network:
-    key = hash(model)
-    if key not in _HELD:
-        _HELD.clear()
-        _HELD[key] = Network.load(model)
-    return _HELD[key]
-
-
 def train(docs: DataFrame, labels: DataFrame) -> bytes:
     return train_once(labelled_sample(docs, labels, "quality", {0: N_BAD, 1: N_GOOD}), fit, "quality")
 
 
 def with_score(docs: DataFrame, model: bytes, name: str = "score") -> DataFrame:
     @F.pandas_udf("double")
-    def score(texts: pd.Series) -> pd.Series:
-        net = _network(model)
-        return pd.Series([net.score(t) for t in texts], dtype="float64")
+    def score(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        net = held("quality", model, Network.load)
+        for texts in released(batches):
+            yield pd.Series([net.score(t) for t in texts], dtype="float64")
 
     return docs.withColumn(name, score(F.coalesce(F.col("text"), F.lit(""))))
 

@@ -2,17 +2,23 @@
 
 Texts are lower-cased and cut at white space; every run of five words is a
 shingle (a text of fewer words is one shingle; a text without words has none and
-links to copies of itself only). Each of ``TREES`` trees orders the distinct texts by a path of
-MinHash values; texts under one prefix of a path are candidates. The prefix is
-shortened from ``LONGEST`` values until a pair at the threshold is met in some
-tree with probability ``RECALL`` (prefix_length).
+links to copies of itself only). Each of ``TREES`` trees orders the distinct
+texts by a path of ``LONGEST`` MinHash values, kept as one number whose leading
+bytes are the prefixes, so a level of the trie is an aggregate over a shifted
+path.
+
+Texts under one prefix are candidates. Prefixes start at ``LONGEST`` values and
+are shortened value by value until the estimated recall is met (``forest_ties``):
+pairs that are met by one tree only, against those met by two, tell how many are
+met by none. Shortening ends at the depth at which a pair at the threshold is met
+with probability ``RECALL`` whatever the data (``prefix_length``).
 
 Exact copies are one node. Nodes under a prefix are tied to its smallest node,
 so a bucket of any size gives one edge for each member, and the components of
 these ties hold every candidate pair. Inside a component all pairs are verified
-exactly on their shingle sets, in blocks of ``BLOCK`` texts: a task holds two
-blocks, whatever the component's size, and gives counts of links and a spanning
-forest, never the pairs.
+exactly on their shingle sets, in blocks of at most about ``BLOCK`` texts and
+``BLOCK_BYTES``: a task holds two blocks, whatever the component's size, and
+gives counts of links and a spanning forest, never the pairs.
 
 ``join_documents`` gives one row per input row: doc_id, class_id (the smallest
 id of all texts linked directly or in steps) and n_links (other rows whose
@@ -26,19 +32,19 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, only_likely, table
+from .common import give_back, materialize, only_likely, released, table
 from .graph import connected
 
 WORDS, THRESHOLD = 5, 0.8
 TREES, LONGEST, RECALL = 24, 8, 0.999
-BLOCK, PACK = 512, 4096
+BLOCK, BLOCK_BYTES = 512, 4 << 20
 
 
 def prefix_length(threshold: float = THRESHOLD, trees: int = TREES, longest: int = LONGEST, recall: float = RECALL) -> int:
-    """The longest prefix at which a pair of ``threshold`` is met with probability ``recall``."""
+    """The longest prefix at which a pair of ``threshold`` is met with probability ``recall``: nothing shorter is needed, whatever the data."""
     for depth in range(longest, 1, -1):
         if 1 - (1 - threshold ** depth) ** trees >= recall:
             return depth
@@ -84,24 +90,25 @@ class Shingler:
 
 
 class Forest:
-    """The key of each tree's prefix for a set of shingles."""
+    """The path of a set of shingles in each tree: ``LONGEST`` MinHash values of eight bits, the first in the leading byte."""
 
-    def __init__(self, trees: int = TREES, depth: int | None = None):
+    def __init__(self, trees: int = TREES):
         rng = np.random.default_rng(4242)
-        self.trees, self.depth = trees, depth or prefix_length(trees=trees)
-        self.a = rng.integers(1, 1 << 63, trees * LONGEST, np.uint64) * np.uint64(2) + np.uint64(1)
-        self.a = self.a.reshape(trees, LONGEST)[:, :self.depth].reshape(-1)  # a shorter prefix is the start of a longer one
-        self.salt = rng.integers(1, 1 << 63, trees, np.uint64)
-
-    def keys(self, shingles: np.ndarray) -> np.ndarray:
-        low = np.full(len(self.a), np.iinfo(np.uint64).max, np.uint64)
-        for i in range(0, len(shingles), 512):
-            np.minimum(low, (shingles[i:i + 512, None] * self.a).min(0), out=low)
-        path = (low >> np.uint64(16)).reshape(self.trees, self.depth)
-        key = self.salt.copy()
-        for j in range(self.depth):
-            key = Shingler._mix(key * np.uint64(0x9E3779B97F4A7C15) + path[:, j])
-        return key.view(np.int64)
+        self.trees = trees
+        self.a = rng.integers(0, 1 << 31, trees * LONGEST, np.uint32) * np.uint32(2) + np.uint32(1)
+        self.b = rng.integers(0, 1 << 32, trees * LONGEST, np.uint32)
+
+    def paths(self, shingles: np.ndarray) -> np.ndarray:
+        low = np.full(len(self.a), np.iinfo(np.uint32).max, np.uint32)
+        code = (shingles >> np.uint64(32)).astype(np.uint32)
+        for i in range(0, len(code), 256):
+            np.minimum(low, ((code[i:i + 256, None] ^ self.b) * self.a).min(0), out=low)
+        values = ((low * np.uint32(0x9E3779B1)) >> np.uint32(24)).astype(np.uint8)
+        return np.ascontiguousarray(values.reshape(self.trees, LONGEST)).view(">u8").ravel().astype(np.uint64).view(np.int64)
+
+
+def _prefix(path: Column, depth: int) -> Column:
+    return F.shiftrightunsigned(path, 8 * (LONGEST - depth))
 
 
 def _marked(docs: DataFrame) -> DataFrame:
@@ -110,20 +117,53 @@ def _marked(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("t1"), F.xxhash64(F.lit(29), text).alias("t2"))
 
 
-def _nodes(docs: DataFrame, trees: int, depth: int) -> DataFrame:
-    """A row for each distinct text: node, t1, t2, its smallest id, how many rows it has (and of that id), and the keys."""
+def _nodes(docs: DataFrame, trees: int, words: int) -> DataFrame:
+    """A row for each distinct text: node, t1, t2, its bytes, its smallest id, how many rows it has (and of that id), and the paths."""
     def sign(batches):
-        cut, forest = Shingler(), Forest(trees, depth)
-        for pdf in batches:
-            keys = [forest.keys(s).tolist() if len(s := cut(t)) else None for t in pdf["text"]]
-            yield pd.DataFrame({"t1": pdf["t1"], "t2": pdf["t2"], "doc_id": pdf["doc_id"].astype("Int64"), "keys": keys})
+        cut, forest, known = Shingler(words), Forest(trees), {}
+        for pdf in released(batches):
+            paths = []
+            for key, text in zip(zip(pdf["t1"].tolist(), pdf["t2"].tolist(), strict=True), pdf["text"], strict=True):
+                if key not in known:  # copies are signed once in a while
+                    if len(known) >= 4096:
+                        known.clear()
+                    known[key] = forest.paths(s) if len(s := cut(text)) else None
+                paths.append(known[key])
+            yield pd.DataFrame({"t1": pdf["t1"], "t2": pdf["t2"], "size": pdf["size"], "paths": paths})
 
     marked = _marked(docs)
     copies = marked.groupBy("t1", "t2", "doc_id").agg(F.count("*").alias("n")).groupBy("t1", "t2").agg(F.min("doc_id").alias("doc"), F.sum("n").alias("copies"), F.min_by("n", F.struct(F.col("doc_id").isNull(), "doc_id")).alias("same"))
-    signed = marked.mapInPandas(sign, "t1 long, t2 long, doc_id long, keys array<long>").groupBy("t1", "t2").agg(F.first("keys").alias("keys"))
+    sized = marked.select("t1", "t2", F.octet_length("text").alias("size"), "text")
+    signed = sized.mapInPandas(sign, "t1 long, t2 long, size int, paths array<long>").groupBy("t1", "t2").agg(F.first("size").alias("size"), F.first("paths").alias("paths"))
     return materialize(copies.join(signed, ["t1", "t2"]).withColumn("node", F.monotonically_increasing_id()), "forest-nodes")
 
 
+def forest_ties(nodes: DataFrame, threshold: float = THRESHOLD, trees: int = TREES, recall: float = RECALL) -> tuple[DataFrame, int]:
+    """(node, head) pairs that share a prefix in some tree, and the depth to which prefixes had to be shortened.
+
+    At each depth the pairs are counted by the number of trees that tie them. Of
+    those that no tree ties there are about f1 (f1 - 1) / 2 (f2 + 1), from the
+    pairs tied once and twice; the depth stands if what is tied is at least
+    ``recall`` of the sum. Pairs below the threshold count as well, so the
+    estimate errs towards shorter prefixes.
+    """
+    paths = nodes.select("node", F.posexplode("paths").alias("tree", "path"))
+    floor = prefix_length(threshold, trees)
+    for depth in range(LONGEST, floor - 1, -1):
+        under = paths.select("node", "tree", _prefix(F.col("path"), depth).alias("prefix"))
+        heads = under.groupBy("tree", "prefix").agg(F.min("node").alias("head"), F.count("*").alias("n")).filter("n > 1").drop("n")
+        heads = materialize(heads, "forest-heads")
+        place = F.xxhash64("tree", "prefix")
+        tied = only_likely(under, place, heads, place).join(heads, ["tree", "prefix"]).filter("node <> head")
+        ties = materialize(tied.groupBy("node", "head").agg(F.count("*").cast("int").alias("met")), "forest-ties")
+        if depth == floor:
+            break
+        n, once, twice = ties.agg(F.count("*"), F.count_if(F.col("met") == 1), F.count_if(F.col("met") == 2)).first()
+        if n >= recall * (n + once * (once - 1) / (2 * (twice + 1))):
+            break
+    return ties, depth
+
+
 def _pairs(left: list[np.ndarray], right: list[np.ndarray] | None, threshold: float) -> np.ndarray:
     """Boolean matrix: which sets of left and right (or of left alone) are similar enough."""
     sets = left + (right or [])
@@ -166,6 +206,7 @@ def _spanning(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
 def _verify(threshold: float, words: int):
     def verify(pdf: pd.DataFrame) -> pd.DataFrame:
         cut, rows = Shingler(words), []
+        give_back()
         for _, part in pdf.groupby(["comp", "i", "j"], sort=False):
             node, copies = part["node"].to_numpy(np.int64), part["copies"].to_numpy(np.int64)
             sets = [cut(t) for t in part["text"]]
@@ -192,17 +233,29 @@ def _verify(threshold: float, words: int):
     return verify
 
 
+def _components(ties: DataFrame) -> DataFrame:
+    """(node, comp). Each node starts from the least of its heads, so a bucket's edges are a few before they meet any other row."""
+    first = materialize(ties.groupBy("node").agg(F.min("head").alias("low"), F.collect_set("head").alias("heads")), "forest-first")  # a head for each tree at most
+    heads = materialize(first.select("low", F.explode("heads").alias("head")).distinct(), "forest-heads")
+    # a head may have lower heads of its own
+    own = first.select("low", F.col("node").alias("head")).join(heads.select("head").distinct(), "head", "left_semi").select("low", "head")
+    labels = connected(heads.unionByName(own).select(F.col("low").alias("a"), F.col("head").alias("b")), "candidates")
+    alone = heads.select(F.col("head").alias("node")).distinct().join(first.select("node"), "node", "left_anti")
+    every = first.select("node", "low").unionByName(alone.select("node", F.col("node").alias("low")))
+    return every.join(labels.withColumnRenamed("node", "low"), "low", "left").select("node", F.coalesce("label", "low").alias("comp"))
+
+
 def _classes(docs: DataFrame, threshold: float, trees: int, words: int) -> DataFrame:
     """Nodes with their links and the root node of their class."""
-    nodes = _nodes(docs, trees, prefix_length(threshold, trees))
-    paths = nodes.select("node", F.explode("keys").alias("key"))
-    heads = paths.groupBy("key").agg(F.min("node").alias("head"), F.count("*").alias("n")).filter("n > 1").drop("n")
-    ties = paths.join(heads, "key").filter("node <> head").select(F.col("node").alias("a"), F.col("head").alias("b")).distinct()
-    parts = connected(ties, "candidates").withColumnRenamed("label", "comp")
-    sizes = parts.groupBy("comp").agg(F.ceil(F.count("*") / F.lit(BLOCK)).cast("int").alias("blocks"))
+    nodes = _nodes(docs, trees, words)
+    ties, _ = forest_ties(nodes, threshold, trees)
+    parts = _components(ties).join(nodes.select("node", "t1", "t2", "doc", "copies", "size"), "node")
+    parts = materialize(parts, "forest-parts")
+    sizes = parts.groupBy("comp").agg(F.greatest(F.ceil(F.count("*") / F.lit(BLOCK)), F.ceil(F.sum("size") / F.lit(BLOCK_BYTES))).cast("int").alias("blocks"))
     placed = parts.join(sizes, "comp").withColumn("blk", F.pmod(F.xxhash64("node"), "blocks").cast("int"))
-    placed = materialize(placed.join(nodes.select("node", "t1", "t2", "doc", "copies"), "node"), "forest-members")
-    packs = max(1, placed.count() // PACK)
+    placed = materialize(placed, "forest-members")
+    n, size = parts.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
+    packs = max(1, n // BLOCK, size // BLOCK_BYTES)
     likely = only_likely(_marked(docs), F.col("t1"), placed, F.col("t1"))
     texts = likely.join(placed, ["t1", "t2"]).filter(F.col("doc_id").eqNullSafe(F.col("doc")))
     texts = texts.groupBy("node", "comp", "blocks", "blk", "copies").agg(F.min("text").alias("text"))
@@ -215,7 +268,7 @@ def _classes(docs: DataFrame, threshold: float, trees: int, words: int) -> DataF
     links = checked.groupBy("node").agg(F.sum("links").alias("links"))
     steps = checked.filter("node <> root").select(F.col("node").alias("a"), F.col("root").alias("b"))
     roots = connected(steps, "classes")
-    return nodes.drop("keys").join(links, "node", "left").join(roots, "node", "left").withColumn("root", F.coalesce("label", "node"))
+    return nodes.drop("paths").join(links, "node", "left").join(roots, "node", "left").withColumn("root", F.coalesce("label", "node"))
 
 
 def _named(docs: DataFrame, threshold: float, trees: int, words: int) -> DataFrame:

@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import scratch_path, shuffle_parts, table
+from .common import held, released, scratch_path, shuffle_parts, table
 
 MAGIC = b"DACF"
 RANK_BITS = 512
@@ -235,18 +235,18 @@ class PieceEncoder:
     def _ordinary(self, texts: list[str]) -> list[np.ndarray]:
         """Texts are taken together up to ``span`` characters; a longer one is cut where white space begins."""
         out: list[np.ndarray] = []
-        held: list[str] = []
+        taken: list[str] = []
         size = 0
         for text in texts:
             if size and size + len(text) > self.span:
-                out += self._span(held)
-                held, size = [], 0
+                out += self._span(taken)
+                taken, size = [], 0
             if len(text) > self.span:
                 out.append(np.concatenate([self._span([p])[0] for p in self._cut(text)]))
             else:
-                held.append(text)
+                taken.append(text)
                 size += len(text)
-        return out + (self._span(held) if held else [])
+        return out + (self._span(taken) if taken else [])
 
     def _cut(self, text: str) -> list[str]:
         import re
@@ -262,15 +262,9 @@ class PieceEncoder:
         return [*parts, text[at:]]
 
 
-_HELD: dict[str, PieceEncoder] = {}
-
-
 def encoder_of(path: str) -> PieceEncoder:
     """One encoder for each worker process, so tasks share what it has learnt."""
-    if path not in _HELD:
-        _HELD.clear()
-        _HELD[path] = PieceEncoder(path, added=True)
-    return _HELD[path]
+    return held("tokens", path, lambda p: PieceEncoder(p, added=True))
 
 
 # --- files -----------------------------------------------------------------------------------
@@ -302,23 +296,23 @@ def write_codes(docs: DataFrame, path: str, tokenizer: str, end_id: int = 2, blo
     def encode(batches):
         encoder, part = encoder_of(tokenizer), TaskContext.get().partitionId()
         seq, start, size = 0, 0, 0
-        doc_ids, counts, held = [], [], []
+        doc_ids, counts, taken = [], [], []
 
         def flush():
-            nonlocal seq, start, size, doc_ids, counts, held
-            row = pd.DataFrame({"part": [part], "seq": [seq], "local_start": [start], "n_docs": [len(counts)], "n_ids": [size], "payload": [_blob(doc_ids, counts, held)]})
+            nonlocal seq, start, size, doc_ids, counts, taken
+            row = pd.DataFrame({"part": [part], "seq": [seq], "local_start": [start], "n_docs": [len(counts)], "n_ids": [size], "payload": [_blob(doc_ids, counts, taken)]})
             seq, start, size = seq + 1, start + size, 0
-            doc_ids, counts, held = [], [], []
+            doc_ids, counts, taken = [], [], []
             return row
 
         tail = np.array([end_id], np.uint32)
-        for pdf in batches:
+        for pdf in released(batches):
             for lo in range(0, len(pdf), 256):
                 some = pdf.iloc[lo:lo + 256]
                 known = some["known"].tolist()
                 for doc_id, ok, ids in zip(some["doc_id"].tolist(), known, encoder.encode(some["text"].tolist()), strict=True):
                     doc_ids.append(doc_id if ok else None)
-                    held += [ids, tail]
+                    taken += [ids, tail]
                     counts.append(len(ids) + 1)
                     size += len(ids) + 1
                     if size >= blob_ids:
@@ -349,7 +343,7 @@ def read_codes(spark: SparkSession, path: str) -> DataFrame:
     first = spark.createDataFrame(starts, "part int, part_start long")
 
     def decode(batches):
-        for pdf in batches:
+        for pdf in released(batches):
             for base, payload in zip(pdf["start"].tolist(), pdf["payload"].tolist(), strict=True):
                 doc_ids, edges, codes = open_blob(payload)
                 sums = [zlib.crc32(codes.slice(int(a), int(b)).astype("<u4").tobytes()) for a, b in zip(edges[:-1], edges[1:], strict=True)]
