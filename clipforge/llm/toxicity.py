@@ -1,12 +1,12 @@
-"""Toxicity: a linear classifier over byte n-grams scaled by naive Bayes log-count ratios.
+"""Toxicity: a linear classifier over character n-grams scaled by naive Bayes log-count ratios.
 
-Texts are lower-cased and read as UTF-8 between two blanks; every run of 3 to 5
-bytes is a feature, present or not, hashed into 2**18 slots. Features are scaled
+Texts are lower-cased and stand between two blanks; every run of 3 to 5
+characters (code points) is a feature, present or not, hashed into 2**18 slots. Features are scaled
 by the log ratio of their smoothed shares among toxic and other training texts,
 and a regularised logistic regression is fitted over them.
 
 The fit uses at most ``N_TOXIC`` and ``N_OTHER`` labelled rows outside the
-held-out fifth (labels.labelled_sample); scoring covers every whole text. Null
+held-out fifth (common.labelled_sample); scoring covers every whole text. Null
 and empty texts get the score of a text without features. Rows that repeat are
 each scored. Without labels of both classes every score is the share of toxic
 labels (0.5 without labels). Other columns pass through ``filter_toxic``.
@@ -15,13 +15,14 @@ labels (0.5 without labels). Other columns pass through ``filter_toxic``.
 from __future__ import annotations
 
 import io
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import held_out, labelled_sample, table, train_once
+from .common import held, held_out, labelled_sample, released, table, train_once
 
 N_TOXIC, N_OTHER = 2500, 4000
 ORDERS = (3, 4, 5)
@@ -36,10 +37,10 @@ class Grams:
         self.seen = np.zeros(1 << BITS, np.int64)
 
     def __call__(self, text: str | None) -> np.ndarray:
-        raw = np.frombuffer(f" {(text or '').lower()} ".encode("utf-8", "replace"), np.uint8)
+        raw = np.frombuffer(f" {(text or '').lower()} ".encode("utf-32-le", "surrogatepass"), "<u4")
         found = []
         for lo in range(0, len(raw), 1 << 20):  # long texts in spans that overlap by what an n-gram needs
-            part = raw[lo:lo + (1 << 20) + ORDERS[-1] - 1].astype(np.uint32) + np.uint32(1)
+            part = raw[lo:lo + (1 << 20) + ORDERS[-1] - 1] + np.uint32(1)
             code = np.zeros(len(part), np.uint32)
             for n in range(1, ORDERS[-1] + 1):
                 if len(part) < n:
@@ -70,7 +71,6 @@ def fit(texts: list[str], ys: list[int], epochs: int = 25, rate: float = 0.05, d
     rows = [r[ratio[r] != 0] for r in rows]
     w, bias, g2, gb2 = np.zeros(size), 0.0, np.full(size, 1e-3), 1e-3
     rng = np.random.default_rng(5)
-    weight = np.where(y == 1, 1.0, 1.0)
     for _ in range(epochs):
         order = rng.permutation(len(rows))
         for lo in range(0, len(order), 128):
@@ -79,7 +79,7 @@ def fit(texts: list[str], ys: list[int], epochs: int = 25, rate: float = 0.05, d
             n = np.array([len(rows[i]) for i in some])
             of = np.repeat(np.arange(len(some)), n)
             z = np.bincount(of, weights=w[idx] * ratio[idx], minlength=len(some)) + bias
-            g = weight[some] * (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y[some]) / len(some)
+            g = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y[some]) / len(some)
             grad = np.bincount(idx, weights=g[of] * ratio[idx], minlength=size) + decay * w
             g2 += grad * grad
             gb2 += g.sum() ** 2
@@ -111,24 +111,14 @@ def train(docs: DataFrame, labels: DataFrame) -> bytes:
 def with_score(docs: DataFrame, model: bytes, name: str = "score") -> DataFrame:
     """Adds the toxicity of every whole text."""
     @F.pandas_udf("double")
-    def score(texts: pd.Series) -> pd.Series:
-        scorer = _scorer(model)
-        return pd.Series([scorer(t) for t in texts], dtype="float64")
+    def score(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        scorer = held("toxicity", model, Scorer)
+        for texts in released(batches):
+            yield pd.Series([scorer(t) for t in texts], dtype="float64")
 
     return docs.withColumn(name, score(F.coalesce(F.col("text"), F.lit(""))))
 
 
-_HELD: dict = {}
-
-
-def _scorer(model: bytes) -> Scorer:
-    key = hash(model)
-    if key not in _HELD:
-        _HELD.clear()
-        _HELD[key] = Scorer(model)
-    return _HELD[key]
-
-
 def filter_toxic(docs: DataFrame, model: bytes) -> DataFrame:
     """The documents that the classifier does not reject, with their own columns."""
     return with_score(docs, model, "toxicity_score_").filter(F.col("toxicity_score_") < THRESHOLD).select(*docs.columns)
