@@ -49,23 +49,34 @@ def boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, lg_k: int = LG_K) -
 
 
 def clean_documents(docs: DataFrame, site: Column, min_sites: int = MIN_SITES) -> DataFrame:
-    """``docs`` with ``clean_text``, ``n_lines`` (not blank) and ``n_removed`` added."""
+    """``docs`` with ``clean_text``, ``n_lines`` (not blank) and ``n_removed`` added (columns of these names are replaced)."""
     sited = docs.select("text", site.alias("site"))
     lines = _lines(sited)
     # equal texts lose the same lines, so one list of places serves all rows of a text
-    places = lines.join(boilerplate(sited, min_sites), ["h1", "h2"], "left_semi").groupBy("t1", "t2").agg(F.collect_set("pos").alias("gone_"))
+    places = lines.join(boilerplate(sited, min_sites), ["h1", "h2"], "left_semi").groupBy("t1", "t2").agg(F.sort_array(F.collect_set("pos")).alias("gone"))
     places = materialize(places, "boilerplate-places")
     text = F.coalesce(F.col("text"), F.lit(""))
-    keyed = docs.withColumns({"k1_": F.xxhash64(text), "k2_": F.xxhash64(F.lit(17), text)})
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns])  # so that no column meets one of the same name
+    keyed = docs.select(row.alias("row"), text.alias("body"), F.xxhash64(text).alias("k1"), F.xxhash64(F.lit(17), text).alias("k2"))
     # only texts that may lose a line meet the list; the others stay where they are
-    marked = marked_likely(keyed, F.col("k1_"), places, F.col("t1"), "likely_")
-    met = marked.filter("likely_").join(places, (F.col("k1_") == F.col("t1")) & (F.col("k2_") == F.col("t2")), "left").drop("t1", "t2")
-    joined = met.unionByName(marked.filter("not likely_").withColumn("gone_", F.lit(None).cast("array<int>"))).drop("k1_", "k2_", "likely_")
-    cut = F.split(text, "\n", -1)
-    gone = F.coalesce(F.col("gone_"), F.array().cast("array<int>"))
-    clean = F.when(F.size(gone) == 0, text).otherwise(F.array_join(F.filter(cut, lambda _, i: ~F.array_contains(gone, i)), "\n"))
-    counted = F.size(F.filter(cut, lambda x: F.trim(x) != ""))
-    return joined.withColumns({"clean_text": clean, "n_lines": counted, "n_removed": F.size(gone)}).drop("gone_")
+    marked = marked_likely(keyed, F.col("k1"), places, F.col("t1"), "likely")
+    met = marked.filter("likely").join(places, (F.col("k1") == F.col("t1")) & (F.col("k2") == F.col("t2")), "left").select("row", "body", "gone")
+    joined = met.unionByName(marked.filter("not likely").select("row", "body", F.lit(None).cast("array<int>").alias("gone")))
+    cut = F.split("body", "\n", -1)
+    gone = F.coalesce(F.col("gone"), F.array().cast("array<int>"))
+    joined = joined.select("row", "body", gone.alias("gone"), cut.alias("cut"))
+
+    def between(k: Column) -> Column:
+        """The lines after the (k-1)th removed one and before the kth."""
+        first = F.when(k == 0, 0).otherwise(F.get("gone", k - 1) + 1)
+        return F.slice("cut", first + 1, F.coalesce(F.get("gone", k), F.size("cut")) - first)
+
+    kept = F.flatten(F.transform(F.sequence(F.lit(0), F.size("gone")), between))
+    clean = F.when(F.size("gone") == 0, F.col("body")).otherwise(F.array_join(kept, "\n"))
+    counted = F.size(F.filter("cut", lambda x: F.trim(x) != ""))
+    added = {"clean_text": clean, "n_lines": counted, "n_removed": F.size("gone")}
+    done = joined.select("row", *[v.alias(k) for k, v in added.items()])
+    return done.select(*[F.col("row")[c].alias(c) for c in docs.columns if c not in added], *added)
 
 
 def op8_line_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
