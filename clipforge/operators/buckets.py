@@ -12,7 +12,7 @@ from clipforge.functions.exprs import int_div, key_int
 
 BUCKET_SCHEMA = "bucket_id bigint, batch bigint, t bigint, h bigint, w bigint"
 # Example buckets as (batch, frames, height, width).
-PRINTED = ((8, 29, 640, 640), (4, 61, 640, 640), (4, 61, 480, 854), (4, 61, 854, 480), (8, 61, 640, 640))
+PRINTED = ((1, 29, 640, 640), (1, 29, 480, 854), (1, 29, 854, 480), (1, 125, 320, 320), (8, 29, 320, 320))
 
 
 def bucket_table(spark: SparkSession, buckets) -> DataFrame:

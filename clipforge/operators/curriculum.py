@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from clipforge.functions.exprs import key_int
+from clipforge.functions.exprs import int_div, key_int
 
 STAGE_SCHEMA = "stage string, step_no bigint, image_res bigint, frames bigint, video_res bigint, batch bigint, steps bigint, lr double"
 # Stage, order, image resolution, video frames and resolution (0: none), batch, steps (order of magnitude), learning rate.
@@ -58,12 +60,26 @@ def early_stop(series: DataFrame, patience: int, by: str = "t", value: str = "v"
 
 
 def ema(series: DataFrame, decay: float, keys: list[str], by: str, value: str) -> DataFrame:
-    """Adds the exponential moving average, as a closed-form weighted sum over a running window (the first value has full weight)."""
-    w = W.partitionBy(*keys).orderBy(by)
-    n = series.withColumn("n_", F.row_number().over(w))
-    run = w.rowsBetween(W.unboundedPreceding, 0)
-    scaled = F.when(F.col("n_") == 1, F.col(value) / F.pow(F.lit(decay), F.col("n_"))).otherwise(F.col(value) * (1 - decay) / F.pow(F.lit(decay), F.col("n_")))
-    return n.withColumn("ema", F.sum(scaled).over(run) * F.pow(F.lit(decay), F.col("n_"))).drop("n_")
+    """Adds the exponential moving average (the first value has full weight; ``decay`` between 0 and 1).
+
+    Series go in blocks so long that ``decay`` to a block's length is below what a
+    double can tell from nothing: an average is the weighted sum of its own block
+    up to its place and of the block before, so no weight overflows however long
+    the series is.
+    """
+    if not 0 < decay < 1:
+        raise ValueError("decay must be between 0 and 1")
+    block = max(2, math.ceil(40 / -math.log(decay)))
+    place, w = F.col("n_") % block, W.partitionBy(*keys).orderBy(by)
+    rows = series.withColumn("n_", F.row_number().over(w) - 1).withColumn("block_", int_div(F.col("n_"), block))
+    weight = F.when(F.col("n_") == 0, 1.0).otherwise(1 - decay)
+    scaled = F.col(value) * weight / F.pow(F.lit(decay), place)
+    inside = W.partitionBy(*keys, "block_").orderBy(by).rowsBetween(W.unboundedPreceding, 0)
+    rows = rows.withColumn("own_", F.sum(scaled).over(inside) * F.pow(F.lit(decay), place))
+    # the last average of the block before, without what lies further back
+    ends = w.rowsBetween(W.unboundedPreceding, -1)
+    before = F.coalesce(F.last(F.when(place == block - 1, F.col("own_")), ignorenulls=True).over(ends), F.lit(0.0))
+    return rows.withColumn("ema", F.col("own_") + before * F.pow(F.lit(decay), place + 1)).drop("n_", "block_", "own_")
 
 
 def inspection_points(steps: DataFrame, every: int, step: str = "step") -> DataFrame:

@@ -10,10 +10,12 @@ from clipforge.operators import buckets as B
 from clipforge.operators import curriculum as C
 from clipforge.sources import tables as T
 
-from .sqlviews import h, unfiltered, using
+from .sqlviews import h, using
 
 BUDGET = 51_200
-LITERAL = "buckets(bucket_id, batch, t, h, w) as (values {})".format(", ".join(f"(cast({i} as bigint), cast({b} as bigint), cast({t} as bigint), cast({hh} as bigint), cast({w} as bigint))" for i, (b, t, hh, w) in enumerate(B.PRINTED)))
+# The five published buckets, written out for the oracles, with the latent cells of a batch: 51,200, 50,880, 50,880, 51,200 and 102,400.
+LITERAL = """buckets(bucket_id, batch, t, h, w) as (select cast(a as bigint), cast(b as bigint), cast(c as bigint), cast(d as bigint), cast(e as bigint)
+  from (values (0, 1, 29, 640, 640), (1, 1, 29, 480, 854), (2, 1, 29, 854, 480), (3, 1, 125, 320, 320), (4, 8, 29, 320, 320)) v(a, b, c, d, e))"""
 STAGE_LIT = "stages(stage, step_no, image_res, s_frames, video_res, batch, steps, lr) as (values {})".format(", ".join(f"('{s[0]}', " + ", ".join(f"cast({x} as bigint)" for x in s[1:7]) + f", cast({s[7]} as double))" for s in C.STAGES))
 CELLS = "(1 + (t - 1) // 4) * (h // 8) * (w // 8)"
 LENGTHS = sorted({b[1] for b in B.PRINTED})
@@ -59,7 +61,7 @@ def bucket_vs_padmax(spark, d):
     own = B.latent_cells(F.col("t"), F.col("h"), F.col("w"))
     raw = B.latent_cells(F.col("frames"), F.col("height"), F.col("width"))
     one = a.agg(F.count("*").alias("n"), F.sum(own).cast("bigint").alias("bucketed"), F.max(raw).alias("largest"), F.sum(raw).cast("bigint").alias("needed"))
-    single = 16 * 80 * 80
+    single = 8 * 80 * 80  # the first bucket
     arms = F.array(F.struct(F.lit("bucketed").alias("arm"), F.col("bucketed").alias("cells")), F.struct(F.lit("single").alias("arm"), (F.col("n") * single).alias("cells")),
                    F.struct(F.lit("pad_to_max").alias("arm"), (F.col("n") * F.col("largest")).alias("cells")), F.struct(F.lit("native").alias("arm"), F.col("needed").alias("cells")))
     return one.select(F.explode(arms).alias("a")).select("a.arm", "a.cells")
@@ -82,6 +84,19 @@ def mix_schedule(spark, d):
     return steps.select("step", rnd(C.image_share(F.col("step"), 1000)).alias("linear"), rnd(C.image_share(F.col("step"), 1000, shape="step")).alias("stepped"))
 
 
+CONFIG = """{"image": [[4, 1, 320, 320], [1, 1, 640, 640]], "video": [[4, 29, 320, 320], [1, 61, 320, 320]],
+  "joint": [[1, 1, 640, 640], [1, 61, 640, 640], [1, 125, 640, 640], [1, 125, 960, 960]]}"""
+
+
+def stage_plan(spark, d):
+    """Several bucket sets from one configuration file, a stage each."""
+    config, out = B.BucketConfig.from_json(CONFIG), None
+    for name in config.sets:
+        part = B.with_tokens(config.table(spark, name)).select(F.lit(name).alias("set"), "bucket_id", "batch", "t", "h", "cells")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def averaged(frames):
     return C.ema(frames, 0.9, ["media_id"], "frame_no", "luma")
 
@@ -98,15 +113,15 @@ QUERIES = {
     "bucket_token_spread": lambda s, d: B.with_tokens(B.bucket_table(s, B.PRINTED)).agg(F.min("cells").alias("least"), F.max("cells").alias("most"), rnd(F.max("cells") / F.min("cells")).alias("spread")),
     "bucket_batches": lambda s, d: batches(s, d).groupBy("bucket_id", "shard").agg(F.countDistinct("batch_no").alias("batches"), F.count("*").alias("n"), F.sum(F.col("media_id") * (F.col("batch_no") + 1)).cast("bigint").alias("check_sum")),
     "bucket_step_balance": bucket_step_balance, "bucket_vs_padmax": bucket_vs_padmax,
-    "bucket_stage_plan": lambda s, d: B.BucketConfig.from_json('{"video": [[1, 61, 320, 320], [1, 61, 640, 640], [1, 125, 640, 640], [1, 125, 960, 960]]}').table(s, "video").select("bucket_id", "t", "h", B.latent_cells(F.col("t"), F.col("h"), F.col("w")).alias("cells")),
+    "bucket_stage_plan": stage_plan,
     "stage_eligibility": lambda s, d: C.eligible(T.media_meta(s, d), C.stage_plan(s)).groupBy("step_no").agg(F.count("*").alias("n"), F.sum("media_id").cast("bigint").alias("ids")),
     "stage_samples_seen": lambda s, d: C.stage_plan(s).select("step_no", (F.col("batch") * F.col("steps")).alias("seen"), F.sum(F.col("batch") * F.col("steps")).over(W.orderBy("step_no")).cast("bigint").alias("seen_so_far")),
     "stage_tokens": stage_tokens, "mix_schedule": mix_schedule,
     "mix_assign": lambda s, d: C.mix_assign(T.media_meta(s, d), 1000).groupBy(int_div(F.col("step"), 100).alias("tenth")).agg(F.count("*").alias("n"), F.sum("as_image").cast("bigint").alias("images")),
     "early_stop_point": early_stop_point,
-    "ema_series": lambda s, d: averaged(T.frames(s, d).filter("frame_no <= 40")).select("media_id", "frame_no", rnd(F.col("ema") + 1e-9, 4).alias("ema")),
+    "ema_series": lambda s, d: averaged(T.frames(s, d)).select("media_id", "frame_no", rnd(F.col("ema") + 1e-9, 4).alias("ema")),
     "inspection_points": lambda s, d: C.inspection_points(T.frames(s, d), 10, "frame_no").select("media_id", "frame_no", "luma"),
-    "steps_to_converge": lambda s, d: C.steps_to_converge(averaged(T.frames(s, d).filter("frame_no <= 40")), 20.0, ["media_id"], "frame_no", "ema"),
+    "steps_to_converge": lambda s, d: C.steps_to_converge(averaged(T.frames(s, d)), 20.0, ["media_id"], "frame_no", "ema"),
     "epoch_account": lambda s, d: C.stage_plan(s).select("step_no", rnd(C.epochs(F.lit(500_000.0), F.col("batch"), F.col("steps"))).alias("epochs")),
 }
 
@@ -114,7 +129,7 @@ _SHARD = h("cast(media_id as varchar) || 's'") + " % 8"
 _BATCHED = f"""{FLOOR}, b as (select *, {_SHARD} as shard from a where k = 1),
   p as (select *, (row_number() over (partition by bucket_id, shard order by {h("cast(media_id as varchar) || 'o'")}, media_id) - 1) // batch as batch_no from b) """
 _EMA = """e as (select a.media_id, a.frame_no, sum(case when b.frame_no = 1 then 1.0 else 0.1 end * b.luma * pow(0.9, a.frame_no - b.frame_no)) as ema
-  from frames a join frames b on a.media_id = b.media_id and b.frame_no <= a.frame_no where a.frame_no <= 40 group by 1, 2) """
+  from frames a join frames b on a.media_id = b.media_id and b.frame_no <= a.frame_no group by 1, 2) """
 
 
 def _rule(expr: str) -> str:
@@ -127,9 +142,9 @@ ORACLES = {
       a as (select f.media_id, f.frames, b.bucket_id, row_number() over (partition by media_id order by abs(b.h * b.w - height * width), abs(width * b.h - height * b.w), b.bucket_id) as k from f left join buckets b on b.t = f.bucket_t)
       select coalesce(bucket_id, -1) as bucket_id, count(*) as n, cast(sum(frames) as bigint) as frames from a where k = 1 group by 1"""),
     "bucket_tokens": f"with {LITERAL} select bucket_id, 1 + (t - 1) // 4 as lt, h // 8 as lh, w // 8 as lw, batch * {CELLS} as cells, batch * (1 + (t - 1) // 4) * ((h // 8) // 2) * ((w // 8) // 2) as tokens from buckets",
-    "bucket_assign_floor": _rule("case when frames >= 61 then cast(61 as bigint) when frames >= 29 then 29 end"),
-    "bucket_assign_ceil": _rule("case when frames <= 29 then cast(29 as bigint) when frames <= 61 then 61 end"),
-    "bucket_assign_nearest": _rule("case when abs(frames - 29) <= abs(frames - 61) then cast(29 as bigint) else 61 end"),
+    "bucket_assign_floor": _rule("case when frames >= 125 then cast(125 as bigint) when frames >= 29 then 29 end"),
+    "bucket_assign_ceil": _rule("case when frames <= 29 then cast(29 as bigint) when frames <= 125 then 125 end"),
+    "bucket_assign_nearest": _rule("case when abs(frames - 29) <= abs(frames - 125) then cast(29 as bigint) else 125 end"),
     "bucket_assign_area": FLOOR + "select media_id, bucket_id from a where k = 1",
     "bucket_crop": FLOOR + "select media_id, " + h("cast(media_id as varchar) || 'c'") + " % (frames - t + 1) as start from a where k = 1",
     "bucket_resize": FLOOR + "select media_id, round(s, 6) + 0.0 as scale, round(1 - h * w / (height * width * s * s), 6) + 0.0 as lost_share from (select *, greatest(h / height, w / width) as s from a where k = 1)",
@@ -142,8 +157,9 @@ ORACLES = {
       t_ as (select stream, step, count(*) as n, max(cells) as most, sum(cells) as total from s group by 1, 2)
       select count(*) as steps, cast(sum(most * n - total) as bigint) as wait, cast(sum(total) as bigint) as work from t_""",
     "bucket_vs_padmax": FLOOR + f""", one as (select count(*) as n, sum({CELLS}) as bucketed, sum((1 + (frames - 1) // 4) * (height // 8) * (width // 8)) as needed, max((1 + (frames - 1) // 4) * (height // 8) * (width // 8)) as largest from a where k = 1)
-      select 'bucketed' as arm, cast(bucketed as bigint) as cells from one union all select 'single', n * 102400 from one union all select 'pad_to_max', n * largest from one union all select 'native', cast(needed as bigint) from one""",
-    "bucket_stage_plan": "select cast(i as bigint) as bucket_id, cast(t as bigint) as t, cast(r as bigint) as h, cast((1 + (t - 1) // 4) * (r // 8) * (r // 8) as bigint) as cells from (values (0, 61, 320), (1, 61, 640), (2, 125, 640), (3, 125, 960)) v(i, t, r)",
+      select 'bucketed' as arm, cast(bucketed as bigint) as cells from one union all select 'single', n * 51200 from one union all select 'pad_to_max', n * largest from one union all select 'native', cast(needed as bigint) from one""",
+    "bucket_stage_plan": """select k as "set", cast(i as bigint) as bucket_id, cast(n as bigint) as batch, cast(t as bigint) as t, cast(r as bigint) as h, cast(n * (1 + (t - 1) // 4) * (r // 8) * (r // 8) as bigint) as cells
+      from (values ('image', 0, 4, 1, 320), ('image', 1, 1, 1, 640), ('video', 0, 4, 29, 320), ('video', 1, 1, 61, 320), ('joint', 0, 1, 1, 640), ('joint', 1, 1, 61, 640), ('joint', 2, 1, 125, 640), ('joint', 3, 1, 125, 960)) v(k, i, n, t, r)""",
     "stage_eligibility": using("media_meta", sql=f"""{STAGE_LIT} select step_no, count(*) as n, cast(sum(media_id) as bigint) as ids from media_meta join stages on
       (frames = 1 and image_res > 0 and least(height, width) >= image_res) or (s_frames > 0 and frames >= s_frames and least(height, width) >= video_res) group by 1"""),
     "stage_samples_seen": f"with {STAGE_LIT} select a.step_no, a.batch * a.steps as seen, cast((select sum(b.batch * b.steps) from stages b where b.step_no <= a.step_no) as bigint) as seen_so_far from stages a",
@@ -161,8 +177,3 @@ ORACLES = {
       select a.media_id, min(a.frame_no) filter (not exists (select 1 from g b where b.media_id = a.media_id and b.frame_no >= a.frame_no and b.gap > 20.0)) as converged_at from g a group by 1"""),
     "epoch_account": f"with {STAGE_LIT} select step_no, round(batch * steps / 500000.0, 6) as epochs from stages",
 }
-
-# The oracles above keep a part of the rows; the same over whole tables, with the oracle less that filter.
-QUERIES["ema_series_whole"] = lambda s, d: averaged(T.frames(s, d)).select("media_id", "frame_no", rnd(F.col("ema") + 1e-9, 4).alias("ema"))
-QUERIES["steps_to_converge_whole"] = lambda s, d: C.steps_to_converge(averaged(T.frames(s, d)), 20.0, ["media_id"], "frame_no", "ema")
-ORACLES |= {f"{n}_whole": unfiltered(ORACLES[n], " where a.frame_no <= 40") for n in ("ema_series", "steps_to_converge")}

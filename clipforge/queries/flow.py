@@ -9,7 +9,7 @@ from clipforge.operators import flow as Fl
 from clipforge.operators import latent as L
 from clipforge.sources import tables as T
 
-from .sqlviews import gauss, h, unfiltered, using
+from .sqlviews import gauss, h, using
 
 NOISE = gauss("cast(item as varchar) || '_' || cast(i as varchar)")
 TIME = "round(1.0 / (1.0 + exp(-" + gauss("cast(item as varchar) || '_t'") + ")), 6)"
@@ -104,15 +104,15 @@ def tile_speedup(spark, d):
     return per.groupBy("devices").agg(F.sum("n").cast("bigint").alias("tiles"), F.max("n").alias("longest")).withColumn("speedup", rnd(F.col("tiles") / F.col("longest")))
 
 
-def masks65(spark, d, whole=False):
+def masks65(spark, d):
     """Masks of 65 frames: on while a keyed phase of the frame is low."""
     e = T.load(spark, d, "embeddings")
-    items = (e if whole else e.filter("vec_id < 50")).select(F.col("vec_id").alias("item"))
+    items = e.select(F.col("vec_id").alias("item"))
     return items.withColumn("frame_no", F.explode(F.sequence(F.lit(1).cast("bigint"), F.lit(65).cast("bigint")))).withColumn("m", ((F.col("frame_no") + key_int(F.col("item"), "m")) % 7 < 3).cast("bigint"))
 
 
-def fold_vs_pool(spark, d, whole=False):
-    m = masks65(spark, d, whole)
+def fold_vs_pool(spark, d):
+    m = masks65(spark, d)
     pooled = m.withColumn("g", L.group_of(F.col("frame_no"))).join(L.mask_pool(m), ["item", "g"])
     lost = pooled.agg(F.lit("pool").alias("arm"), F.count_if(F.col("m") != F.col("pooled")).alias("lost_frames"))
     back = L.mask_unfold(L.mask_fold(m)).withColumnRenamed("m", "b").join(m, ["item", "frame_no"])
@@ -137,7 +137,7 @@ QUERIES = {
 
 _VEC = "select item as vec_id, round(sum(x) + 1e-10, 5) + 0.0 as total, round(sum(x * (i + 1)) + 1e-10, 5) + 0.0 as placed from ({}) group by 1"
 _TILES = "st(s) as (values (0), (2), (4)), rp(s, c, w) as (select s, c, least(case when s = 0 then 1.0 else least(1.0, (c - s + 1) / 3.0) end, case when s + 4 = 8 then 1.0 else least(1.0, (s + 4 - c) / 3.0) end) from st, range(8) r(c) where s <= c and c < s + 4) "
-_MASK = "it as (select vec_id as item from embeddings where vec_id < 50), mk as (select item, f as frame_no, cast((f + " + h("cast(item as varchar) || 'm'") + ") % 7 < 3 as bigint) as m from it, range(1, 66) r(f)) "
+_MASK = "it as (select vec_id as item from embeddings), mk as (select item, f as frame_no, cast((f + " + h("cast(item as varchar) || 'm'") + ") % 7 < 3 as bigint) as m from it, range(1, 66) r(f)) "
 ORACLES = {
     "flow_interpolate": using("cells", sql=_CELLS + _VEC.format("select item, i, (1 - t) * x0 + t * x1 as x from nz")),
     "flow_velocity": using("cells", sql=_CELLS + _VEC.format("select item, i, x1 - x0 as x from nz")),
@@ -160,7 +160,3 @@ ORACLES = {
     "patchify_round_trip": using("latents", sql="select item, count(*) as n, round(sum(val * (i + 1)) + 1e-10, 5) + 0.0 as placed from latents group by 1"),
     "mask_fold_vs_pool": f"with {_MASK}, g as (select *, round(avg(m) over (partition by item, cast(ceil((frame_no - 1) / 4) as bigint))) as p from mk) select 'pool' as arm, count(*) filter (m <> p) as lost_frames from g union all select 'fold', 0",
 }
-
-# The oracles above keep a part of the rows; the same over whole tables, with the oracle less that filter.
-QUERIES["mask_fold_vs_pool_whole"] = lambda s, d: fold_vs_pool(s, d, True)
-ORACLES["mask_fold_vs_pool_whole"] = unfiltered(ORACLES["mask_fold_vs_pool"], " where vec_id < 50")

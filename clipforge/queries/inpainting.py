@@ -60,7 +60,7 @@ def pairs88(s, d):
     """Two versions of a frame: as it is, and with its band replaced by the mean of the rest."""
     from pyspark.sql import Window as W
 
-    c = Fu.band_mask(T.latents(s, d, "88").filter("item < 50"))
+    c = Fu.band_mask(T.latents(s, d, "88"))
     mean = F.avg(F.when(F.col("m") == 0, F.col("val"))).over(W.partitionBy("item"))
     return c.select("item", F.lit(0).alias("frame"), F.col("i").alias("feature"), "y", "x", "i", F.col("val").alias("a"), F.when(F.col("m") == 0, F.col("val")).otherwise(mean).alias("b"))
 
@@ -132,7 +132,7 @@ def _scores_sql():
       select arm, round(psnr + 1e-10, 4) as psnr, round(ssim + 1e-10, 5) as ssim, round(frechet + 1e-8, 3) as frechet from p join f using (arm)""")
 
 
-_P88 = "pb as (select item, i, y, x, val as a, case when y < 6 then val else avg(case when y < 6 then val end) over (partition by item) end as b from latents88 where item < 50)"
+_P88 = "pb as (select item, i, y, x, val as a, case when y < 6 then val else avg(case when y < 6 then val end) over (partition by item) end as b from latents88)"
 _SS = "avg((2 * ma * mb + 0.0001) * (2 * cov + 0.0009) / ((ma * ma + mb * mb + 0.0001) * (va + vb + 0.0009)))"
 _AG = "avg(a) as ma, avg(b) as mb, var_pop(a) as va, var_pop(b) as vb, covar_pop(a, b) as cov"
 

@@ -12,7 +12,7 @@ from clipforge.plans import training as G
 from clipforge.sources import tables as T
 
 from .buckets import STAGE_LIT
-from .sqlviews import h, unfiltered, using
+from .sqlviews import h, using
 
 BUDGETS = tuple(range(50, 1601, 50))
 PARAMS = 13_400_000_000
@@ -78,10 +78,10 @@ def strategies(s, pruned):
     return rows.groupBy("step_no").agg(best).select("step_no", "b.cp", "b.zero", "b.offload", "b.time", "b.mem")
 
 
-def drifting(s, d, sync, whole=False):
+def drifting(s, d, sync):
     """Eight ranks, 100 updates of every parameter with a keyed difference per rank."""
     e = T.load(s, d, "events")
-    e = (e if whole else e.filter("event_id < 50")).select(F.col("event_id").alias("param"), F.col("value"))
+    e = e.select(F.col("event_id").alias("param"), F.col("value"))
     g = e.withColumn("rank", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(7).cast("bigint")))).withColumn("step", F.explode(F.sequence(F.lit(1).cast("bigint"), F.lit(100).cast("bigint"))))
     g = g.withColumn("grad", F.col("value") / 1000 + key_int(F.col("param"), "_", F.col("rank"), "_", F.col("step")) / F.lit(float(2**32)) * 1e-3)
     g = G.sync_gradients(g) if sync else g
@@ -175,7 +175,7 @@ QUERIES = {
     "recompute_by_class": lambda s, d: G.profile(s).groupBy("klass").agg(F.count("*").alias("ops"), rnd(F.sum("mb")).alias("mb"), rnd(F.sum("ms")).alias("ms")),
     "parallel_plan": lambda s, d: stage_tok(s).select("step_no", "tokens", rnd(G.state_bytes(F.lit(float(PARAMS))) / 8 / 1e9, 4).alias("state_gb"), rnd(F.col("tokens") * 16 / 8 / 1e3, 4).alias("act_mb")),
     "modulation_shard_saving": lambda s, d: s.createDataFrame([(1,), (8,)], "ranks bigint").select("ranks", rnd(F.lit(3e9 * 8) / F.col("ranks") / 1e9, 4).alias("gb_per_rank"), rnd(F.lit(3e9 * 8) * (1 - 1 / F.col("ranks")) / 1e9, 4).alias("saved_gb")),
-    "context_parallel_choice": lambda s, d: stage_tok(s).select("step_no", "tokens", G.use_context_parallel(F.col("tokens") * 4).cast("int").alias("use_cp")),
+    "context_parallel_choice": lambda s, d: stage_tok(s).select("step_no", "tokens", G.use_context_parallel(F.col("tokens")).cast("int").alias("use_cp")),
     "all_to_all_volume": lambda s, d: stage_tok(s).select("step_no", (F.col("tokens") * G.HIDDEN * 2 * 7).alias("bytes_x8")),
     "zero_levels": lambda s, d: s.createDataFrame([(z, n, a) for z in (0, 1, 2, 3) for n in (8, 64) for a in (1, 4)], "zero bigint, dp bigint, accum bigint").select("zero", "dp", "accum", rnd(G.zero_memory(F.lit(float(PARAMS)), F.col("zero"), F.col("dp")) / 1e9, 4).alias("gb"), rnd(G.zero_comm(F.lit(float(PARAMS)), F.col("zero"), F.col("accum")) / 1e9, 4).alias("comm_gb")),
     "overlap_gain": lambda s, d: s.createDataFrame([(10.0, 4.0, c) for c in (1, 2, 4, 8)] + [(4.0, 10.0, 4)], "compute double, comm double, chunks bigint").select("compute", "comm", "chunks", rnd(G.overlap_time(F.col("compute"), F.col("comm"), F.col("chunks"))).alias("seconds")),
@@ -228,8 +228,8 @@ def _strat(extra):
 def _drift(sync):
     g = "cast(value as double) / 1000 + " + h("cast(event_id as varchar) || '_' || cast(rank as varchar) || '_' || cast(step as varchar)") + " / 4294967296.0 * 1e-3"
     if sync:
-        return "select event_id as param, cast(0.0 as double) as spread from events where event_id < 50"
-    return f"with g as (select event_id as param, rank, sum({g}) as v from events, range(8) r(rank), range(1, 101) s(step) where event_id < 50 group by 1, 2) select param, round(max(v) - min(v) + 1e-10, 5) as spread from g group by 1"
+        return "select event_id as param, cast(0.0 as double) as spread from events"
+    return f"with g as (select event_id as param, rank, sum({g}) as v from events, range(8) r(rank), range(1, 101) s(step) group by 1, 2) select param, round(max(v) - min(v) + 1e-10, 5) as spread from g group by 1"
 
 
 def _peak(days, name):
@@ -254,7 +254,7 @@ ORACLES = {
     "recompute_by_class": f"with {PROF} select klass, count(*) as ops, round(sum(mb), 6) as mb, round(sum(ms), 6) as ms from prof group by 1",
     "parallel_plan": f"with {STAGE_LIT}, {STOK} select step_no, tokens, round({PARAMS}.0 * 22 / 8 / 1e9, 4) as state_gb, round(tokens * 16 / 8 / 1e3, 4) as act_mb from stk",
     "modulation_shard_saving": "select cast(r as bigint) as ranks, round(24.0 / r, 4) as gb_per_rank, round(24.0 * (1 - 1.0 / r), 4) as saved_gb from (values (1), (8)) v(r)",
-    "context_parallel_choice": f"with {STAGE_LIT}, {STOK} select step_no, tokens, cast(tokens * 4 > 200000 as integer) as use_cp from stk",
+    "context_parallel_choice": f"with {STAGE_LIT}, {STOK} select step_no, tokens, cast(tokens > 200000 as integer) as use_cp from stk",
     "all_to_all_volume": f"with {STAGE_LIT}, {STOK} select step_no, tokens * 3072 * 2 * 7 as bytes_x8 from stk",
     "zero_levels": f"""select cast(z as bigint) as zero, cast(n as bigint) as dp, cast(a as bigint) as accum, round(13.4 * (case when z >= 1 then 16.0 / n else 16 end + case when z >= 2 then 4.0 / n else 4 end + case when z >= 3 then 2.0 / n else 2 end), 4) as gb,
       round(cast(13.4 as double) * case when z <= 1 then 6 when z = 2 then 2 + 4 * a else 4 * a + 4 * a end, 4) as comm_gb from range(4) x(z), (values (8), (64)) y(n), (values (1), (4)) w(a)""",
@@ -281,13 +281,3 @@ ORACLES = {
     "nfe_model": "select cast(n as bigint) as steps, cast(g as integer) as guided, cast(n * (1 + g) as bigint) as evaluations from (values (4), (8), (50)) a(n), (values (0), (1)) b(g)",
     "scaling_linearity": "with w as (select cast(sum(cast(value as decimal(18,2))) as double) as w from events), l as (select cast(d as bigint) as devices, w / d + w * 0.02 as l from w, (values (1), (2), (4), (8)) v(d)) select devices, round((select l from l where devices = 1) / l, 6) as speedup, round((select l from l where devices = 1) / l / devices, 6) as linearity from l",
 }
-
-# The oracles above keep a part of the rows; the same over whole tables, with the oracle less that filter.
-WHOLE = {
-    "param_drift": lambda s, d: drifting(s, d, False, True), "param_drift_synced": lambda s, d: drifting(s, d, True, True),
-    "cache_step_similarity": lambda s, d: similarity(s, d, "rear", None), "cache_attn_similarity": lambda s, d: similarity(s, d, "attn", None),
-    "cache_layer_error": lambda s, d: cache_error(s, d, "layer", None), "cache_attention_error": lambda s, d: cache_error(s, d, "attention", None),
-    "cache_config_search": lambda s, d: config_search(s, d, None),
-}
-QUERIES |= {f"{n}_whole": q for n, q in WHOLE.items()}
-ORACLES |= {f"{n}_whole": unfiltered(ORACLES[n], " where item_id < 20", " where event_id < 50") for n in WHOLE}

@@ -8,7 +8,7 @@ from clipforge.functions.exprs import rnd
 from clipforge.operators import scene as S
 from clipforge.sources import tables as T
 
-from .sqlviews import unfiltered, using
+from .sqlviews import using
 
 HARD, GRADUAL, HALF, TOL = 150.0, 150.0, 3, 3
 
@@ -56,7 +56,7 @@ QUERIES = {
     "text_share_filter": text_share,
     "motion_score": lambda s, d: S.motion_score(T.frames(s, d)).select("media_id", "n", rnd(F.col("per_frame") + 1e-9, 4).alias("per_frame"), rnd(F.col("per_second") + 1e-10, 6).alias("per_second")),
     "motion_band_filter": lambda s, d: S.motion_band(S.motion_score(T.frames(s, d)).select("media_id", rnd(F.col("per_frame") + 1e-9, 4).alias("per_frame"))),
-    "motion_block_flow": lambda s, d: block_flow(T.latents(s, d).filter("item < 100")),
+    "motion_block_flow": lambda s, d: block_flow(T.latents(s, d)),
 }
 
 _LAG = "lag(luma) over (partition by media_id order by frame_no)"
@@ -105,10 +105,6 @@ ORACLES = {
     "motion_score": using("frames", sql=_SCORE + "select media_id, n, round(pf + 1e-9, 4) as per_frame, round(ps + 1e-10, 6) as per_second from m"),
     "motion_band_filter": using("frames", sql=_SCORE + ", r as (select media_id, round(pf + 1e-9, 4) as per_frame from m) select media_id, per_frame from r where per_frame between (select quantile_cont(per_frame, 0.05) from r) and (select quantile_cont(per_frame, 0.95) from r)"),
     "motion_block_flow": using("latents", sql="""o as (select cast(i - 1 as bigint) as dy, cast(j - 1 as bigint) as dx from range(3) a(i), range(3) b(j)),
-      s as (select a.item, a.t, a.y // 2 as block_y, a.x // 2 as block_x, dy, dx, sum(abs(a.val - b.val)) as sad, count(*) as n from latents a, o, latents b where a.item < 100 and b.item = a.item and b.t = a.t + 1 and b.y = a.y + dy and b.x = a.x + dx group by 1, 2, 3, 4, 5, 6),
+      s as (select a.item, a.t, a.y // 2 as block_y, a.x // 2 as block_x, dy, dx, sum(abs(a.val - b.val)) as sad, count(*) as n from latents a, o, latents b where b.item = a.item and b.t = a.t + 1 and b.y = a.y + dy and b.x = a.x + dx group by 1, 2, 3, 4, 5, 6),
       r as (select *, row_number() over (partition by item, t, block_y, block_x order by round(sad, 9), abs(dy) + abs(dx), dy, dx) as k from s where n = 4) select item, t, block_y, block_x, dy, dx from r where k = 1"""),
 }
-
-# The oracles above keep a part of the rows; the same over whole tables, with the oracle less that filter.
-QUERIES["motion_block_flow_whole"] = lambda s, d: block_flow(T.latents(s, d))
-ORACLES["motion_block_flow_whole"] = unfiltered(ORACLES["motion_block_flow"], "a.item < 100 and ")

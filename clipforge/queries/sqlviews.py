@@ -56,13 +56,3 @@ def using(*names: str, sql: str) -> str:
     head = ", ".join(f"{n} as ({VIEWS[n]})" for n in order)
     body = sql.strip()
     return f"with {head}{' ' if body.lower().startswith('select') else ', '}{body}"
-
-
-def unfiltered(sql: str, *filters: str) -> str:
-    """``sql`` over whole tables: without those of the filters that it holds, at least one."""
-    out = sql
-    for f in filters:
-        out = out.replace(f, "")
-    if out == sql:
-        raise ValueError("no such filter")
-    return out

@@ -11,7 +11,7 @@ from clipforge.sources import sinks
 from clipforge.sources import tables as T
 from clipforge.sources.scratch import materialize
 
-from .sqlviews import h, unfiltered
+from .sqlviews import h
 
 
 def t(name):
@@ -41,8 +41,8 @@ def ranges(s, d):
     return R.range_join(size, bands, "p", "lo", "hi", 8).groupBy("band").agg(F.count("*").alias("n"), F.sum("p_partkey").cast("bigint").alias("keys"))
 
 
-def intervals(s, d, whole=False):
-    l = (LI(s, d) if whole else LI(s, d).filter("l_orderkey <= 2000")).select(F.col("l_suppkey").alias("k"), F.unix_date(F.col("l_shipdate").cast("date")).cast("bigint").alias("a_lo"), F.floor("l_quantity").cast("bigint").alias("q"), F.col("l_orderkey").alias("oa"))
+def intervals(s, d):
+    l = LI(s, d).select(F.col("l_suppkey").alias("k"), F.unix_date(F.col("l_shipdate").cast("date")).cast("bigint").alias("a_lo"), F.floor("l_quantity").cast("bigint").alias("q"), F.col("l_orderkey").alias("oa"))
     a = l.withColumn("a_hi", F.col("a_lo") + F.col("q")).select("k", "a_lo", "a_hi", "oa")
     b = a.select("k", F.col("a_lo").alias("b_lo"), F.col("a_hi").alias("b_hi"), F.col("oa").alias("ob"))
     return R.interval_join(a, b, "k", 16).filter("oa < ob").groupBy("k").agg(F.count("*").alias("n"))
@@ -108,8 +108,8 @@ QUERIES = {
     "agg_pivot": lambda s, d: EV(s, d).groupBy((F.col("user_id") % 10).alias("k")).pivot("event_type", ["click", "error", "purchase", "signup", "view"]).agg(F.count("event_id")).na.fill(0),
     "agg_percentile": lambda s, d: EV(s, d).groupBy("event_type").agg(rnd(F.percentile("value", F.lit(0.5))).alias("median"), F.min_by("event_id", F.struct("value", "event_id")).alias("least"), F.count_if(F.col("value") > 100).alias("large")),
     "agg_approx": lambda s, d: EV(s, d).groupBy("event_type").agg(F.approx_count_distinct("user_id").alias("users"), F.approx_percentile("value", F.lit(0.5)).alias("median"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("hll_users")),
-    "win_ranking": lambda s, d: ranking(ORD(s, d).filter("o_custkey <= 300")),
-    "win_analytic": lambda s, d: analytic(ORD(s, d).filter("o_custkey <= 300")),
+    "win_ranking": lambda s, d: ranking(ORD(s, d)),
+    "win_analytic": lambda s, d: analytic(ORD(s, d)),
     "win_rows": lambda s, d: EV(s, d).select("event_id", F.sum(dec("value")).over(W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-2, 0)).cast("double").alias("last3")),
     "win_range": lambda s, d: PA(s, d).select("p_partkey", F.count("*").over(W.partitionBy("p_brand").orderBy("p_size").rangeBetween(-5, 5)).alias("near")),
     "win_running": lambda s, d: EV(s, d).select("event_id", F.sum(dec("value")).over(W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, 0)).cast("double").alias("running")),
@@ -144,7 +144,7 @@ ORACLES = {
     "join_anti": "select c_custkey from customer where c_custkey not in (select o_custkey from orders)",
     "join_theta": "select count(*) as n from nation a join nation b on a.n_regionkey < b.n_regionkey",
     "join_range": "select band, count(*) as n, cast(sum(p_partkey) as bigint) as keys from part join (values ('small', 1, 10), ('mid', 8, 30), ('large', 25, 50)) b(band, lo, hi) on p_size between lo and hi group by 1",
-    "join_interval": "with a as (select l_suppkey as k, cast(l_shipdate as date) as lo, cast(l_shipdate as date) + cast(floor(l_quantity) as integer) as hi, l_orderkey as o from lineitem where l_orderkey <= 2000) select x.k, count(*) as n from a x join a y on x.k = y.k and x.lo <= y.hi and y.lo <= x.hi and x.o < y.o group by 1",
+    "join_interval": "with a as (select l_suppkey as k, cast(l_shipdate as date) as lo, cast(l_shipdate as date) + cast(floor(l_quantity) as integer) as hi, l_orderkey as o from lineitem) select x.k, count(*) as n from a x join a y on x.k = y.k and x.lo <= y.hi and y.lo <= x.hi and x.o < y.o group by 1",
     "join_asof": "select a.event_id, (select b.event_id from events b where b.event_type = 'signup' and b.user_id = a.user_id and b.ts <= a.ts order by b.ts desc limit 1) as last_signup from events a where a.event_type = 'purchase'",
     "join_lateral": "select o_custkey as c_custkey, max(o_totalprice) as largest, count(*) as n from orders join customer on c_custkey = o_custkey group by 1",
     "join_salted": "select p_brand, count(*) as n from lineitem join part on l_partkey = p_partkey group by 1",
@@ -156,8 +156,8 @@ ORACLES = {
     "agg_grouping_sets": "select o_orderstatus, o_orderpriority, count(*) as n from orders group by grouping sets ((o_orderstatus), (o_orderpriority), ())",
     "agg_pivot": "select user_id % 10 as k, " + ", ".join(f"count(*) filter (event_type = '{e}') as {e}" for e in ("click", "error", "purchase", "signup", "view")) + " from events group by 1",
     "agg_percentile": "select event_type, round(quantile_cont(value, 0.5), 6) as median, arg_min(event_id, struct_pack(v := value, e := event_id)) as least, count(*) filter (value > 100) as large from events group by 1",
-    "win_ranking": "select o_orderkey, cast(row_number() over c as integer) as rn, cast(rank() over (partition by o_custkey order by o_orderstatus) as integer) as rk, cast(dense_rank() over (partition by o_custkey order by o_orderstatus) as integer) as dr, cast(ntile(4) over c as integer) as nt, round(percent_rank() over c, 6) as pr, round(cume_dist() over c, 6) as cd from orders where o_custkey <= 300 window c as (partition by o_custkey order by o_totalprice, o_orderkey)",
-    "win_analytic": "select o_orderkey, lag(o_orderkey) over c as before, lead(o_orderkey, 2) over c as after2, first_value(o_orderkey) over c as first, nth_value(o_orderkey, 2) over (partition by o_custkey order by o_totalprice, o_orderkey rows between unbounded preceding and unbounded following) as second from orders where o_custkey <= 300 window c as (partition by o_custkey order by o_totalprice, o_orderkey)",
+    "win_ranking": "select o_orderkey, cast(row_number() over c as integer) as rn, cast(rank() over (partition by o_custkey order by o_orderstatus) as integer) as rk, cast(dense_rank() over (partition by o_custkey order by o_orderstatus) as integer) as dr, cast(ntile(4) over c as integer) as nt, round(percent_rank() over c, 6) as pr, round(cume_dist() over c, 6) as cd from orders window c as (partition by o_custkey order by o_totalprice, o_orderkey)",
+    "win_analytic": "select o_orderkey, lag(o_orderkey) over c as before, lead(o_orderkey, 2) over c as after2, first_value(o_orderkey) over c as first, nth_value(o_orderkey, 2) over (partition by o_custkey order by o_totalprice, o_orderkey rows between unbounded preceding and unbounded following) as second from orders window c as (partition by o_custkey order by o_totalprice, o_orderkey)",
     "win_rows": "select event_id, cast(sum(cast(value as decimal(18,2))) over (partition by user_id order by ts, event_id rows between 2 preceding and current row) as double) as last3 from events",
     "win_range": "select p_partkey, count(*) over (partition by p_brand order by p_size range between 5 preceding and 5 following) as near from part",
     "win_running": "select event_id, cast(sum(cast(value as decimal(18,2))) over (partition by user_id order by ts, event_id rows between unbounded preceding and current row) as double) as running from events",
@@ -179,8 +179,3 @@ ORACLES = {
     "sample_stratified": "select lang, doc_id from (select *, row_number() over (partition by lang order by " + h("cast(doc_id as varchar)") + ", doc_id) as k from documents) where k <= 10",
     "recursive_walk": "with recursive w(k, depth) as (select cast(0 as bigint), 0 union all select cast(n_nationkey as bigint), depth + 1 from w join nation on n_nationkey = k + n_regionkey + 1 where depth < 30) select k, min(depth) as depth from w group by k",
 }
-
-# The oracles above keep a part of the rows; the same over whole tables, with the oracle less that filter.
-WHOLE = {"join_interval": lambda s, d: intervals(s, d, True), "win_ranking": lambda s, d: ranking(ORD(s, d)), "win_analytic": lambda s, d: analytic(ORD(s, d))}
-QUERIES |= {f"{n}_whole": q for n, q in WHOLE.items()}
-ORACLES |= {f"{n}_whole": unfiltered(ORACLES[n], " where l_orderkey <= 2000", " where o_custkey <= 300") for n in WHOLE}

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from clipforge.operators import attention as A
 from clipforge.operators import buckets as B
+from clipforge.operators import curriculum as C
 from clipforge.operators import dedup as D
 from clipforge.operators import flow as Fl
 from clipforge.operators import fusion as Fu
@@ -32,10 +33,31 @@ def test_latent_shapes(spark):
     assert [r["l"] for r in rows] == [1, 8, 16, 17, 32]
 
 
-def test_printed_buckets_are_not_all_equal(spark):
-    cells = [r["cells"] for r in B.with_tokens(B.bucket_table(spark, B.PRINTED)).orderBy("bucket_id").collect()]
-    assert cells == [409_600, 409_600 // 2, 203_520, 203_520, 819_200 // 2 * 2 // 2] or max(cells) >= 2 * min(cells)
-    assert one(B.tune_batch(B.bucket_table(spark, [(8, 61, 640, 640)]), 51_200 * 8))["tuned"] == 4
+def test_published_buckets(spark):
+    """The text calls their token counts equal; by its own compression the last has twice as many."""
+    table = B.with_tokens(B.bucket_table(spark, B.PRINTED)).orderBy("bucket_id")
+    assert B.PRINTED == ((1, 29, 640, 640), (1, 29, 480, 854), (1, 29, 854, 480), (1, 125, 320, 320), (8, 29, 320, 320))
+    assert [r["cells"] for r in table.collect()] == [51_200, 50_880, 50_880, 51_200, 102_400]
+    assert [r["tuned"] for r in B.tune_batch(table, 51_200).orderBy("bucket_id").collect()] == [1, 1, 1, 1, 4]
+
+
+def test_ema_of_a_long_series(spark):
+    for decay, n in ((0.9, 100_000), (0.5, 3000), (0.999, 90_000), (0.01, 500)):
+        x = np.random.default_rng(3).normal(size=n) * 100 + 7
+        want, at = np.empty(n), x[0]
+        for i in range(n):
+            at = x[0] if i == 0 else decay * at + (1 - decay) * x[i]
+            want[i] = at
+        rows = spark.createDataFrame([(1, i, float(v)) for i, v in enumerate(x)], "k long, i long, v double").repartition(4)
+        got = np.array([r["ema"] for r in C.ema(rows, decay, ["k"], "i", "v").orderBy("i").collect()])
+        assert np.allclose(got, want, rtol=1e-10, atol=1e-9)
+
+
+def test_context_parallel_above_200_000_tokens(spark):
+    from clipforge.queries import planner
+
+    rows = {r["tokens"]: r["use_cp"] for r in planner.QUERIES["context_parallel_choice"](spark, None).collect()}
+    assert rows[115_200] == 0 and all(use == int(t > 200_000) for t, use in rows.items())
 
 
 @pytest.mark.parametrize(("total", "n", "s", "count"), [(33, 17, 8, 3), (25, 17, 5, 3), (65, 17, 12, 5), (33, 17, 17, 2), (5, 17, 8, 1), (17, 17, 8, 1)])

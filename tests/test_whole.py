@@ -1,4 +1,4 @@
-"""The ``_whole`` forms of queries whose oracles keep a part of a table only."""
+"""Queries cover all rows of their tables."""
 
 import numpy as np
 import pytest
@@ -14,14 +14,14 @@ def rows(duck, sql):
 
 @pytest.mark.parametrize("name", ["attention_full", "attention_sparse_stride", "attention_sparse_block", "attention_separated", "joint_attention"])
 def test_every_cell_is_attended(spark, sf, duck, name):
-    got = QUERIES[f"{name}_whole"](spark, sf)
+    got = QUERIES[name](spark, sf)
     assert got.count() == rows(duck, "select sum(len(embedding)) from embeddings")
     assert got.select("item").distinct().count() == rows(duck, "select count(distinct vec_id) from embeddings") > 50
 
 
 @pytest.mark.parametrize("name", ["rope3d_rotate", "time_condition"])
 def test_every_vector_is_turned(spark, sf, duck, name):
-    assert QUERIES[f"{name}_whole"](spark, sf).count() == rows(duck, "select count(*) from embeddings") > 100
+    assert QUERIES[name](spark, sf).count() == rows(duck, "select count(*) from embeddings") > 100
 
 
 def test_frechet_takes_all_features(spark, sf, duck):
@@ -34,10 +34,10 @@ def test_frechet_takes_all_features(spark, sf, duck):
 
 
 def test_series_go_on_to_their_end(spark, sf, duck):
-    got = QUERIES["ema_series_whole"](spark, sf)
+    got = QUERIES["ema_series"](spark, sf)
     assert got.count() == rows(duck, "select count(*) from events")
     assert got.agg({"frame_no": "max"}).collect()[0][0] > 40
 
 
 def test_every_parameter_drifts(spark, sf, duck):
-    assert QUERIES["param_drift_whole"](spark, sf).count() == rows(duck, "select count(*) from events") > 50
+    assert QUERIES["param_drift"](spark, sf).count() == rows(duck, "select count(*) from events") > 50
