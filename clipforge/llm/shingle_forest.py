@@ -285,13 +285,14 @@ def join_documents(docs: DataFrame, threshold: float = THRESHOLD, trees: int = T
 
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """The rows of ``docs`` that stand for their class, one for each."""
-    named = _named(docs, threshold, TREES, WORDS).filter("stands").select(F.col("t1").alias("s1_"), F.col("t2").alias("s2_"), F.col("doc").alias("doc_"), F.col("same").alias("same_"))
+    named = _named(docs, threshold, TREES, WORDS).filter("stands").select("t1", "t2", "doc", "same")
     text = F.coalesce(F.col("text"), F.lit(""))
-    tagged = docs.withColumns({"k1_": F.xxhash64(text), "k2_": F.xxhash64(F.lit(29), text)})
-    out = tagged.join(named, (F.col("k1_") == F.col("s1_")) & (F.col("k2_") == F.col("s2_")) & F.col("doc_id").cast("long").eqNullSafe(F.col("doc_")))
-    once = out.filter("same_ = 1").select(*docs.columns)
-    again = out.filter("same_ > 1").dropDuplicates(["s1_", "s2_"]).select(*docs.columns)
-    return once.unionByName(again)
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns])  # so that no column meets one of the same name
+    tagged = docs.select(row.alias("row"), F.xxhash64(text).alias("k1"), F.xxhash64(F.lit(29), text).alias("k2"), F.col("doc_id").cast("long").alias("id"))
+    out = tagged.join(named, (F.col("k1") == F.col("t1")) & (F.col("k2") == F.col("t2")) & F.col("id").eqNullSafe(F.col("doc")))
+    once = out.filter("same = 1").select("row")
+    again = out.filter("same > 1").dropDuplicates(["t1", "t2"]).select("row")
+    return once.unionByName(again).select(*[F.col("row")[c].alias(c) for c in docs.columns])
 
 
 def op1_shingle_forest(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -108,20 +108,24 @@ def train(docs: DataFrame, labels: DataFrame) -> bytes:
     return train_once(labelled_sample(docs, labels, "toxic", {1: N_TOXIC, 0: N_OTHER}), fit, "toxicity")
 
 
-def with_score(docs: DataFrame, model: bytes, name: str = "score") -> DataFrame:
-    """Adds the toxicity of every whole text."""
+def score_of(model: bytes):
+    """The toxicity of a column of whole texts."""
     @F.pandas_udf("double")
     def score(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         scorer = held("toxicity", model, Scorer)
         for texts in released(batches):
             yield pd.Series([scorer(t) for t in texts], dtype="float64")
 
-    return docs.withColumn(name, score(F.coalesce(F.col("text"), F.lit(""))))
+    return score(F.coalesce(F.col("text"), F.lit("")))
+
+
+def with_score(docs: DataFrame, model: bytes, name: str = "score") -> DataFrame:
+    return docs.withColumn(name, score_of(model))
 
 
 def filter_toxic(docs: DataFrame, model: bytes) -> DataFrame:
     """The documents that the classifier does not reject, with their own columns."""
-    return with_score(docs, model, "toxicity_score_").filter(F.col("toxicity_score_") < THRESHOLD).select(*docs.columns)
+    return docs.filter(score_of(model) < THRESHOLD)
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,9 +9,12 @@ product, and the triangle inequality holds. A subtree is left out when
 
 Shards are dealt by a hash of the id, so each holds about ``shard_rows`` rows
 whatever the data. Equal vectors of a shard are one point of its tree that
-lists the smallest ids it may need. Queries come in blocks of about
-``block_rows``; every block meets every shard in a task of its own, and the
-partial lists of a query are cut to its ``k`` nearest.
+lists the smallest ids it may need. Queries come in blocks; a task keeps one
+block with the ``k`` nearest of each query so far and lets the trees of all
+shards pass by one after the other, so what it holds does not grow, the bound
+that prunes a tree is the best of all trees before it, and each query leaves
+with ``k`` rows, to be gathered by no one. Blocks hold at most ``block_rows``
+queries, fewer where there are more tasks than blocks.
 
 Rows with a null id, and vectors that are null, empty, zero or hold null or
 non-finite components take no part. Vectors are compared with those of their
@@ -27,10 +30,9 @@ import io
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import materialize, table
+from .common import materialize, released, shuffle_parts, table
 
 K = 20
 LEAF = 512
@@ -69,9 +71,13 @@ class VantageTree:
         self.nodes[me] = (a, b, vantage, inner_far, outer_near, inner, outer)
         return me
 
-    def search(self, queries: np.ndarray, k: int, relax: float) -> tuple[np.ndarray, np.ndarray]:
-        """Scores and points of the ``k`` best points of each query; -inf and -1 where there are fewer."""
+    def search(self, queries: np.ndarray, k: int, relax: float, floor: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Scores and points of the ``k`` best points of each query; -inf and -1 where there are fewer.
+
+        Points below a query's ``floor``, the least score that it still wants, may be left out.
+        """
         self._q, self._k, self._relax = queries, k, relax
+        self._floor = np.full(len(queries), -np.inf) if floor is None else floor
         self._q2 = (queries * queries).sum(1) + self.m2
         self.best = np.full((len(queries), k), -np.inf)
         self.at = np.full((len(queries), k), -1, np.int64)
@@ -81,7 +87,8 @@ class VantageTree:
         return self.best, self.at
 
     def _reach(self, rows: np.ndarray) -> np.ndarray:
-        kth = self.best[rows].min(1)
+        kth = np.maximum(self.best[rows].min(1), self._floor[rows])
+        kth -= np.where(np.isinf(kth), 0, 1e-9 * (1 + np.abs(kth)))  # ties are not left out
         return np.where(np.isinf(kth), np.inf, np.sqrt(np.maximum(self._q2[rows] - 2 * np.where(np.isinf(kth), 0, kth), 0)))
 
     def _visit(self, node: int, rows: np.ndarray) -> None:
@@ -103,7 +110,7 @@ class VantageTree:
     def _leaf(self, a: int, b: int, rows: np.ndarray) -> None:
         self.seen += len(rows) * (b - a)
         scores = self._q[rows] @ self.points[a:b].T
-        hit = scores.max(1) >= self.best[rows].min(1) - 1e-9
+        hit = scores.max(1) >= np.maximum(self.best[rows].min(1), self._floor[rows]) - 1e-9
         rows, scores = rows[hit], scores[hit]
         if not len(rows):
             return
@@ -151,29 +158,58 @@ def _build(k: int):
 def _pack(pdf: pd.DataFrame) -> pd.DataFrame:
     out = io.BytesIO()
     np.savez(out, ids=pdf["vec_id"].to_numpy(np.int64), vectors=np.array(pdf["vector"].tolist(), np.float64).reshape(len(pdf), -1))
-    return pd.DataFrame({"dim": [int(pdf["dim"].iloc[0])], "block": [int(pdf["block"].iloc[0])], "packed": [out.getvalue()]})
+    return pd.DataFrame({"dim": [int(pdf["dim"].iloc[0])], "block": [int(pdf["block"].iloc[0])], "payload": [out.getvalue()]})
 
 
-def _meet(k: int, relax: float):
-    def meet(trees: pd.DataFrame, blocks: pd.DataFrame) -> pd.DataFrame:
-        empty = pd.DataFrame({"query_id": pd.Series(dtype="int64"), "vec_id": pd.Series(dtype="int64"), "score": pd.Series(dtype="float64")})
-        if not len(trees) or not len(blocks):
-            return empty
-        tree, held = VantageTree.load(trees["tree"].iloc[0]), np.load(io.BytesIO(blocks["packed"].iloc[0]))
-        queries, ids = held["vectors"], held["ids"]
-        _, at = tree.search(queries, k + 1, relax)
+class Nearest:
+    """The ``k`` nearest so far of a block of queries."""
+
+    def __init__(self, block: bytes, k: int, relax: float):
+        held = np.load(io.BytesIO(block))
+        self.queries, self.ids, self.k, self.relax = held["vectors"], held["ids"], k, relax
+        self.scores = np.full((len(self.ids), k), -np.inf)
+        self.found = np.full((len(self.ids), k), np.iinfo(np.int64).max)
+
+    def pass_by(self, tree: VantageTree) -> None:
+        _, at = tree.search(self.queries, self.k + 1, self.relax, self.scores.min(1) if self.k else None)
         q, c = np.nonzero(at >= 0)
         points = at[q, c]
         # the measure itself, summed in one fixed order for every pair
-        exact = np.concatenate([(queries[q[i:i + 65536]] * tree.points[points[i:i + 65536]]).sum(1) for i in range(0, max(1, len(q)), 65536)])
-        upto = np.concatenate([[0], np.cumsum(tree.lengths)])
-        n = tree.lengths[points]
-        ends = np.cumsum(n)
+        exact = np.concatenate([(self.queries[q[i:i + 65536]] * tree.points[points[i:i + 65536]]).sum(1) for i in range(0, max(1, len(q)), 65536)])
+        upto, n = np.concatenate([[0], np.cumsum(tree.lengths)]), tree.lengths[points]
         rows = np.repeat(np.arange(len(points)), n)
-        found = tree.ids[np.arange(len(rows)) - np.repeat(ends - n, n) + np.repeat(upto[points], n)]
-        out = pd.DataFrame({"query_id": ids[q[rows]], "vec_id": found, "score": exact[rows]})
-        out = out[out["query_id"] != out["vec_id"]].sort_values(["query_id", "score", "vec_id"], ascending=[True, False, True])
-        return out.groupby("query_id", sort=False).head(k) if len(out) else empty
+        ids = tree.ids[np.arange(len(rows)) - np.repeat(np.cumsum(n) - n, n) + np.repeat(upto[points], n)]
+        other = ids != self.ids[q[rows]]
+        q, ids, scores = q[rows][other], ids[other], exact[rows][other]
+        some = np.unique(q)  # the others keep what they have
+        place = np.concatenate([np.repeat(some, self.k), q])
+        ids, scores = np.concatenate([self.found[some].ravel(), ids]), np.concatenate([self.scores[some].ravel(), scores])
+        order = np.lexsort((ids, -scores, place))
+        nth = np.arange(len(order)) - np.repeat(np.searchsorted(place[order], some), np.bincount(place, minlength=len(self.ids))[some])
+        order, nth = order[nth < self.k], nth[nth < self.k]
+        self.found[place[order], nth], self.scores[place[order], nth] = ids[order], scores[order]
+
+    def rows(self) -> pd.DataFrame:
+        q, c = np.nonzero(np.isfinite(self.scores))
+        return pd.DataFrame({"query_id": self.ids[q], "rank": (c + 1).astype(np.int32), "vec_id": self.found[q, c], "score": self.scores[q, c]})
+
+
+def _meet(k: int, relax: float):
+    def meet(batches):
+        """Rows come by block: its queries first, then every tree."""
+        now, nearest_ = None, None
+        for pdf in released(batches):
+            for dim, block, shard, payload in zip(pdf["dim"], pdf["block"], pdf["shard"], pdf["payload"], strict=True):
+                if (dim, block) != now:
+                    if nearest_ is not None:
+                        yield nearest_.rows()
+                    now, nearest_ = (dim, block), None
+                if shard < 0:
+                    nearest_ = Nearest(payload, k, relax)
+                elif nearest_ is not None:
+                    nearest_.pass_by(VantageTree.load(payload))
+        if nearest_ is not None:
+            yield nearest_.rows()
 
     return meet
 
@@ -186,23 +222,23 @@ def usable(rows: DataFrame, vector: str = "embedding", key: str = "vec_id") -> D
     return out.filter(~bad & F.exists("vector", lambda x: x != 0)).select(F.size("vector").alias("dim"), "vec_id", "vector")
 
 
-def nearest(rows: DataFrame, queries: DataFrame, k: int = K, relax: float = RELAX, shard_rows: int = 16384, block_rows: int = 2048) -> DataFrame:
+def nearest(rows: DataFrame, queries: DataFrame, k: int = K, relax: float = RELAX, shard_rows: int = 16384, block_rows: int = 16384, least_rows: int = 1024) -> DataFrame:
     """The ``k`` nearest rows of each query: query_id, rank, vec_id, score. Both inputs come from ``usable``."""
     spark = rows.sparkSession
+    tasks = shuffle_parts(spark)
     queries = queries.groupBy("dim", "vec_id").agg(F.min("vector").alias("vector"))
-    counts = rows.groupBy("dim").agg(F.count("*").alias("n")).join(queries.groupBy("dim").agg(F.count("*").alias("q")), "dim")
+    counts = rows.groupBy("dim").agg(F.count("*").alias("n")).join(queries.groupBy("dim").agg(F.count("*").alias("q")), "dim").collect()
     # a row for each length of vector, of which a table has one or a few
-    sizes = spark.createDataFrame([(r["dim"], -(-r["n"] // shard_rows), -(-r["q"] // block_rows)) for r in counts.collect()], "dim int, shards int, blocks int")
+    sizes = spark.createDataFrame([(r["dim"], -(-r["n"] // shard_rows), max(-(-r["q"] // block_rows), min(tasks, -(-r["q"] // least_rows)))) for r in counts], "dim int, shards int, blocks int")
     sized = F.broadcast(sizes)
     dealt = rows.join(sized, "dim").withColumn("shard", F.pmod(F.xxhash64("vec_id"), "shards").cast("int"))
     trees = materialize(dealt.groupBy("dim", "shard").applyInPandas(_build(k), "dim int, shard int, tree binary"), "vantage-trees")
-    packed = queries.join(sized, "dim").withColumn("block", F.pmod(F.xxhash64("vec_id"), "blocks").cast("int")).groupBy("dim", "block").applyInPandas(_pack, "dim int, block int, packed binary")
-    left = trees.join(sized, "dim").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("dim", "shard", "block", "tree")
-    right = packed.join(sized, "dim").withColumn("shard", F.explode(F.sequence(F.lit(0), F.col("shards") - 1))).select("dim", "shard", "block", "packed")
-    keys = ["dim", "shard", "block"]
-    found = left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInPandas(_meet(k, relax), "query_id long, vec_id long, score double")
-    rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    packed = queries.join(sized, "dim").withColumn("block", F.pmod(F.xxhash64("vec_id"), "blocks").cast("int")).groupBy("dim", "block").applyInPandas(_pack, "dim int, block int, payload binary")
+    each = trees.join(sized, "dim").select("dim", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "shard", F.col("tree").alias("payload"))
+    met = packed.select("dim", "block", F.lit(-1).alias("shard"), "payload").unionByName(each)
+    parts = max(1, sum(max(-(-r["q"] // block_rows), min(tasks, -(-r["q"] // least_rows))) for r in counts))
+    met = met.repartition(parts, "dim", "block").sortWithinPartitions("dim", "block", "shard")
+    return met.mapInPandas(_meet(k, relax), "query_id long, rank int, vec_id long, score double")
 
 
 def op3_vantage_trees(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -247,7 +247,7 @@ def test_nearest_exact_with_ties_and_odd_vectors(spark):
     odd = [(2000, None), (2001, [0.0] * 8), (2002, [float("nan")] * 8), (None, [1.0] * 8), (2004, [None] * 8), (2005, []), (2006, [float("inf")] * 8)]
     rows = usable(spark.createDataFrame([*vectors.items(), *odd], "vec_id long, embedding array<float>"))
     got = defaultdict(list)
-    for r in nearest(rows, rows.filter("vec_id % 20 = 0"), k=20, relax=1.0, shard_rows=100, block_rows=8).orderBy("query_id", "rank").collect():
+    for r in nearest(rows, rows.filter("vec_id % 20 = 0"), k=20, relax=1.0, shard_rows=100, block_rows=8, least_rows=3).orderBy("query_id", "rank").collect():
         got[r["query_id"]].append((r["vec_id"], r["score"]))
     want = brute_nearest(vectors, [i for i in vectors if i % 20 == 0], 20)
     assert set(got) == set(want)

@@ -86,6 +86,32 @@ def test_codes_hold_what_the_mix_took(stages):
     assert [r["start"] for r in got] == np.concatenate([[0], np.cumsum([r["n_tokens"] for r in got])[:-1]]).tolist()
 
 
+def test_columns_with_clashing_names_pass_through(spark, stages):
+    from pyspark.sql import functions as F
+
+    own = ["t1", "t2", "k1", "k1_", "s1_", "doc", "same", "row", "row_", "id", "n", "node", "score", "toxicity_score_", "copy", "times", "takes_", "key", "size", "body", "found", "item_id", "likely_", "p_"]
+    docs = common.table(spark, SF, "documents")
+    odd = docs.withColumns({c: F.lit(7) for c in own}).withColumns({"bag": F.create_map(F.lit("k"), F.col("doc_id")), "list": F.array("source"), "a.b": F.lit(1)})
+    for k, (_, f) in enumerate(P.STAGES):
+        docs = f(spark, odd, SF)
+        if k + 1 < len(P.STAGES):
+            assert docs.columns == odd.columns
+            odd = common.materialize(docs, f"clash-{k}")
+            assert all(r[c] == 7 for r in odd.select(*own).collect() for c in own) and odd.filter("bag['k'] <> doc_id").isEmpty()
+        assert k >= 3 or ids(docs.collect()) == ids(stages[k + 1])  # the mix draws by what a row holds
+
+
+def test_stages_take_odd_rows(spark):
+    rows = [(1, None, "en", "a", 0), (2, "", "en", None, 0), (None, "one two", None, "b", 7), (5, "one two", "en", "b", 7), (5, "one two", "en", "b", 7), (6, "x" * 70_000, "en", "a", 70_000), (7, "word " * 30_000, "en", "c", 150_000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    for k, (_, f) in enumerate(P.STAGES):
+        out = f(spark, docs, SF)
+        if k + 1 < len(P.STAGES):
+            assert out.columns == docs.columns
+            docs = common.materialize(out, f"odd-{k}")
+    assert out.count() == docs.count()
+
+
 def test_empty_table(spark):
     docs = common.table(spark, SF, "documents").limit(0)
     for _, f in P.STAGES:
