@@ -24,9 +24,45 @@ def state_bytes(params: Column, weights: int = 2, grads: int = 4, master: int =
     return params * (weights + grads + master + moments + average)
 
 
-def activation_mb(tokens: Column, width_factor: Column) -> Column:
-    """Megabytes (2**20) of a bf16 activation of ``width_factor`` hidden widths, cut over the inner group."""
-    return tokens * HIDDEN * 2 * width_factor / TP / 1048576
+# Bytes that an operation retains, as multiples of batch x sequence x hidden and of batch x heads x sequence.
+RETAINED = {
+    "attention": (2, 64), "out_linear": (2, 0), "ffn_down": (2, 0), "ffn_up": (8, 0), "qkv_linear": (6, 0),
+    "qk_norm": (4, 0), "gate": (2, 0), "norm_modulate": (4, 0), "activation": (8, 0),
+}
+
+
+def activation_mb(op: str, batch: Column, seq: Column, hidden: Column, heads: Column, tp: Column) -> Column:
+    """Megabytes (2**20) that an operation of a block retains for its backward pass, cut over the inner group."""
+    per_hidden, per_head = RETAINED[op]
+    return (batch * seq * hidden * per_hidden + batch * heads * seq * per_head) / tp / 1048576
+
+
+def activation_table(shapes: DataFrame) -> DataFrame:
+    """(shape, op, mb) for rows (shape, b, s, h, a, tp)."""
+    c = F.col
+    each = F.array(*[F.struct(F.lit(op).alias("op"), activation_mb(op, c("b"), c("s"), c("h"), c("a"), c("tp")).alias("mb")) for op in RETAINED])
+    return shapes.select("shape", F.explode(each).alias("o")).select("shape", "o.op", "o.mb")
+
+
+def sequence_rank(tok: Column, tokens: int, ranks: int) -> Column:
+    """Who holds a token where the sequence is cut."""
+    return F.floor(tok * ranks / tokens).cast("bigint")
+
+
+def seq_to_head(values: DataFrame, tokens: int, heads: int, ranks: int) -> DataFrame:
+    """All-to-all from a cut sequence to cut heads: rows (item, tok, head, val) move to the rank of their head.
+
+    Adds source and rank, where a value was and is; rows of an (item, rank) end up
+    in one partition, whole sequences of some heads each.
+    """
+    out = values.withColumns({"source": sequence_rank(F.col("tok"), tokens, ranks), "rank": F.floor(F.col("head") * ranks / heads).cast("bigint")})
+    return out.repartition("item", "rank")
+
+
+def head_to_seq(values: DataFrame, tokens: int, heads: int, ranks: int) -> DataFrame:
+    """The way back: rows move to the rank of their part of the sequence."""
+    out = values.withColumns({"source": F.floor(F.col("head") * ranks / heads).cast("bigint"), "rank": sequence_rank(F.col("tok"), tokens, ranks)})
+    return out.repartition("item", "rank")
 
 
 def recompute_ratio(mb: Column, ms: Column) -> Column:

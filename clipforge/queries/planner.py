@@ -5,10 +5,13 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from clipforge.functions.exprs import floor_int, int_div, key_int, rnd
+from clipforge.operators import latent as L
 from clipforge.operators.buckets import latent_cells
 from clipforge.operators.curriculum import stage_plan
+from clipforge.plans import decouple as D
 from clipforge.plans import inference as I
 from clipforge.plans import training as G
+from clipforge.sources import scratch
 from clipforge.sources import tables as T
 
 from .buckets import STAGE_LIT
@@ -111,29 +114,58 @@ def recovery(s, d):
     return t.filter("phase = 'communication'").groupBy("rank").agg(F.count("*").alias("failures"), F.sum(F.coalesce(F.col("at") - F.col("saved"), F.lit(0).cast("bigint"))).cast("bigint").alias("lost_us"))
 
 
+def decoupled(s, d):
+    """Per rank, from its telemetry: time of data against time of the steps, in one job and in two."""
+    t = T.telemetry(s, d)
+    part = lambda keep: F.sum(F.when(keep, F.col("ms")).otherwise(0.0).cast("decimal(18,2)")).cast("double")
+    r = t.groupBy("rank").agg(part(F.col("phase") == "data").alias("encode"), part(F.col("phase").isin("forward", "backward", "update")).alias("train"))
+    return r.select("rank", *[rnd(c, 2).alias(n) for c, n in zip(D.throughput(F.col("encode"), F.col("train")), ("co_located", "decoupled"), strict=True)])
+
+
+def handoff(s, d):
+    """Latents written by one job and read by another: what the second sees of each medium."""
+    latents = L.causal_pool(T.frames(s, d))
+    folder = scratch.scratch_path(s, "handoff")
+    D.produce(latents, folder)
+    got = D.consume(s, folder, latents.schema)
+    return got.groupBy("media_id").agg(F.count("*").alias("n"), F.sum(F.col("n")).cast("bigint").alias("frames"), rnd(F.sum(F.col("latent") * (F.col("g") + 1)) + 1e-9, 4).alias("placed"))
+
+
+def head_values(s, d):
+    """Sixteen tokens of four heads for each embedding."""
+    return T.latents(s, d).select("item", int_div(F.col("i"), 4).alias("tok"), (F.col("i") % 4).alias("head"), "val")
+
+
+def moves(s, d):
+    """Values that go from each rank to each other where four ranks change from parts of the sequence to heads, and what arrives."""
+    m = G.seq_to_head(head_values(s, d), 16, 4, 4)
+    return m.groupBy("source", "rank").agg(F.count("*").alias("n"), F.countDistinct("tok").alias("tokens"), F.countDistinct("head").alias("heads"), (F.count("*") * 2).alias("bytes"))
+
+
 # --- inference -----------------------------------------------------------------------------------
 
-def trace(s, d, n=20, steps=50):
-    """A smooth keyed trace: per prompt and step eight values that move more at first; of the prompts below ``n``, or of all."""
-    items = T.load(s, d, "benchmark").select("item_id")
-    items = items if n is None else items.filter(F.col("item_id") < n)
-    rows = items.withColumn("step", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(steps - 1).cast("bigint"))))
-    u = lambda j, k: key_int(F.col("item_id"), "_", str(j), k) / F.lit(float(2**32))
-    vec = F.array(*[u(j, "p") + u(j, "q") * F.exp(-F.col("step") / 10.0) + u(j, "r") * F.sin(F.col("step") / 5.0 + j) / 10 for j in range(8)])
-    return rows.withColumn("vec", vec)
+def trace(s, d):
+    return I.layered_trace(I.sample_prompts(T.load(s, d, "benchmark")))
 
 
-def similarity(s, d, cut, n=20):
-    t = trace(s, d, n).withColumn("vec", F.slice("vec", 1, 8) if cut == "rear" else F.slice("vec", 1, 4))
+def rear_similarity(s, d):
+    """Cosine of the rear half's offset with that of the step before, a mean over prompts."""
+    vec = F.transform(F.sort_array(F.collect_list(F.struct("j", "layer"))), lambda x: x["layer"]).alias("vec")
+    t = I.rear_offsets(trace(s, d), [4]).groupBy("item_id", "step").agg(vec)
     return I.step_similarity(t, "item_id", "vec").groupBy("step").agg(rnd(F.avg("similarity") + 1e-10, 5).alias("similarity"))
 
 
-def cache_error(s, d, part, n=20):
-    """Mean squared deviation of reused from fresh values, by interval; the attention part is the faster half."""
-    iv = small(s, [(k,) for k in (1, 2, 3, 4, 5)], "iv bigint")
-    t = trace(s, d, n).withColumn("vec", F.col("vec") if part == "layer" else F.transform(F.slice("vec", 1, 4), lambda x: x * 3))
-    c = I.cached(t.crossJoin(F.broadcast(iv)), ["item_id", "iv"], "vec", F.col("iv"))
-    return c.groupBy("iv").agg(rnd(F.avg(I.error(F.col("vec"), F.col("reused"))) + 1e-12, 7).alias("deviation"))
+def attention_similarity(s, d):
+    """Cosine of each layer's attention with that of the step before, a mean over layers and prompts."""
+    vec = F.transform(F.sort_array(F.collect_list(F.struct("j", "att"))), lambda x: x["att"]).alias("vec")
+    t = trace(s, d).groupBy((F.col("item_id") * I.LAYERS + F.col("layer")).alias("block"), "step").agg(vec)
+    return I.step_similarity(t, "block", "vec").groupBy("step").agg(rnd(F.avg("similarity") + 1e-10, 5).alias("similarity"))
+
+
+def cache_error(s, d, kind):
+    """Mean deviation by layer and interval, cached from the eleventh step on."""
+    c = I.cache_configurations(s, starts=(10,)).filter(F.col("kind") == kind)
+    return I.cache_deviation(trace(s, d), c).groupBy("front", "iv").agg(rnd(F.avg("deviation") + 1e-12, 7).alias("deviation"))
 
 
 def schedule(s, d):
@@ -141,33 +173,28 @@ def schedule(s, d):
     return r.groupBy("iv").agg(F.count_if(I.refreshed(F.col("step"), F.col("iv"))).alias("full_evaluations"), F.sum(F.when(I.refreshed(F.col("step"), F.col("iv")), F.col("step")).otherwise(0)).cast("bigint").alias("steps_sum"))
 
 
-def config_search(s, d, n=20):
-    """Intervals 2-5, rear shares 0.5-0.8, both kinds of cache: of those within a tenth of speed-up the least deviation."""
-    lay = cache_error(s, d, "layer", n).withColumn("kind", F.lit("layer"))
-    att = cache_error(s, d, "attention", n).withColumn("kind", F.lit("attention"))
-    conf = lay.unionByName(att).filter("iv > 1").crossJoin(F.broadcast(small(s, [(x,) for x in (5, 6, 7, 8)], "tenths bigint")))
-    conf = conf.withColumn("speedup", rnd(I.cache_speedup(50, F.col("iv"), F.col("tenths") / 10.0), 4)).withColumn("band", F.floor(F.col("speedup") * 10).cast("bigint"))
-    conf = conf.withColumn("cost", rnd(F.col("deviation") * F.col("tenths") + 1e-12, 6))
-    best = F.min(F.struct("cost", "kind", "iv", "tenths", "speedup")).alias("b")
-    return conf.groupBy("band").agg(best).select("band", "b.kind", "b.iv", "b.tenths", "b.speedup")
+def config_search(s, d):
+    return I.search_cache(I.cache_deviation(trace(s, d), I.cache_configurations(s)))
 
 
 def linearity(s, d):
-    """Latency over devices: work of all events split evenly, and a fixed part."""
-    total = T.load(s, d, "events").agg(F.sum(F.col("value").cast("decimal(18,2)")).cast("double").alias("w"))
-    rows = total.crossJoin(F.broadcast(small(s, [(1,), (2,), (4,), (8,)], "devices bigint"))).withColumn("latency", F.col("w") / F.col("devices") + F.col("w") * 0.02)
-    return I.scaling_linearity(rows, "devices", "latency").select("devices", rnd(F.col("speedup")).alias("speedup"), rnd(F.col("linearity")).alias("linearity"))
+    """Events dealt to the devices of a node, nodes as replicas: latency, throughput, and its share of the ideal."""
+    e = T.load(s, d, "events")
+    rows = I.sharded_latency(e, F.col("value").cast("decimal(18,2)"), key_int(F.col("event_id"), "d"), [1, 2, 4, 8, 16, 32])
+    rows = rows.withColumn("per_request", F.col("latency") / F.col("replicas"))
+    out = I.scaling_linearity(rows, "devices", "per_request")
+    return out.select("devices", "shards", "replicas", rnd(F.col("latency") + 1e-9, 2).alias("latency"), rnd(F.col("speedup") + 1e-10).alias("speedup"), rnd(F.col("linearity") + 1e-10).alias("linearity"))
 
 
 STATES = (("all", 2, 4, 4, 8, 4), ("no_average", 2, 4, 4, 8, 0), ("weights", 2, 0, 0, 0, 0))
-ACT = (("attention", 10), ("out_linear", 8), ("ffn_down", 8), ("ffn_up", 32), ("qkv_linear", 24), ("qk_norm", 16), ("gate", 8), ("norm_modulate", 16), ("activation", 32))
+SHAPES = ((0, 1, 115_200, 3072, 24, 8), (1, 1, 115_200, 3072, 24, 1), (2, 2, 28_800, 2048, 16, 4))
 ENC = ((8, 2), (8, 4), (16, 4), (6, 4), (16, 16), (4, 8))
 
 QUERIES = {
-    "decoupled_throughput": lambda s, d: small(s, [(2.0, 5.0), (4.0, 4.0), (1.0, 8.0)], "encode_s double, train_s double").select("encode_s", "train_s", rnd(F.col("encode_s") + F.col("train_s")).alias("co_located_s"), rnd(F.greatest("encode_s", "train_s")).alias("decoupled_s")),
+    "decoupled_throughput": decoupled, "decoupled_handoff": handoff, "all_to_all_moves": moves,
     "grad_accum_options": lambda s, d: small(s, ENC, "enc_dp bigint, train_dp bigint").filter(F.col("enc_dp") % F.col("train_dp") == 0).withColumn("accum", int_div(F.col("enc_dp"), F.col("train_dp"))),
     "state_memory": lambda s, d: small(s, [(n, float(PARAMS * sum(b))) for n, *b in STATES], "arm string, bytes double").select("arm", rnd(F.col("bytes") / 1e9, 4).alias("gb")),
-    "activation_memory": lambda s, d: small(s, ACT, "op string, factor8 bigint").select("op", rnd(G.activation_mb(F.lit(float(G.TOKENS)), F.col("factor8") / 8.0), 3).alias("mb")),
+    "activation_memory": lambda s, d: G.activation_table(small(s, SHAPES, "shape bigint, b bigint, s bigint, h bigint, a bigint, tp bigint")).select("shape", "op", rnd(F.col("mb"), 3).alias("mb")),
     "recompute_ratio": lambda s, d: G.profile(s).select("op", G.recompute_ratio(F.col("mb"), F.col("ms")).alias("ratio")),
     "recompute_greedy": greedy, "recompute_by_stage": by_stage, "recompute_baselines": baselines,
     "recompute_optimal": lambda s, d: G.optimal_recompute(G.profile(s), bud(s)), "recompute_gap": gap,
@@ -189,7 +216,7 @@ QUERIES = {
     "phase_jitter": lambda s, d: T.telemetry(s, d).groupBy("phase").agg(rnd(F.stddev_samp("ms") + 1e-9, 4).alias("sd"), rnd(F.percentile("ms", F.lit(0.95)) / F.percentile("ms", F.lit(0.5)) + 1e-10, 5).alias("p95_over_p50")),
     "recovery_loss": recovery,
     "mfu_table": lambda s, d: stage_tok(s).select("step_no", rnd(G.mfu(F.lit(6.0 * PARAMS) * F.col("tokens"), F.col("tokens") / 1000.0 + 20, F.lit(64.0), F.lit(3e14))).alias("mfu")),
-    "cache_step_similarity": lambda s, d: similarity(s, d, "rear"), "cache_attn_similarity": lambda s, d: similarity(s, d, "attn"),
+    "cache_step_similarity": rear_similarity, "cache_attn_similarity": attention_similarity,
     "cache_layer_schedule": schedule, "cache_layer_error": lambda s, d: cache_error(s, d, "layer"), "cache_attention_error": lambda s, d: cache_error(s, d, "attention"),
     "cache_config_search": config_search,
     "cache_speedup": lambda s, d: s.createDataFrame([(iv, x) for iv in (2, 3, 4, 5) for x in (5, 6, 7, 8)], "iv bigint, tenths bigint").select("iv", "tenths", I.evaluations(50, F.col("iv")).cast("bigint").alias("full_evaluations"), rnd(I.cache_speedup(50, F.col("iv"), F.col("tenths") / 10.0), 4).alias("speedup")),
@@ -198,21 +225,22 @@ QUERIES = {
 }
 
 
-def u(j, k):
-    return f"({h(f'''cast(item_id as varchar) || '_{j}{k}' ''')} / 4294967296.0)"
-
-
-_TRACE = "tr as (select item_id, cast(s as bigint) as step, j.j as j, case j.j " + " ".join(f"when {j} then {u(j, 'p')} + {u(j, 'q')} * exp(-s / 10.0) + {u(j, 'r')} * sin(s / 5.0 + {j}) / 10" for j in range(8)) + " end as v from benchmark, range(50) t(s), range(8) j(j) where item_id < 20) "
+def u(k):
+    return f"({h(f"""cast(item_id as varchar) || '_' || cast(layer as varchar) || '_' || cast(j as varchar) || '{k}' """)} / 4294967296.0)"
 
 
-def _sim(limit):
-    return f"with {_TRACE}, z as (select a.item_id, a.step, sum(a.v * b.v) / (sqrt(sum(a.v * a.v)) * sqrt(sum(b.v * b.v))) as c from tr a join tr b on a.item_id = b.item_id and a.j = b.j and b.step = a.step - 1 where a.j < {limit} group by 1, 2) select step, round(avg(c) + 1e-10, 5) as similarity from z group by 1"
+_TRACE = f"""pr as (select item_id from benchmark order by {h("cast(item_id as varchar) || 'v'")}, item_id limit 20),
+  am as (select item_id, layer, j, {u('a')} as a, {u('b')} as b, {u('c')} as c, {u('d')} as d from pr, range(8) l(layer), range(4) w(j)),
+  tr as (select item_id, cast(layer as bigint) as layer, j, cast(s as bigint) as step, a * exp(-s / (4.0 + layer)) + b * cos(s / (5.0 + layer) + j) / 4 as att, c * exp(-s / (8.0 + layer)) + d * sin(s / (12.0 + layer) + j) / 8 as ffn from am, range(50) t(s)) """
+_COS = "sum(a.v * b.v) / (sqrt(sum(a.v * a.v)) * sqrt(sum(b.v * b.v)))"
+_DEVIATION = """re as (select item_id, cast(f as bigint) as front, j, step, sum(att + ffn) as whole, sum(att) as att from tr, range(2, 7) g(f) where layer >= f group by 1, 2, 3, 4),
+  cf as (select kind, cast(f as bigint) as front, cast(i as bigint) as iv, cast(s as bigint) as start from (values ('layer'), ('attention')) a(kind), range(2, 7) b(f), range(2, 6) c(i), (values (10), (15), (20)) e(s)),
+  dv as (select x.item_id, kind, x.front, iv, start, sum(case when kind = 'layer' then (x.whole - y.whole) * (x.whole - y.whole) else (x.att - y.att) * (x.att - y.att) end) / 50 as deviation
+    from cf join re x on x.front = cf.front join re y on y.front = x.front and y.item_id = x.item_id and y.j = x.j and y.step = case when x.step < start then x.step else start + ((x.step - start) // iv) * iv end group by 1, 2, 3, 4, 5) """
 
 
-def _err(part):
-    rows = "v" if part == "layer" else "v * 3 as v"
-    where = "" if part == "layer" else "where j < 4"
-    return f"(select iv, round(avg(e) + 1e-12, 7) as deviation from (select iv, a.item_id, a.step, sum((a.v - b.v) * (a.v - b.v)) as e from (select item_id, step, j, {rows} from tr {where}) a, (select cast(i as bigint) as iv from range(1, 6) r(i)) r, (select item_id, step, j, {rows} from tr {where}) b where b.item_id = a.item_id and b.j = a.j and b.step = case when a.step < 10 then a.step else 10 + ((a.step - 10) // iv) * iv end group by 1, 2, 3) group by 1)"
+def _err(kind):
+    return f"with {_TRACE}, {_DEVIATION} select front, iv, round(avg(deviation) + 1e-12, 7) as deviation from dv where kind = '{kind}' and start = 10 group by 1, 2"
 
 
 _SPEED = "50.0 / (10 + ceil(40 / iv) + (40 - ceil(40 / iv)) * (1 - tenths / 10.0))"
@@ -238,10 +266,16 @@ def _peak(days, name):
 
 
 ORACLES = {
-    "decoupled_throughput": "select cast(a as double) as encode_s, cast(b as double) as train_s, cast(a + b as double) as co_located_s, cast(greatest(a, b) as double) as decoupled_s from (values (2, 5), (4, 4), (1, 8)) v(a, b)",
+    "decoupled_throughput": using("telemetry", sql="r as (select rank, sum(case when phase = 'data' then cast(ms as decimal(18,2)) else 0 end) as e, sum(case when phase in ('forward', 'backward', 'update') then cast(ms as decimal(18,2)) else 0 end) as t from telemetry group by 1) select rank, cast(e + t as double) as co_located, cast(greatest(e, t) as double) as decoupled from r"),
+    "decoupled_handoff": using("frames", sql="l as (select media_id, cast(ceil((frame_no - 1) / 4) as bigint) as g, avg(luma) as latent, count(*) as n from frames group by 1, 2) select media_id, count(*) as n, cast(sum(n) as bigint) as frames, round(sum(latent * (g + 1)) + 1e-9, 4) as placed from l group by 1"),
+    "all_to_all_moves": using("latents", sql="m as (select (i // 4) // 4 as source, i % 4 as rank, i // 4 as tok, i % 4 as head from latents) select source, rank, count(*) as n, count(distinct tok) as tokens, count(distinct head) as heads, count(*) * 2 as bytes from m group by 1, 2"),
     "grad_accum_options": "select cast(a as bigint) as enc_dp, cast(b as bigint) as train_dp, cast(a // b as bigint) as accum from (values " + ", ".join(map(str, ENC)) + ") v(a, b) where a % b = 0",
     "state_memory": "select a as arm, round(cast(13.4 as double) * b, 4) as gb from (values ('all', 22), ('no_average', 18), ('weights', 2)) v(a, b)",
-    "activation_memory": "select op, round(115200.0 * 3072 * 2 * (f / 8.0) / 8 / 1048576, 3) as mb from (values " + ", ".join(f"('{o}', {f})" for o, f in ACT) + ") v(op, f)",
+    "activation_memory": """with v as (select * from (values (0, 1.0, 115200.0, 3072.0, 24.0, 8.0), (1, 1.0, 115200.0, 3072.0, 24.0, 1.0), (2, 2.0, 28800.0, 2048.0, 16.0, 4.0)) t(shape, b, s, h, a, tp)),
+      m as (select shape, 'attention' as op, (2 * b * s * h + 64 * b * a * s) / tp as x from v union all select shape, 'out_linear', 2 * b * s * h / tp from v union all select shape, 'ffn_down', 2 * b * s * h / tp from v
+        union all select shape, 'ffn_up', 8 * b * s * h / tp from v union all select shape, 'qkv_linear', 6 * b * s * h / tp from v union all select shape, 'qk_norm', 4 * b * s * h / tp from v
+        union all select shape, 'gate', 2 * b * s * h / tp from v union all select shape, 'norm_modulate', 4 * b * s * h / tp from v union all select shape, 'activation', 8 * b * s * h / tp from v)
+      select cast(shape as bigint) as shape, op, round(cast(x as double) / 1048576, 3) as mb from m""",
     "recompute_ratio": f"with {PROF} select op, round(mb / ms, 1) as ratio from prof",
     "recompute_greedy": f"with {PROF}, {BUD}, {GREEDY} select need, count(*) as ops, round(sum(mb), 6) as saved_mb, round(sum(ms), 6) as ms from gr group by 1",
     "recompute_by_stage": f"""with {STAGE_LIT}, {STOK}, {PROF}, r as (select step_no, op_id, mb * tokens / 115200.0 as mb, ms * case when op = 'attention' then (tokens / 115200.0) * (tokens / 115200.0) else tokens / 115200.0 end as ms from prof, stk),
@@ -272,12 +306,17 @@ ORACLES = {
     "recovery_loss": using("telemetry", sql="""c as (select a.rank, a.event_id, epoch_us(a.ts) as at_, max(epoch_us(b.ts)) as saved from telemetry a left join telemetry b on a.rank = b.rank and b.phase = 'data' and (b.ts < a.ts or (b.ts = a.ts and b.event_id < a.event_id)) where a.phase = 'communication' group by 1, 2, 3)
       select rank, count(*) as failures, cast(sum(coalesce(at_ - saved, 0)) as bigint) as lost_us from c group by 1"""),
     "mfu_table": f"with {STAGE_LIT}, {STOK} select step_no, round(6.0 * {PARAMS}.0 * tokens / ((tokens / 1000.0 + 20) * 64.0 * 3e14), 6) as mfu from stk",
-    "cache_step_similarity": _sim(8), "cache_attn_similarity": _sim(4),
+    "cache_step_similarity": f"with {_TRACE}, v as (select item_id, step, j, sum(att + ffn) as v from tr where layer >= 4 group by 1, 2, 3), z as (select a.item_id, a.step, {_COS} as c from v a join v b on a.item_id = b.item_id and a.j = b.j and b.step = a.step - 1 group by 1, 2) select step, round(avg(c) + 1e-10, 5) as similarity from z group by 1",
+    "cache_attn_similarity": f"with {_TRACE}, v as (select item_id, layer, step, j, att as v from tr), z as (select a.item_id, a.layer, a.step, {_COS} as c from v a join v b on a.item_id = b.item_id and a.layer = b.layer and a.j = b.j and b.step = a.step - 1 group by 1, 2, 3) select step, round(avg(c) + 1e-10, 5) as similarity from z group by 1",
     "cache_layer_schedule": "select cast(iv as bigint) as iv, count(*) filter (s < 10 or (s - 10) % iv = 0) as full_evaluations, cast(sum(case when s < 10 or (s - 10) % iv = 0 then s else 0 end) as bigint) as steps_sum from range(50) t(s), (values (2), (3), (4), (5)) v(iv) group by 1",
-    "cache_layer_error": f"with {_TRACE} select * from {_err('layer')}", "cache_attention_error": f"with {_TRACE} select * from {_err('attention')}",
-    "cache_config_search": f"""with {_TRACE}, c as (select 'layer' as kind, * from {_err('layer')} union all select 'attention', * from {_err('attention')}), f as (select kind, iv, cast(t as bigint) as tenths, deviation from c, (values (5), (6), (7), (8)) v(t) where iv > 1),
-      g as (select *, round(cast({_SPEED} as double), 4) as speedup, round(deviation * tenths + 1e-12, 6) as cost from f), k as (select *, cast(floor(speedup * 10) as bigint) as band from g), r as (select *, row_number() over (partition by band order by cost, kind, iv, tenths) as n from k) select band, kind, iv, tenths, speedup from r where n = 1""",
+    "cache_layer_error": _err("layer"), "cache_attention_error": _err("attention"),
+    "cache_config_search": f"""with {_TRACE}, {_DEVIATION}, mn as (select kind, front, iv, start, avg(deviation) as dev, stddev_pop(deviation) as sp, 10 * 0 + start + ceil((50 - start) / iv) as full_ from dv group by 1, 2, 3, 4),
+      sp as (select kind, front, iv, start, round(dev + 1e-12, 7) as deviation, round(sp + 1e-12, 6) as spread, round(400.0 / (400 - (50 - full_) * (8 - front) * case when kind = 'layer' then 1.0 else 0.6 end) + 1e-9, 4) as speedup from mn),
+      bd as (select *, cast(floor(speedup * 10) as bigint) as band from sp), rk as (select *, row_number() over (partition by kind, band order by deviation, front, iv, start) as n from bd)
+      select kind, band, front, iv, start, cast(speedup as double) as speedup, deviation, spread from rk where n = 1""",
     "cache_speedup": f"select cast(iv as bigint) as iv, cast(tenths as bigint) as tenths, cast(10 + ceil(40 / iv) as bigint) as full_evaluations, round(cast({_SPEED} as double), 4) as speedup from (values (2), (3), (4), (5)) a(iv), (values (5), (6), (7), (8)) b(tenths)",
     "nfe_model": "select cast(n as bigint) as steps, cast(g as integer) as guided, cast(n * (1 + g) as bigint) as evaluations from (values (4), (8), (50)) a(n), (values (0), (1)) b(g)",
-    "scaling_linearity": "with w as (select cast(sum(cast(value as decimal(18,2))) as double) as w from events), l as (select cast(d as bigint) as devices, w / d + w * 0.02 as l from w, (values (1), (2), (4), (8)) v(d)) select devices, round((select l from l where devices = 1) / l, 6) as speedup, round((select l from l where devices = 1) / l / devices, 6) as linearity from l",
+    "scaling_linearity": f"""with e as (select cast(value as decimal(18,2)) as w, {h("cast(event_id as varchar) || 'd'")} as k from events), t as (select cast(d as bigint) as devices, cast(least(d, 8) as bigint) as shards, cast(greatest(1, d // 8) as bigint) as replicas from (values (1), (2), (4), (8), (16), (32)) v(d)),
+      l as (select devices, shards, replicas, k % shards as sh, sum(w) as w from e, t group by 1, 2, 3, 4), m as (select devices, shards, replicas, cast(max(w) as double) + cast(sum(w) as double) * cast(0.01 as double) * log2(shards) as latency from l group by 1, 2, 3),
+      p as (select *, latency / replicas as per from m) select devices, shards, replicas, round(latency + 1e-9, 2) as latency, round((select per from p where devices = 1) / per + 1e-10, 6) as speedup, round((select per from p where devices = 1) / per / devices + 1e-10, 6) as linearity from p""",
 }

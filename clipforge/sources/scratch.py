@@ -2,22 +2,37 @@
 
 from __future__ import annotations
 
+import atexit
+import re
+import shutil
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 _LOCAL: list[str] = []
 
 
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Writes ``df`` and reads it back, which cuts lineage. A folder of this machine is used only where the session names none."""
-    spark = df.sparkSession
+def scratch_path(spark: SparkSession, name: str) -> str:
+    """A fresh path in the folder that all executors share.
+
+    Where the session names none and runs on this machine alone, a temporary
+    folder is made, which goes when the process ends; on a cluster an error is
+    raised, for files in an executor's own folder would be missed by the others.
+    """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not re.fullmatch(r"local(\[[^,]*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         if not _LOCAL:
             _LOCAL.append(tempfile.mkdtemp(prefix="clipforge-"))
+            atexit.register(shutil.rmtree, _LOCAL[0], ignore_errors=True)
         base = _LOCAL[0]
-    path = f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+def materialize(df: DataFrame, name: str) -> DataFrame:
+    """Writes ``df`` and reads it back, which cuts lineage."""
+    path = scratch_path(df.sparkSession, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -1,6 +1,7 @@
 """Worked examples, invariants and odd rows of the methods."""
 
 import itertools
+from collections import defaultdict
 
 import numpy as np
 import pytest
@@ -246,3 +247,80 @@ def test_plans(spark, sf):
     assert "Exchange" not in assigned and "Python" not in assigned
     moved = plan_of(S.clips_from_cuts(S.split_by_delta(T.frames(spark, sf), 150.0)))
     assert moved.count("Exchange hashpartitioning") <= 2 and "CartesianProduct" not in moved
+
+
+def test_activations_are_those_of_the_published_table(spark):
+    from clipforge.queries import planner
+
+    rows = {(r["shape"], r["op"]): r["mb"] for r in planner.QUERIES["activation_memory"](spark, None).collect()}
+    printed = {"attention": 106, "out_linear": 84, "ffn_down": 84, "ffn_up": 337, "qkv_linear": 252, "qk_norm": 168, "gate": 84, "norm_modulate": 168, "activation": 337}
+    assert all(abs(rows[0, op] - mb) <= 0.005 * mb + 0.5 for op, mb in printed.items())
+    assert rows[1, "gate"] == pytest.approx(8 * rows[0, "gate"], rel=1e-5)
+
+
+def test_all_to_all_and_back(spark):
+    rows = [(i, t, h, float(t * 4 + h)) for i in range(3) for t in range(16) for h in range(4)]
+    df = spark.createDataFrame(rows, "item long, tok long, head long, val double")
+    there = G.seq_to_head(df, 16, 4, 4)
+    per = there.groupBy("item", "rank").agg(F.countDistinct("tok").alias("t"), F.countDistinct("head").alias("h")).collect()
+    assert all((r["t"], r["h"]) == (16, 1) for r in per)
+    back = G.head_to_seq(there.drop("source", "rank"), 16, 4, 4)
+    assert back.filter("rank <> floor(tok * 4 / 16)").isEmpty() and sorted(tuple(r) for r in back.select("item", "tok", "head", "val").collect()) == sorted(rows)
+    together = there.withColumn("p", F.spark_partition_id()).groupBy("item", "rank").agg(F.countDistinct("p").alias("n")).collect()
+    assert all(r["n"] == 1 for r in together)
+
+
+def test_layer_caches_are_steadier_than_attention_caches(spark, sf):
+    """At equal speed-up: less deviation, and less spread of it over prompts."""
+    from clipforge.queries import planner
+
+    rows = planner.QUERIES["cache_config_search"](spark, sf).collect()
+    layer, attention = ({r["band"]: r for r in rows if r["kind"] == k} for k in ("layer", "attention"))
+    both = set(layer) & set(attention)
+    assert both and max(r["speedup"] for r in layer.values()) >= 1.67
+    assert all(r["start"] >= 10 for r in rows)
+    assert np.mean([layer[b]["deviation"] / attention[b]["deviation"] for b in both]) < 1 and np.mean([layer[b]["spread"] / attention[b]["spread"] for b in both]) < 1
+
+
+def test_cached_features_are_the_last_refreshed(spark):
+    from clipforge.plans import inference as I
+
+    t = I.layered_trace(spark.createDataFrame([(1,), (2,)], "item_id long"))
+    conf = I.cache_configurations(spark, fronts=(3,), intervals=(4,), starts=(10,)).filter("kind = 'layer'")
+    got = {r["item_id"]: r["deviation"] for r in I.cache_deviation(t, conf).collect()}
+    rows = defaultdict(float)
+    for r in t.filter("layer >= 3").collect():
+        rows[r["item_id"], r["j"], r["step"]] += r["att"] + r["ffn"]
+    for item in (1, 2):
+        used = lambda s: s if s < 10 else 10 + (s - 10) // 4 * 4
+        want = sum((rows[item, j, s] - rows[item, j, used(s)]) ** 2 for j in range(4) for s in range(50)) / 50
+        assert got[item] == pytest.approx(want)
+
+
+def test_trainer_streams_what_the_encoder_writes(spark, tmp_path):
+    from clipforge.plans import decouple as D
+    from clipforge.streaming import telemetry as St
+
+    folder = str(tmp_path / "latents")
+    df = spark.createDataFrame([(i, float(i)) for i in range(100)], "k long, v double")
+    D.produce(df.filter("k < 50"), folder)
+    D.produce(df.filter("k >= 50"), folder)
+    got, _ = St.run_stream(D.consume_stream(spark, folder, df.schema), "handoff")
+    assert sorted(tuple(r) for r in got.collect()) == sorted(tuple(r) for r in df.collect()) == sorted(tuple(r) for r in D.consume(spark, folder, df.schema).collect())
+
+
+def test_scratch_needs_a_shared_folder_on_a_cluster():
+    from clipforge.sources import scratch
+
+    class Conf:
+        def get(self, key, default=None):
+            return default
+
+    class Context:
+        master = "spark://host:7077"
+
+    class Session:
+        conf, sparkContext = Conf(), Context()
+
+    with pytest.raises(ValueError):
+        scratch.scratch_path(Session(), "x")
