@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from clipforge.functions.exprs import key_int
+from clipforge.functions.exprs import gauss, key_int
 
 
 def window_starts(total: int, n: int, s: int) -> list[int]:
@@ -158,11 +158,87 @@ def fill_mean(track: DataFrame) -> DataFrame:
     return track.withColumn("filled", F.when(F.col("m") == 0, F.col("val")).otherwise(F.coalesce(mean, F.lit(0.0))))
 
 
-def inpaint(track: DataFrame, steps: int, n: int = 17, s: int = 8) -> DataFrame:
-    """Fill, denoise over fused windows, keep what was known: (item, i, val, m, filled)."""
-    start = fill_linear(track)
-    fused = fused_denoise(start.select("item", "i", F.col("filled").alias("val")), steps, n, s).withColumnRenamed("val", "fused")
-    return start.join(fused, ["item", "i"]).withColumn("filled", F.when(F.col("m") == 0, F.col("val")).otherwise(F.col("fused"))).drop("fused")
+# --- the whole completion flow -------------------------------------------------------------------
+# Videos are rows (item, i, y, x, val) of a grid x grid picture, i from 0; m is 1 where a pixel is hidden.
+
+CELL = 2  # pixels of a latent cell along y and x; along time the first frame stands alone, then groups of four
+
+
+def latent_place(i: Column) -> Column:
+    """The latent frame of a frame counted from 0."""
+    return F.ceil(i / 4).cast("bigint")
+
+
+def encode_masked(video: DataFrame, grid: int) -> DataFrame:
+    """(item, g, c, y1, folds): the latent of what is seen (null where nothing is), and the mask folded to four channels.
+
+    Folding keeps for each latent cell how much of it each of its frames hides, so
+    no time is lost; the first frame fills all four channels.
+    """
+    side = grid // CELL
+    cells = video.select("item", latent_place(F.col("i")).alias("g"), (F.floor(F.col("y") / CELL) * side + F.floor(F.col("x") / CELL)).cast("bigint").alias("c"), ((F.col("i") + 3) % 4).alias("k"), F.col("i"), "val", "m")
+    hidden = lambda k: F.avg(F.when((F.col("k") == k) | (F.col("i") == 0), F.col("m")))
+    return cells.groupBy("item", "g", "c").agg(F.avg(F.when(F.col("m") == 0, F.col("val"))).alias("y1"), *[F.coalesce(hidden(k), F.lit(1.0)).alias(f"f{k}") for k in range(4)])
+
+
+def condition_latents(latents: DataFrame) -> DataFrame:
+    """Adds seen (share of the cell that is not hidden), ctx (its latent, else one from the line along time, else from the cells beside it) and eps, keyed noise."""
+    w = W.partitionBy("item", "c").orderBy("g")
+    back, ahead = w.rowsBetween(W.unboundedPreceding, 0), w.rowsBetween(0, W.unboundedFollowing)
+    place = F.when(F.col("y1").isNotNull(), F.col("g"))
+    rows = latents.withColumns({"va": F.last("y1", True).over(back), "ga": F.last(place, True).over(back), "vb": F.first("y1", True).over(ahead), "gb": F.first(place, True).over(ahead)})
+    line = F.when(F.col("va").isNull(), F.col("vb")).when(F.col("vb").isNull(), F.col("va")).otherwise(F.col("va") + (F.col("vb") - F.col("va")) * (F.col("g") - F.col("ga")) / F.greatest(F.col("gb") - F.col("ga"), F.lit(1).cast("bigint")))
+    beside = F.avg("line").over(W.partitionBy("item", "g"))
+    rows = rows.withColumn("line", line).withColumn("ctx", F.coalesce("line", beside, F.lit(0.0)))
+    seen = F.lit(1.0) - sum((F.col(f"f{k}") for k in range(4)), F.lit(0.0)) / 4
+    return rows.select("item", "c", F.col("g").alias("i"), "ctx", seen.alias("seen"), gauss(F.col("item"), "_", F.col("g"), "_", F.col("c")).alias("eps"))
+
+
+def token_inputs(conditioned: DataFrame) -> DataFrame:
+    """(item, i, token): latents, folded masks and noise, cut into 2 x 2 patches and added: a third of the tokens that joining them would take."""
+    one = F.transform(F.sort_array(F.collect_list(F.struct("c", (F.col("ctx") + F.col("seen") + F.col("eps")).alias("v")))), lambda x: x["v"])
+    return conditioned.groupBy("item", "i").agg(one.alias("token"))
+
+
+def flow_step(parts: DataFrame, step: int, steps: int) -> DataFrame:
+    """One Euler step in every window. A stand-in without weights predicts the data from what a cell's context says and from what its neighbours in time have come to."""
+    t = step / steps
+    w = W.partitionBy("item", "c", "start").orderBy("i").rowsBetween(-1, 1)
+    reached = F.col("val") + (1 - t) * (F.col("ctx") - F.col("eps"))
+    keep = 0.5 + 0.5 * F.col("seen")
+    predicted = keep * F.col("ctx") + (1 - keep) * F.avg(reached).over(w)
+    return parts.withColumn("val", F.col("val") + (predicted - F.col("eps")) / steps)
+
+
+def flow_latents(conditioned: DataFrame, steps: int, n: int = 8, s: int = 4) -> DataFrame:
+    """Noise carried to data in ``steps`` steps: every window takes its own step, overlapping results are averaged, and the next step starts from them."""
+    x = conditioned.withColumn("val", F.col("eps"))
+    total = F.count("*").over(W.partitionBy("item", "c"))
+    size = F.least(F.lit(n).cast("bigint"), F.col("total"))
+    covering = F.filter(F.array_distinct(starts_of(F.col("total"), n, s)), lambda a: (a <= F.col("i")) & (F.col("i") < a + size))
+    x = x.withColumn("total", total).withColumn("starts", covering).drop("total")
+    for k in range(steps):
+        parts = flow_step(x.withColumn("start", F.explode("starts")), k, steps)
+        x = parts.groupBy("item", "c", "i").agg(F.avg("val").alias("val"), *[F.any_value(c).alias(c) for c in ("ctx", "seen", "eps", "starts")])
+    return x.select("item", "c", F.col("i").alias("g"), "val")
+
+
+def inpaint(video: DataFrame, steps: int, grid: int = 4, n: int = 8, s: int = 4) -> DataFrame:
+    """The completed video: encode what is seen, fold the mask, denoise in fused windows, decode, and keep every pixel that was seen. Adds ``filled``."""
+    side = grid // CELL
+    made = flow_latents(condition_latents(encode_masked(video, grid)), steps, n, s).withColumnRenamed("val", "made")
+    keyed = video.withColumns({"g": latent_place(F.col("i")), "c": (F.floor(F.col("y") / CELL) * side + F.floor(F.col("x") / CELL)).cast("bigint")})
+    return keyed.join(made, ["item", "g", "c"]).withColumn("filled", F.when(F.col("m") == 0, F.col("val")).otherwise(F.col("made"))).drop("made", "g", "c")
+
+
+def fill_pixels(video: DataFrame, fill: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """A filler of tracks applied to every pixel's track; what no frame of a track shows comes from the seen pixels of its frame. Adds ``filled``."""
+    row = F.struct("item", "y", "x")
+    tracks = fill(video.withColumn("pixel", row).withColumnRenamed("item", "item_").withColumn("item", F.col("pixel")))
+    never = F.min("m").over(W.partitionBy("pixel")) == 1
+    beside = F.avg(F.when(F.col("m") == 0, F.col("val"))).over(W.partitionBy("item_", "i"))
+    out = tracks.withColumn("filled", F.when(never, F.coalesce(beside, F.lit(0.0))).otherwise(F.col("filled")))
+    return out.drop("item", "pixel").withColumnRenamed("item_", "item")
 
 
 def inpaint_tokens(w: Column, h: Column, n: Column) -> Column:

@@ -68,14 +68,17 @@ def flicker(df: DataFrame, order: str = "i", by: tuple[str, ...] = ()) -> DataFr
     return rows.groupBy(*by).agg((F.avg("sb") - F.avg("sa")).alias("flicker"))
 
 
-def compare(arms: dict[str, DataFrame], peak: float) -> DataFrame:
-    """One row for each arm: the three scores. Arms are rows (item, frame, feature, a, b)."""
-    rows = None
-    for name, df in arms.items():
-        part = df.withColumn("arm", F.lit(name))
-        rows = part if rows is None else rows.unionByName(part)
+def resize_pairs(pixels: DataFrame, to_cell: int = 2) -> DataFrame:
+    """Both versions of every picture reduced to the mean of ``to_cell`` x ``to_cell`` pixels: rows (arm, item, i, y, x, a, b)."""
+    at = [int_div(F.col(k), to_cell).alias(k) for k in ("y", "x")]
+    return pixels.groupBy("arm", "item", "i", *at).agg(F.avg("a").alias("a"), F.avg("b").alias("b"))
+
+
+def compare(pixels: DataFrame, peak: float, feature: Column) -> DataFrame:
+    """One row for each arm: the three scores of rows (arm, item, i, a, b), from two sets of moments over rows that should be written once."""
     by = ("arm",)
-    return psnr(rows, peak, by=by).join(ssim(rows, peak, by=by), "arm").join(frechet_diag(rows, by=by), "arm")
+    rows = pixels.withColumn("feature", feature)
+    return psnr(rows, peak, ("item", "i"), by).join(ssim(rows, peak, ("item", "i"), by), "arm").join(frechet_diag(rows, by=by), "arm")
 
 
 def best_of(scores: DataFrame, score: str, high: bool = True) -> Column:
