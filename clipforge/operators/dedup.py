@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from clipforge.functions.exprs import dot, key_int, rnd
+from clipforge.operators.graph import connected
 from clipforge.operators.quality import assign_clusters
 from clipforge.sources.scratch import materialize
 
@@ -25,16 +28,31 @@ def _verified(cand: DataFrame, t: float) -> DataFrame:
     return cand.withColumn("sim", rnd(dot(F.col("va"), F.col("vb")))).filter(F.col("sim") > t).select("a", "b", "sim")
 
 
-def dedup_vectors_exact(df: DataFrame, t: float, key: str = "vec_id", vec: str = "embedding", blocks: int = 8) -> DataFrame:
-    """All pairs above ``t``: the baseline. Rows meet block by block, so tasks are bounded, but the work is quadratic."""
-    b = key_int(F.col(key)) % blocks
-    rows = df.select(F.col(key).alias("k"), F.col(vec).alias("v"), b.alias("blk"))
-    other = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)).cast("array<bigint>"))
-    cells = rows.withColumn("o", other).select("k", "v", "blk", F.least("blk", "o").alias("i"), F.greatest("blk", "o").alias("j"))
-    l, r = cells.filter("blk = i").select("i", "j", F.col("k").alias("a_"), F.col("v").alias("va_")), cells.filter("blk = j").select("i", "j", F.col("k").alias("b_"), F.col("v").alias("vb_"))
-    met = l.join(r, ["i", "j"]).filter("(i < j) or (a_ < b_)").filter("a_ <> b_")
+def distinct_vectors(df: DataFrame, key: str, vec: str) -> DataFrame:
+    """(k, v): equal vectors stand behind the least key, so a vector that fills a table meets itself once."""
+    return df.groupBy(F.col(vec).alias("v")).agg(F.min(key).alias("k")).select("k", "v")
+
+
+def meet_in_blocks(rows: DataFrame, group: list[str], block_rows: int = 1024, least: int = 1) -> DataFrame:
+    """(group, a, b, va, vb) for all pairs a < b of a group, rows given as (group, k, v).
+
+    A group of any size is cut into blocks of about ``block_rows``; a task has two
+    blocks, so no group is gathered.
+    """
+    sizes = rows.groupBy(*group).agg(F.greatest(F.ceil(F.count("*") / F.lit(block_rows)), F.lit(least)).cast("int").alias("blocks"))
+    rows = rows.join(sizes, group) if group else rows.crossJoin(F.broadcast(sizes))  # one row
+    cells = rows.withColumn("blk", (key_int(F.col("k")) % F.col("blocks")).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    cells = cells.select(*group, "k", "v", "blk", F.least("blk", "o").alias("i"), F.greatest("blk", "o").alias("j"))
+    l = cells.filter("blk = i").select(*group, "i", "j", F.col("k").alias("a_"), F.col("v").alias("va_"))
+    r = cells.filter("blk = j").select(*group, "i", "j", F.col("k").alias("b_"), F.col("v").alias("vb_"))
+    met = l.join(r, [*group, "i", "j"]).filter("((i < j) or (a_ < b_)) and a_ <> b_")
     swap = F.col("a_") > F.col("b_")
-    return _verified(met.select(F.least("a_", "b_").alias("a"), F.greatest("a_", "b_").alias("b"), F.when(swap, F.col("vb_")).otherwise(F.col("va_")).alias("va"), F.when(swap, F.col("va_")).otherwise(F.col("vb_")).alias("vb")), t)
+    return met.select(*group, F.least("a_", "b_").alias("a"), F.greatest("a_", "b_").alias("b"), F.when(swap, F.col("vb_")).otherwise(F.col("va_")).alias("va"), F.when(swap, F.col("va_")).otherwise(F.col("vb_")).alias("vb"))
+
+
+def dedup_vectors_exact(df: DataFrame, t: float, key: str = "vec_id", vec: str = "embedding", block_rows: int = 1024) -> DataFrame:
+    """All pairs of distinct vectors above ``t``: the baseline. Rows meet block by block, so tasks are bounded, but the work is quadratic."""
+    return _verified(meet_in_blocks(distinct_vectors(df, key, vec), [], block_rows, 8), t)
 
 
 def plane_sign(table: Column, bit: Column, j: Column) -> Column:
@@ -61,17 +79,27 @@ def lsh_keys(df: DataFrame, bits: int, tables: int, key: str, vec: str) -> DataF
     return df.select(F.col(key).alias("k"), F.col(vec).alias("v"), F.explode(F.array(*codes)).alias("c")).select("k", "v", "c.t", "c.code")
 
 
-def dedup_vectors_lsh(df: DataFrame, t: float, bits: int = 6, tables: int = 8, key: str = "vec_id", vec: str = "embedding") -> DataFrame:
-    keys = lsh_keys(df, bits, tables, key, vec).select("k", "t", "code")
+def bits_for(n: int, bucket: int = 8) -> int:
+    """Sign bits that leave about ``bucket`` of ``n`` unrelated rows under one code, so candidates grow with the rows and not with their square."""
+    return min(24, max(4, math.ceil(math.log2(max(n, 2) / bucket)))) if n > bucket else 4
+
+
+def dedup_vectors_lsh(df: DataFrame, t: float, bits: int | None = None, tables: int = 8, key: str = "vec_id", vec: str = "embedding") -> DataFrame:
+    v = distinct_vectors(df, key, vec)
+    keys = lsh_keys(v, bits or bits_for(v.count()), tables, "k", "v").select("k", "t", "code")
     cand = keys.alias("l").join(keys.alias("r"), ["t", "code"]).filter("l.k < r.k").select(F.col("l.k").alias("a"), F.col("r.k").alias("b")).distinct()
-    v = df.select(F.col(key).alias("k"), F.col(vec).alias("v"))
     return _verified(cand.join(v.select(F.col("k").alias("a"), F.col("v").alias("va")), "a").join(v.select(F.col("k").alias("b"), F.col("v").alias("vb")), "b"), t)
 
 
+def clusters_for(n: int, rows: int = 50, most: int = 256) -> int:
+    """Clusters for ``n`` rows: about ``rows`` in each, ten at least; centroids are literals, so their number is bounded."""
+    return min(most, max(10, n // rows))
+
+
 def dedup_vectors_clustered(df: DataFrame, centroids: list, t: float, key: str = "vec_id", vec: str = "embedding") -> DataFrame:
-    """Pairs inside a cluster only."""
-    c = assign_clusters(df, centroids, vec).select("cluster_id", F.col(key).alias("k"), F.col(vec).alias("v"))
-    return _verified(c.alias("l").join(c.alias("r"), "cluster_id").filter("l.k < r.k").select(F.col("l.k").alias("a"), F.col("r.k").alias("b"), F.col("l.v").alias("va"), F.col("r.v").alias("vb")), t)
+    """Pairs inside a cluster only, a large cluster block by block."""
+    c = assign_clusters(distinct_vectors(df, key, vec), centroids, "v").select("cluster_id", "k", "v")
+    return _verified(meet_in_blocks(c, ["cluster_id"]).drop("cluster_id"), t)
 
 
 # --- shingles ------------------------------------------------------------------------------------
@@ -87,19 +115,33 @@ def shingles(df: DataFrame, key: str, text: str, k: int = WORDS) -> DataFrame:
     return df.select(F.col(key).alias("k"), words_of(F.col(text)).alias("w_")).select("k", F.explode(F.array_distinct(runs)).alias("shingle"))
 
 
+def shingle_sets(df: DataFrame, key: str, text: str, k: int, code) -> DataFrame:
+    """(k, s): the distinct hashed shingles of each distinct text, made in the row and written once."""
+    w = F.col("w_")
+    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - k + 1, F.lit(1))), lambda i: code(F.array_join(F.slice(w, i, k), " ")))
+    rows = dedup_exact(df, text, key).select(F.col(key).alias("k"), words_of(F.col(text)).alias("w_")).filter(F.size("w_") >= k)
+    return materialize(rows.select("k", F.array_distinct(runs).alias("s")), "shingles")
+
+
 def shingle_pairs(df: DataFrame, key: str = "doc_id", text: str = "text", k: int = WORDS, t: float = THRESHOLD) -> DataFrame:
     """Exact Jaccard pairs between distinct texts, by a prefix-filtered inverted index.
 
     A text's shingles are ordered by how many texts have them, the rarest first.
-    Similar texts must share one of the first n - ceil(t n) + 1, so common
-    shingles are hardly ever joined on. Copies of a text stand behind the least id.
+    Similar texts must share one of the first n - ceil(t n) + 1, and neither has
+    fewer than t times the other's shingles, so common shingles are hardly ever
+    joined on. Copies of a text stand behind the least id.
     """
-    s = shingles(dedup_exact(df, text, key), key, text, k).select("k", F.xxhash64("shingle").alias("h"))
-    ranked = s.join(s.groupBy("h").agg(F.count("*").alias("df")), "h")
+    raw = shingle_sets(df, key, text, k, F.xxhash64)
+    s = raw.select("k", F.explode("s").alias("h"))
+    # a shingle that one text has ties it to nothing, so only the others need their count
+    counts = s.groupBy("h").agg(F.count("*").alias("df")).filter("df > 1")
+    ranked = s.join(counts, "h", "left").withColumn("df", F.coalesce("df", F.lit(1)))
     sets = ranked.groupBy("k").agg(F.sort_array(F.collect_list(F.struct("df", "h"))).alias("s"))
-    sets = materialize(sets.select("k", F.transform("s", lambda x: x["h"]).alias("s"), F.size("s").alias("n")), "shingle-sets")
-    heads = sets.select("k", F.explode(F.slice("s", F.lit(1), (F.col("n") - F.ceil(F.col("n") * t - 1e-9) + 1).cast("int"))).alias("h"))
-    cand = heads.alias("l").join(heads.alias("r"), "h").filter("l.k < r.k").select(F.col("l.k").alias("a"), F.col("r.k").alias("b")).distinct()
+    sets = materialize(sets.select("k", F.transform("s", lambda x: x["h"]).alias("s"), F.transform("s", lambda x: x["df"]).alias("f"), F.size("s").alias("n")), "shingle-sets")
+    upto = (F.col("n") - F.ceil(F.col("n") * t - 1e-9) + 1).cast("int")
+    heads = sets.select("k", "n", F.explode(F.slice(F.arrays_zip("s", "f"), F.lit(1), upto)).alias("x")).filter("x.f > 1").select("k", "n", F.col("x.s").alias("h"))
+    near = (F.least("l.n", "r.n") >= F.greatest("l.n", "r.n") * t - 1e-9) & (F.col("l.k") < F.col("r.k"))
+    cand = heads.alias("l").join(heads.alias("r"), "h").filter(near).select(F.col("l.k").alias("a"), F.col("r.k").alias("b")).distinct()
     return _jaccard(cand, sets, t)
 
 
@@ -120,31 +162,23 @@ def _affine(values: Column, i: int) -> Column:
     return F.transform(values, lambda x: (x * a + b) % MINHASH_P)
 
 
-def minhash_pairs(df: DataFrame, key: str = "doc_id", text: str = "text", k: int = WORDS, perms: int = 32, bands: int = 16, t: float = THRESHOLD) -> DataFrame:
-    """Candidates that agree on a band of MinHash values, verified exactly."""
-    s = shingles(dedup_exact(df, text, key), key, text, k)
-    sets = materialize(s.groupBy("k").agg(F.collect_list(key_int(F.col("shingle"))).alias("s")), "minhash-sets")
+def minhash_pairs(df: DataFrame, key: str = "doc_id", text: str = "text", k: int = WORDS, perms: int = 32, bands: int = 8, t: float = THRESHOLD) -> DataFrame:
+    """Candidates that agree on a band of MinHash values, verified exactly. Four values a band meet a pair at 0.8 with probability 0.985, one at 0.3 with 0.06."""
+    sets = shingle_sets(df, key, text, k, key_int)
     rows = perms // bands
     signed = sets.select("k", minhash_signature(F.col("s"), perms).alias("m"))
     keys = signed.select("k", F.posexplode(F.array(*[F.xxhash64(F.lit(b), F.slice("m", b * rows + 1, rows)) for b in range(bands)])).alias("band", "h"))
+    keys = materialize(keys, "minhash-bands")
     cand = keys.alias("l").join(keys.alias("r"), ["band", "h"]).filter("l.k < r.k").select(F.col("l.k").alias("a"), F.col("r.k").alias("b")).distinct()
-    return _jaccard(cand, sets.withColumn("s", F.array_distinct("s")), t)
+    return _jaccard(cand, sets, t)
 
 
 # --- groups --------------------------------------------------------------------------------------
 
 def components(edges: DataFrame) -> DataFrame:
-    """(node, label): the least node of each component, by least labels and jumps; every round is a table."""
-    both = materialize(edges.select("a", "b").union(edges.select("b", "a")).distinct(), "edges")
-    labels = materialize(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("a")).alias("label")), "labels")
-    while True:
-        told = both.join(labels.select(F.col("node").alias("b"), F.col("label").alias("l")), "b").groupBy(F.col("a").alias("node")).agg(F.min("l").alias("l"))
-        low = labels.join(told, "node").select("node", "label", F.least("label", "l").alias("low"))
-        step = low.join(labels.select(F.col("node").alias("low"), F.col("label").alias("up")), "low").select("node", F.least("low", "up").alias("new"), "label")
-        step = materialize(step, "labels")
-        if step.filter("new < label").isEmpty():
-            return step.select("node", F.col("new").alias("label"))
-        labels = step.select("node", F.col("new").alias("label"))
+    """(node, label): the least node of each component."""
+    found = connected(edges.select("a", "b"))
+    return found.join(found.groupBy("label").agg(F.min("node").alias("least")), "label").select("node", F.col("least").alias("label"))
 
 
 def resolve_groups(pairs: DataFrame, nodes: DataFrame, key: str, rank: str) -> DataFrame:

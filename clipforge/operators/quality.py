@@ -7,6 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from clipforge.functions.exprs import dot, key_int, norm
+from clipforge.sources.scratch import materialize
 
 
 def safety_gate(df: DataFrame, labels: DataFrame, key: str, flag: str = "toxic", unlabelled: str = "keep") -> DataFrame:
@@ -42,10 +43,40 @@ def balance_targets(df: DataFrame, cat: str, alpha: float, key: str, seed: str =
     return _by_rate(df, cat, rates, key, seed)
 
 
+def quantile(df: DataFrame, value: Column, q: float, bins: int = 4096) -> float | None:
+    """The exact quantile (linear between neighbours) by histograms of ever smaller ranges.
+
+    Each pass brings at most ``bins`` rows of a count and two edges to the driver;
+    the bin that holds the wanted place is the next range, until it is one value.
+    No task sorts or gathers the values.
+    """
+    v = materialize(df.select(value.cast("double").alias("v")).filter("v is not null and not isnan(v)"), "quantile")
+    n, least, most = v.agg(F.count("*"), F.min("v"), F.max("v")).first()
+    if not n:
+        return None
+
+    def at(place: int) -> float:
+        lo, hi, before = least, most, 0
+        while lo < hi:
+            width = (hi - lo) / bins
+            slot = F.least(F.floor((F.col("v") - F.lit(lo)) / F.lit(width)), F.lit(bins - 1)) if width > 0 else F.col("v")
+            part = v.filter(F.col("v").between(lo, hi)).groupBy(slot.alias("slot")).agg(F.count("*").alias("n"), F.min("v").alias("lo"), F.max("v").alias("hi")).collect()
+            for r in sorted(part, key=lambda r: r["lo"]):
+                if place < before + r["n"]:
+                    lo, hi = r["lo"], r["hi"]
+                    break
+                before += r["n"]
+        return lo
+
+    place = q * (n - 1)
+    low = int(place)
+    return at(low) if place == low else at(low) + (at(low + 1) - at(low)) * (place - low)
+
+
 def drop_low_tail(df: DataFrame, score: str, q: float) -> DataFrame:
     """Only the low tail goes: a score says little about the middle."""
-    cut = df.agg(F.percentile(score, F.lit(q)).alias("cut_"))
-    return df.join(F.broadcast(cut), F.col(score) >= F.col("cut_")).drop("cut_")
+    cut = quantile(df, F.col(score), q)
+    return df.filter(F.col(score) >= F.lit(cut))
 
 
 def quality_gate(df: DataFrame, dims: dict[str, float], mode: str = "all", least: float = 0.0) -> DataFrame:
@@ -78,13 +109,13 @@ def assign_clusters(df: DataFrame, centroids: list[list[float]], vec: str = "emb
 
 
 def lloyd(df: DataFrame, centroids: list[list[float]], rounds: int, vec: str = "embedding") -> list[list[float]]:
-    """K-means by aggregation: each round brings K x d means to the driver."""
+    """K-means by aggregation: each round brings K x d means to the driver, rounded so that the order of summation does not show."""
     dim = len(centroids[0])
     for _ in range(rounds):
         rows = assign_clusters(df, centroids, vec).groupBy("cluster_id").agg(*[F.avg(F.col(vec)[j].cast("double")).alias(f"m{j}") for j in range(dim)]).collect()
         centroids = [list(c) for c in centroids]
         for r in rows:
-            centroids[r["cluster_id"]] = [r[f"m{j}"] for j in range(dim)]
+            centroids[r["cluster_id"]] = [round(r[f"m{j}"], 9) for j in range(dim)]
     return centroids
 
 

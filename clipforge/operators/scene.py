@@ -9,6 +9,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from clipforge.functions.exprs import int_div
+from clipforge.operators.quality import quantile
 
 KEY, ORDER = "media_id", "frame_no"
 
@@ -130,8 +131,8 @@ def motion_score(frames: DataFrame, value: str = "luma") -> DataFrame:
 
 def motion_band(scores: DataFrame, lo: float = 0.05, hi: float = 0.95, score: str = "per_frame") -> DataFrame:
     """Keeps what lies between two quantiles of the score."""
-    cut = scores.agg(F.percentile(score, F.lit(lo)).alias("lo_"), F.percentile(score, F.lit(hi)).alias("hi_"))
-    return scores.join(F.broadcast(cut), F.col(score).between(F.col("lo_"), F.col("hi_"))).drop("lo_", "hi_")
+    low, high = (quantile(scores, F.col(score), q) for q in (lo, hi))
+    return scores.filter(F.col(score).between(F.lit(low), F.lit(high)))
 
 
 def block_flow(cells: DataFrame, radius: int = 1, block: int = 2) -> DataFrame:

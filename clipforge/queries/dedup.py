@@ -43,7 +43,7 @@ def pairs_cross(s, d):
 
 def pairs_cross_vec(s, d):
     e = emb(s, d).select("label", "vec_id", F.col("embedding").alias("feature"))
-    return P.cross_pairs(e, "label", "vec_id", lambda a, b: rnd(cosine(a, b)), VT).select("label", "a", "b", "sim")
+    return P.cross_pairs_in_blocks(e, "label", "vec_id", lambda a, b: rnd(cosine(a, b)), VT).select("label", "a", "b", "sim")
 
 
 def pairs_mix(s, d):
@@ -78,7 +78,7 @@ QUERIES = {
     "dedup_exact_docs": lambda s, d: D.dedup_exact(docs(s, d), "text", "doc_id").select("doc_id"),
     "vec_pairs_exact": lambda s, d: D.dedup_vectors_exact(emb(s, d), VT),
     "vec_pairs_lsh": lambda s, d: D.dedup_vectors_lsh(emb(s, d), VT),
-    "vec_pairs_clustered": lambda s, d: D.dedup_vectors_clustered(emb(s, d), first_centroids(s, d), VT),
+    "vec_pairs_clustered": lambda s, d: D.dedup_vectors_clustered(emb(s, d), first_centroids(s, d, D.clusters_for(emb(s, d).count())), VT),
     "doc_pairs_jaccard": lambda s, d: D.shingle_pairs(docs(s, d)),
     "doc_pairs_minhash": lambda s, d: D.minhash_pairs(docs(s, d)),
     "doc_dup_groups": lambda s, d: groups(s, d).select("doc_id", "group_id"),
@@ -94,7 +94,7 @@ QUERIES = {
 }
 
 _DOT = "round(list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda p: cast(p[1] as double) * cast(p[2] as double))), 6) + 0.0"
-_PAIRS = f"pr as (select a.vec_id as a, b.vec_id as b, a.label as la, b.label as lb, {_DOT} as sim from embeddings a join embeddings b on a.vec_id < b.vec_id), ex as (select a, b, sim from pr where sim > {VT}) "
+_PAIRS = f"dv as (select min(vec_id) as vec_id, embedding from embeddings group by embedding), pr as (select a.vec_id as a, b.vec_id as b, {_DOT} as sim from dv a join dv b on a.vec_id < b.vec_id), ex as (select a, b, sim from pr where sim > {VT}) "
 _PLANES = "pl as (select t.t, b.b, j.j, 1 - 2 * (" + h("cast(t.t as varchar) || '_' || cast(b.b as varchar) || '_' || cast(j.j as varchar)") + " % 2) as s from range(8) t(t), range(6) b(b), range(64) j(j))"
 _LSH = f"""{_PLANES}, ec as (select vec_id, unnest(embedding) as v, generate_subscripts(embedding, 1) - 1 as j from embeddings),
   sg as (select vec_id, t, b, round(sum(cast(v as double) * s), 9) >= 0 as side from ec join pl using (j) group by 1, 2, 3), cd as (select vec_id, t, sum(case when side then 1 << b else 0 end) as code from sg group by 1, 2),
@@ -104,7 +104,7 @@ _SH = f"""rp as (select min(doc_id) as doc_id, text from documents group by text
   sh as (select distinct doc_id, array_to_string(w[i:i + 4], ' ') as s from (select doc_id, w, unnest(range(1, len(w) - 3)) as i from wd where len(w) >= 5)), sz as (select doc_id, count(*) as n from sh group by 1),
   cm as (select x.doc_id as a, y.doc_id as b, count(*) as c from sh x join sh y on x.s = y.s and x.doc_id < y.doc_id group by 1, 2),
   jp as (select a, b, round(c / (p.n + q.n - c), 6) as sim from cm join sz p on p.doc_id = a join sz q on q.doc_id = b where c / (p.n + q.n - c) >= 0.8) """
-_MH = "mh as (select doc_id, p, min((x * ((p + 1) * 40503001 % 2147483647) + p * 7919) % 4294967291) as m from (select doc_id, " + h("s") + " as x from sh), range(32) t(p) group by 1, 2), bd as (select doc_id, p // 2 as band, list(m order by p) as k from mh group by 1, 2), mc as (select distinct x.doc_id as a, y.doc_id as b from bd x join bd y on x.band = y.band and x.k = y.k and x.doc_id < y.doc_id) "
+_MH = "mh as (select doc_id, p, min((x * ((p + 1) * 40503001 % 2147483647) + p * 7919) % 4294967291) as m from (select doc_id, " + h("s") + " as x from sh), range(32) t(p) group by 1, 2), bd as (select doc_id, p // 4 as band, list(m order by p) as k from mh group by 1, 2), mc as (select distinct x.doc_id as a, y.doc_id as b from bd x join bd y on x.band = y.band and x.k = y.k and x.doc_id < y.doc_id) "
 _GRP = f""", ed as (select a, b from jp union select b, a from jp), rc(node, label) as (select a, b from ed union select rc.node, ed.b from rc join ed on rc.label = ed.a),
   gr as (select rp.doc_id, least(rp.doc_id, coalesce(min(label), rp.doc_id)) as group_id, any_value(text) as text from rp left join rc on rc.node = rp.doc_id group by 1),
   rk as (select doc_id, group_id, cast(case when len(w) > 0 then floor(len(list_distinct(w)) * 100 / len(w)) else 0 end as bigint) as rank from (select *, {_WORDS} as w from gr)) """

@@ -47,7 +47,9 @@ def first_centroids(spark, d, k=10):
 
 
 def cluster_balance(spark, d):
-    e = Q.assign_clusters(T.load(spark, d, "embeddings"), first_centroids(spark, d))
+    """Clusters learnt in three rounds from the first ten vectors; at most four rows for each cluster and label."""
+    rows = T.load(spark, d, "embeddings")
+    e = Q.assign_clusters(rows, Q.lloyd(rows, first_centroids(spark, d), 3))
     kept = Q.balance_cap(e, ["cluster_id", "label"], 4, "vec_id")
     return kept.groupBy("cluster_id").agg(F.count("*").alias("n"), F.sum("vec_id").cast("bigint").alias("ids"))
 
@@ -59,8 +61,7 @@ def gate_vs_review(spark, d):
 
 def routed(spark, d):
     s = scored(spark, d)
-    cut = s.agg(F.percentile("lexical", F.lit(0.9)).alias("cut"))
-    return Q.route_annotator(s.crossJoin(F.broadcast(cut)), "lexical", F.col("cut"))  # cut is one row
+    return Q.route_annotator(s, "lexical", F.lit(Q.quantile(s, F.col("lexical"), 0.9)))
 
 
 def annotator_saving(spark, d):
@@ -123,6 +124,16 @@ _CENT = """ce as (select vec_id as c, embedding as ce from embeddings where vec_
   cl as (select vec_id, any_value(label) as label, arg_min(c, struct_pack(d := dist, c := c)) as cluster_id from ds group by 1) """
 
 
+def _lloyd_sql(rounds: int) -> str:
+    """Centroids c0 (the first ten vectors) to c<rounds>, and for each the assignment a<k>."""
+    near = "select vec_id, any_value(label) as label, any_value(embedding) as embedding, arg_min(c, struct_pack(d := dist, c := c)) as cluster_id from (select e.vec_id, e.label, e.embedding, c, round(list_sum(list_transform(list_zip(e.embedding, ce), lambda p: (cast(p[1] as double) - p[2]) * (cast(p[1] as double) - p[2]))), 9) as dist from embeddings e, {}) group by 1"
+    ctes = ["c0 as (select vec_id as c, list_transform(embedding, lambda x: cast(x as double)) as ce from embeddings where vec_id < 10)", f"a0 as ({near.format('c0')})"]
+    for k in range(1, rounds + 1):
+        mean = f"select cluster_id, list(m order by j) as ce from (select cluster_id, j, round(avg(cast(v as double)), 9) as m from (select cluster_id, unnest(embedding) as v, generate_subscripts(embedding, 1) as j from a{k - 1}) group by 1, 2) group by 1"
+        ctes += [f"c{k} as (select p.c, coalesce(m.ce, p.ce) as ce from c{k - 1} p left join ({mean}) m on m.cluster_id = p.c)", f"a{k} as ({near.format(f'c{k}')})"]
+    return "with " + ", ".join(ctes)
+
+
 def _hash_rate(rate: str, seed: str) -> str:
     k = h(f"cast(doc_id as varchar) || '{seed}'")
     return f"select lang, {IDS} from d join rates using (lang) where cast({k} as double) < {rate} * 4294967296.0 group by 1"
@@ -140,7 +151,7 @@ ORACLES = {
     "human_quality_gate": using("clips", sql="select flag, count(*) as n, cast(sum(least(body, face, appeal, clarity, occlusion)) as bigint) as worst_sum from clips where least(body, face, appeal, clarity, occlusion) >= 10 group by 1"),
     "stage_threshold_filter": using("clips", sql="select cast(s as bigint) as stage, count(*) as kept from clips join (values (320, 10), (640, 20), (960, 30)) v(s, t) on least(body, face, appeal, clarity, occlusion) >= t group by 1"),
     "cluster_assign_fixed": f"with {_CENT} select vec_id, cluster_id from cl",
-    "cluster_balance": f"with {_CENT}, k as (select *, row_number() over (partition by cluster_id, label order by " + h("cast(vec_id as varchar) || 'cap'") + ", vec_id) as k from cl) select cluster_id, count(*) as n, cast(sum(vec_id) as bigint) as ids from k where k <= 4 group by 1",
+    "cluster_balance": _lloyd_sql(3) + ", k as (select *, row_number() over (partition by cluster_id, label order by " + h("cast(vec_id as varchar) || 'cap'") + ", vec_id) as k from a3) select cluster_id, count(*) as n, cast(sum(vec_id) as bigint) as ids from k where k <= 4 group by 1",
     "gate_vs_review": f"with {_SC} select cast(lexical >= 20 and clean >= 98 as bigint) as pred, cast(quality as bigint) as quality, count(*) as n from sc join labels using (doc_id) group by 1, 2",
     "refine_top_fraction": f"with {_SC} select lang, {IDS} from sc where lexical >= (select quantile_cont(lexical, 0.8) from sc) group by 1",
     "review_pass": using("review", sql="select doc_id, cast(v1 + v2 + v3 + v4 = 4 as integer) as passed from review union all select -doc_id - 1, cast((v1 + v2 + v3 + v4) * 2 > 4 as integer) from review"),

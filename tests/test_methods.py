@@ -324,3 +324,38 @@ def test_scratch_needs_a_shared_folder_on_a_cluster():
 
     with pytest.raises(ValueError):
         scratch.scratch_path(Session(), "x")
+
+
+def test_quantile_is_exact(spark):
+    from clipforge.operators.quality import quantile
+
+    rng = np.random.default_rng(4)
+    for values in (rng.normal(size=3001) * 1e6, np.round(rng.exponential(size=2000), 1), np.full(50, 7.5), np.concatenate([np.full(900, 1e-9), rng.normal(size=100) * 1e9]), np.array([3.0])):
+        df = spark.createDataFrame([(float(v),) for v in values] + [(None,), (float("nan"),)], "v double")
+        for q in (0.0, 0.1, 0.5, 0.95, 1.0):
+            assert quantile(df, F.col("v"), q, 64) == pytest.approx(np.quantile(values, q), rel=1e-12, abs=1e-12)
+    assert quantile(spark.createDataFrame([], "v double"), F.col("v"), 0.5) is None
+
+
+def test_bits_and_clusters_follow_the_rows():
+    assert [D.bits_for(n) for n in (1, 500, 4000, 1_000_000)] == [4, 6, 9, 17] and D.clusters_for(500) == 10 and D.clusters_for(10**9) == 256
+
+
+def test_pairs_met_in_blocks_are_all_pairs(spark):
+    rows = [(g, k * 7 + g, [float(k)]) for g in range(3) for k in range(40 if g else 200)]
+    df = spark.createDataFrame(rows, "g long, k long, v array<double>")
+    got = sorted((r["g"], r["a"], r["b"], r["va"][0], r["vb"][0]) for r in D.meet_in_blocks(df, ["g"], 32).collect())
+    want = sorted((g, a, b, va[0], vb[0]) for (g, a, va), (h_, b, vb) in itertools.product(rows, rows) if g == h_ and a < b)
+    assert got == want
+
+
+def test_equal_vectors_stand_behind_the_least_key(spark):
+    df = spark.createDataFrame([(i, [1.0] * 64 if i % 2 else [float(i)] + [1.0] * 63) for i in range(60)], "vec_id long, embedding array<float>")
+    pairs = {(r["a"], r["b"]) for r in D.dedup_vectors_exact(df, 0.0).collect()}
+    assert {k for p in pairs for k in p if k % 2} == {1} and len(pairs) == 31 * 30 // 2
+
+
+def test_chains_are_one_component(spark):
+    edges = spark.createDataFrame([(i, i + 1) for i in range(500)] + [(1000, 1001)], "a long, b long")
+    got = {r["node"]: r["label"] for r in D.components(edges).collect()}
+    assert got == {**dict.fromkeys(range(501), 0), 1000: 1000, 1001: 1000}
