@@ -106,6 +106,20 @@ def crop_text_bands(lines: DataFrame, is_text: Column, band: int = 2, key: str =
     return lines.withColumn("last_", last).filter(~(is_text & ((F.col(order) < band) | (F.col(order) > F.col("last_") - band)))).drop("last_")
 
 
+def crop_blank_border(lines: DataFrame, key: str = "doc_id", order: str = "clip_no", line: str = "line") -> DataFrame:
+    """Drops the blank lines before the first and after the last that is not."""
+    full = F.when(F.trim(line) != "", F.col(order))
+    w = W.partitionBy(key)
+    return lines.withColumns({"first_": F.min(full).over(w), "last_": F.max(full).over(w)}).filter(F.col(order).between(F.col("first_"), F.col("last_"))).drop("first_", "last_")
+
+
+def limit_signs(lines: DataFrame, percent: int, key: str = "doc_id", line: str = "line") -> DataFrame:
+    """Drops whole items of which more than ``percent`` in a hundred characters are signs: the stand-in for too much text in the picture."""
+    w = W.partitionBy(key)
+    signs, size = F.sum(F.regexp_count(F.col(line), F.lit(r"[*$%&#!|]"))).over(w), F.sum(F.length(line)).over(w)
+    return lines.withColumn("keep_", signs * 100 <= size * percent).filter("keep_").drop("keep_")
+
+
 def visible_text(html: Column) -> Column:
     """Text outside scripts, styles and tags."""
     out = F.regexp_replace(html, r"(?s)<script[^>]*>.*?</script>", "")

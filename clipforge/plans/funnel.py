@@ -38,14 +38,27 @@ class Placement:
             task, executor = task.resource("gpu", self.accel), executor.resource("gpu", self.accel)
         return ResourceProfileBuilder().require(task).require(executor).build
 
+    def map(self, df: DataFrame, batches: Callable, schema: str) -> DataFrame:
+        """``mapInPandas`` where this placement says: in batches of ``batch_rows``, under its resource profile (one machine has no other to offer)."""
+        size = self.batch_rows
+
+        def cut(stream):
+            for pdf in stream:
+                yield from batches(pdf.iloc[a:a + size] for a in range(0, len(pdf), size))
+
+        local = df.sparkSession.sparkContext.master.split("[")[0] == "local"
+        return df.mapInPandas(cut, schema, profile=None if local else self.profile())
+
 
 @dataclass(frozen=True)
 class Op:
-    """A step of a funnel: a filter by ``keep``, or any transformation by ``run``."""
+    """A step of a funnel: a filter by ``keep``, any transformation by ``run``, or a function of Pandas ``batches`` to rows of ``schema`` that runs where ``place`` says."""
 
     name: str
     keep: Column | None = None
     run: Callable[[DataFrame], DataFrame] | None = None
+    batches: Callable | None = None
+    schema: str = ""
     cost: int = 1
     place: Placement = field(default_factory=Placement)
     after: tuple[str, ...] = ()
@@ -64,9 +77,24 @@ class Pipeline:
 
     def run(self, df: DataFrame) -> DataFrame:
         for op in self.ops:
-            df = df.filter(op.verdict()) if op.keep is not None else op.run(df)
+            if op.keep is not None:
+                df = df.filter(op.verdict())
+            else:
+                df = op.run(df) if op.run else op.place.map(df, op.batches, op.schema)
         return df
 
+    def in_order(self) -> Pipeline:
+        """The steps so that each stands behind those that it comes after, otherwise as declared."""
+        left, out = list(self.ops), []
+        while left:
+            names = {op.name for op in left}
+            ready = next((op for op in left if not set(op.after) & (names - {op.name})), None)
+            if ready is None:
+                raise ValueError(f"steps wait for each other: {sorted(names)}")
+            left.remove(ready)
+            out.append(ready)
+        return Pipeline(tuple(out))
+
 
 REGISTRY: dict[str, Callable[..., Op]] = {}
 

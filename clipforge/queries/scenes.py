@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from clipforge.functions.exprs import rnd
 from clipforge.operators import scene as S
+from clipforge.plans import funnel as P
 from clipforge.sources import tables as T
 
 from .sqlviews import using
@@ -43,7 +44,38 @@ def block_flow(cells):
     return S.block_flow(cells).select("item", "t", "block_y", "block_x", F.col("dy").cast("bigint").alias("dy"), F.col("dx").cast("bigint").alias("dx"))
 
 
+@P.register("split_lines")
+def _split_lines(text: str = "text") -> P.Op:
+    lines = F.posexplode(F.split(F.col(text), "\n", -1)).alias("pos", "line")
+    return P.Op("split_lines", run=lambda df: df.select("doc_id", lines).select("doc_id", F.col("pos").cast("bigint").alias("clip_no"), "line"))
+
+
+@P.register("blank_border")
+def _blank_border() -> P.Op:
+    return P.Op("blank_border", run=S.crop_blank_border, after=("split_lines",))
+
+
+@P.register("caption_bands")
+def _caption_bands(band: int = 2, pattern: str = "licen|rights reserved") -> P.Op:
+    return P.Op("caption_bands", run=lambda df: S.crop_text_bands(df, F.lower("line").rlike(pattern), band), after=("split_lines", "blank_border"))
+
+
+@P.register("text_limit")
+def _text_limit(percent: int = 2) -> P.Op:
+    return P.Op("text_limit", run=lambda df: S.limit_signs(df, percent), after=("split_lines", "blank_border", "caption_bands"))
+
+
+#: Crops go from split to border to captions to the text filter, in whatever order a configuration lists them.
+CROPS = {"ops": [{"op": "text_limit", "percent": 2}, {"op": "caption_bands", "band": 2}, {"op": "blank_border"}, {"op": "split_lines"}]}
+
+
+def crop_chain(spark, d):
+    out = P.build_pipeline(CROPS).in_order().run(T.load(spark, d, "documents"))
+    return out.groupBy("doc_id").agg(F.count("*").alias("lines"), F.sum(F.length("line")).cast("bigint").alias("chars"))
+
+
 QUERIES = {
+    "crop_chain": crop_chain,
     "scene_delta_cuts": cut_rows(lambda f: S.split_by_delta(f, HARD)),
     "scene_gradual_cuts": lambda s, d: S.split_gradual(T.frames_planted(s, d, ramp=True), GRADUAL, HALF).filter("cut").select("media_id", "frame_no"),
     "scene_flash_suppressed": cut_rows(lambda f: S.suppress_flash(S.split_by_delta(f, HARD))),
@@ -97,6 +129,12 @@ ORACLES = {
     "scene_method_agreement": _agreement_sql(),
     "scene_gap_sessions": using("frames", sql="""c as (select media_id, frame_no, texture, coalesce(epoch_us(ts) - lag(epoch_us(ts)) over (partition by media_id order by frame_no) > 7200000000, false) as cut from frames),
       n as (select *, sum(cast(cut as bigint)) over (partition by media_id order by frame_no) as clip_no from c) select media_id, cast(clip_no as bigint) as clip_no, count(*) as n, cast(sum(texture) as bigint) as texture from n group by 1, 2"""),
+    "crop_chain": r"""with l as (select doc_id, unnest(string_split(text, chr(10))) as line, generate_subscripts(string_split(text, chr(10)), 1) - 1 as k from documents),
+      b as (select *, min(case when trim(line) <> '' then k end) over (partition by doc_id) as lo, max(case when trim(line) <> '' then k end) over (partition by doc_id) as hi from l),
+      c as (select * from b where k between lo and hi), e as (select *, max(k) over (partition by doc_id) as last_ from c),
+      f as (select * from e where not (regexp_matches(lower(line), 'licen|rights reserved') and (k < 2 or k > last_ - 2))),
+      g as (select *, sum(length(line) - length(regexp_replace(line, '[*$%&#!|]', '', 'g'))) over (partition by doc_id) as signs, sum(length(line)) over (partition by doc_id) as size from f)
+      select doc_id, count(*) as lines, cast(sum(length(line)) as bigint) as chars from g where signs * 100 <= size * 2 group by 1""",
     "crop_dark_border": using("latents88", sql="select item, min(y) filter (abs(val) > 0.15) as y_min, max(y) filter (abs(val) > 0.15) as y_max, min(x) filter (abs(val) > 0.15) as x_min, max(x) filter (abs(val) > 0.15) as x_max from latents88 group by 1"),
     "crop_line_bands": using("text_clips", sql="""l as (select *, max(clip_no) over (partition by doc_id) as last_no from text_clips) select doc_id, count(*) as n, cast(sum(len) as bigint) as chars from l
       where not (regexp_matches(lower(line), 'licen|rights reserved') and (clip_no < 2 or clip_no > last_no - 2)) group by 1"""),

@@ -30,6 +30,17 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.schema(SCHEMAS[name]).parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
+def read_files(spark: SparkSession, path: str, kind: str, schema: str, **options) -> DataFrame:
+    """Files of any of Spark's kinds (parquet, orc, csv, json, text) under an explicit schema, so nothing is read to guess it.
+
+    A broken row of CSV or JSON ends the read; ``mode`` among the options says otherwise.
+    """
+    if kind not in ("parquet", "orc", "csv", "json", "text"):
+        raise ValueError(f"unknown kind of file {kind}")
+    reader = spark.read.options(**({"mode": "FAILFAST"} if kind in ("csv", "json") else {}) | options)
+    return reader.schema(schema).format(kind).load(path)
+
+
 def media_meta(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Container metadata of one media file for each order."""
     o = load(spark, sf_dir, "orders")

@@ -45,13 +45,17 @@ def stream_dedup(src: DataFrame, key: str = "event_id", delay: str = "1 hour") -
     return src.withWatermark("ts", delay).dropDuplicatesWithinWatermark([key])
 
 
-def stream_cuts(src: DataFrame, t: float) -> DataFrame:
+def stream_cuts(src: DataFrame, t: float, delay: str = "1 hour", keep_hours: int = 24 * 30) -> DataFrame:
     """(media_id, event_id, cut): the step from the user's last frame exceeds ``t``; the state is one value per user.
 
     Rows of a user are taken in time order within a batch; batches must come in
-    time order, as files of a replay do.
+    time order, as files of a replay do. A user is forgotten once the watermark is
+    ``keep_hours`` past their last frame, so the state does not grow without end.
     """
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         last = state.get[0] if state.exists else None
         rows = pd.concat(list(batches)).sort_values(["ts", "event_id"])
         cuts = []
@@ -59,9 +63,11 @@ def stream_cuts(src: DataFrame, t: float) -> DataFrame:
             cuts.append(last is not None and abs(v - last) > t)
             last = v
         state.update((float(last),))
+        state.setTimeoutTimestamp(max(int(rows["ts"].max().timestamp() * 1000), state.getCurrentWatermarkMs()) + keep_hours * 3_600_000)
         yield pd.DataFrame({"media_id": key[0], "event_id": rows["event_id"].to_numpy(), "cut": cuts})
 
-    return src.groupBy("user_id").applyInPandasWithState(step, "media_id long, event_id long, cut boolean", "last double", "append", GroupStateTimeout.NoTimeout)
+    timed = src.withWatermark("ts", delay)
+    return timed.groupBy("user_id").applyInPandasWithState(step, "media_id long, event_id long, cut boolean", "last double", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def stream_bucket(media: DataFrame) -> DataFrame:

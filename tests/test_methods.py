@@ -359,3 +359,72 @@ def test_chains_are_one_component(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(500)] + [(1000, 1001)], "a long, b long")
     got = {r["node"]: r["label"] for r in D.components(edges).collect()}
     assert got == {**dict.fromkeys(range(501), 0), 1000: 1000, 1001: 1000}
+
+
+def test_steps_run_where_they_are_placed(spark):
+    seen = {}
+
+    class Frame:
+        class sparkSession:
+            class sparkContext:
+                master = "k8s://cluster"
+
+        def mapInPandas(self, fn, schema, profile=None):
+            seen.update(fn=fn, schema=schema, profile=profile)
+            return self
+
+    step = P.Op("score", batches=lambda it: (p.assign(v=p["v"] * 2, n=len(p)) for p in it), schema="v double, n long", place=P.Placement("accel", 4, 1, 10))
+    P.Pipeline((step,)).run(Frame())
+    assert seen["profile"].taskResources["gpu"].amount == 1 and seen["profile"].executorResources["cores"].amount == 4
+    out = P.Pipeline((step,)).run(spark.createDataFrame([(float(i),) for i in range(100)], "v double"))
+    assert sorted(r["v"] for r in out.collect()) == [2.0 * i for i in range(100)] and max(r["n"] for r in out.collect()) <= 10
+
+
+def test_crops_go_in_their_order(spark):
+    from clipforge.queries import scenes
+
+    for order in itertools.permutations(scenes.CROPS["ops"]):
+        assert [op.name for op in P.build_pipeline({"ops": list(order)}).in_order().ops] == ["split_lines", "blank_border", "caption_bands", "text_limit"]
+    with pytest.raises(ValueError):
+        P.Pipeline((P.Op("a", run=lambda d: d, after=("b",)), P.Op("b", run=lambda d: d, after=("a",)))).in_order()
+    docs = spark.createDataFrame([(1, "\n \nall rights reserved\nbody\nLicence\n\n"), (2, "*** ###\n$$$"), (3, "kept")], "doc_id long, text string")
+    got = P.build_pipeline(scenes.CROPS).in_order().run(docs)
+    assert sorted((r["doc_id"], r["line"]) for r in got.collect()) == [(1, "all rights reserved"), (1, "body"), (3, "kept")]
+
+
+def test_readers_and_sinks(spark, sf, tmp_path):
+    from clipforge.sources import sinks
+
+    df = T.load(spark, sf, "supplier").select("s_suppkey", "s_name", "s_acctbal")
+    schema, want = "s_suppkey bigint, s_name string, s_acctbal double", sorted(map(tuple, df.collect()))
+    for kind in ("parquet", "orc", "csv", "json"):
+        path = str(tmp_path / kind)
+        df.write.format(kind).save(path)
+        assert sorted(map(tuple, T.read_files(spark, path, kind, schema).collect())) == want
+    df.select("s_name").write.text(str(tmp_path / "text"))
+    assert T.read_files(spark, str(tmp_path / "text"), "text", "value string").count() == len(want)
+    with pytest.raises(ValueError):
+        T.read_files(spark, "x", "xml", schema)
+    (tmp_path / "bad.csv").write_text("1,a,not a number\n")
+    with pytest.raises(Exception, match="MALFORMED|FAILFAST|CAST"):
+        T.read_files(spark, str(tmp_path / "bad.csv"), "csv", schema).collect()
+    sinks.write_json_shards(df, str(tmp_path / "shards"), 3)
+    assert len(list((tmp_path / "shards").glob("*.json"))) == 3 and sorted(map(tuple, T.read_files(spark, str(tmp_path / "shards"), "json", schema).collect())) == want
+    try:
+        for name in ("co_a", "co_b"):
+            sinks.write_colocated(df, name, ["s_suppkey"], 4)
+        joined = spark.table("co_a").hint("merge").join(spark.table("co_b").select("s_suppkey"), "s_suppkey")
+        assert joined.count() == len(want) and "Exchange hashpartitioning" not in joined._jdf.queryExecution().executedPlan().toString()
+    finally:
+        for name in ("co_a", "co_b"):
+            spark.sql(f"drop table if exists {name}")
+
+
+def test_approximate_aggregates_are_near(spark, sf):
+    from clipforge.queries import surface
+
+    got = {r["event_type"]: r for r in surface.QUERIES["agg_approx"](spark, sf).collect()}
+    exact = T.load(spark, sf, "events").groupBy("event_type").agg(F.countDistinct("user_id").alias("users"), F.percentile("value", F.lit(0.45)).alias("lo"), F.percentile("value", F.lit(0.55)).alias("hi"))
+    for r in exact.collect():
+        g = got[r["event_type"]]
+        assert abs(g["users"] - r["users"]) <= 0.15 * r["users"] and abs(g["hll_users"] - r["users"]) <= 0.08 * r["users"] and r["lo"] <= g["median"] <= r["hi"]

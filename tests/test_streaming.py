@@ -74,3 +74,33 @@ def test_late_rows_are_dropped(spark, tmp_path):
     out, q = St.run_stream(St.stream_phase(St.with_lateness(St.event_stream(spark, folder)), "1 hour"), "late", "update")
     dropped = sum(int(s["numRowsDroppedByWatermark"]) for p in q.recentProgress for s in p["stateOperators"])
     assert dropped == 1 and out.agg(F.sum("n")).collect()[0][0] == 3
+
+
+@pytest.fixture(scope="module")
+def media_files(spark, sf, tmp_path_factory):
+    folder = str(tmp_path_factory.mktemp("media"))
+    T.media_meta(spark, sf).repartition(3).write.mode("append").parquet(folder)
+    return folder
+
+
+def test_gate_and_buckets_of_a_stream(spark, sf, media_files):
+    batch_ = T.media_meta(spark, sf)
+    stream = lambda: spark.readStream.schema(batch_.schema).option("maxFilesPerTrigger", 1).parquet(media_files)
+    gate, _ = St.run_stream(St.stream_gate(stream()), "gate")
+    assert rows(gate) == rows(St.stream_gate(batch_)) and 0 < gate.count() < batch_.count()
+    pick = lambda df: df.select("media_id", F.col("bucket.id").alias("bucket"))
+    bucket, _ = St.run_stream(pick(St.stream_bucket(stream())), "bucket")
+    key = lambda r: (r[0], -1 if r[1] is None else r[1])
+    assert sorted(map(key, bucket.collect())) == sorted(map(key, pick(St.stream_bucket(batch_)).collect()))
+
+
+def test_silent_users_are_forgotten(spark, tmp_path):
+    folder = str(tmp_path / "silent")
+    for k, (user, hour) in enumerate(((1, 0), (2, 1), (2, 40), (2, 80), (1, 81))):
+        df = spark.range(1).select(F.lit(k).cast("bigint").alias("event_id"), (F.lit("2024-01-01 00:00:00").cast("timestamp") + F.make_dt_interval(hours=F.lit(hour))).cast("timestamp_ntz").alias("ts"), F.lit(user).cast("bigint").alias("user_id"), F.lit("view").alias("event_type"), F.lit(1000.0 * (k + 1)).alias("value"), F.lit("{}").alias("props"))
+        df.coalesce(1).write.mode("append").parquet(folder)
+        time.sleep(1.1)
+    out, _ = St.run_stream(St.stream_cuts(St.event_stream(spark, folder), 10.0, keep_hours=12), "silent")
+    assert [r["cut"] for r in out.orderBy("event_id").collect()] == [False, False, True, True, False]  # the state of user 1 went when the watermark passed it
+    long, _ = St.run_stream(St.stream_cuts(St.event_stream(spark, folder), 10.0, keep_hours=1000), "talkative")
+    assert [r["cut"] for r in long.orderBy("event_id").collect()] == [False, False, True, True, True]
