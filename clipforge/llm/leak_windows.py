@@ -54,7 +54,7 @@ TAIL, RUN, PAD = 16, 24, 64
 EDITS = 0.2
 LEAST, WORDLIKE = 40, 5
 ITEM_BLOCK, BLOCK_BYTES = 20_000, 16 << 20
-BATCH, CELLS = 1 << 20, 1 << 22
+BATCH, CELLS = 1 << 21, 1 << 22
 
 
 def plain(text: str | None) -> bytes:
@@ -312,26 +312,34 @@ class Index:
         """The (item, begin) whose surroundings hold enough of the item's pieces, each at most the allowed edits out of place."""
         keep = np.ones(len(item), bool)
         cuts = np.append(np.flatnonzero(np.diff(item, prepend=-1)), len(item))
-        where = np.full(1 << 16, -1 << 20, np.int32)
+        first, count = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.uint8)
         for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
             text = self.items[int(item[a])][1]
             most = int(EDITS * len(text))
             own = pieces_of(np.frombuffer(text, np.uint8))[::3]  # pieces that do not overlap
             order = np.argsort(own, kind="stable")
-            values, first = np.unique(own[order], return_index=True)
-            nth = np.arange(len(own)) - np.repeat(first, np.diff(np.append(first, len(own))))
+            values, at, n = np.unique(own[order], return_index=True, return_counts=True)
+            if n.max(initial=0) > 255:  # one piece over and over: all are verified
+                continue
+            first[values], count[values] = at, n
             reach = np.arange(-most, len(text) + most - 2, dtype=np.int32)
             for c in range(a, b, 2048):
                 some = np.arange(c, min(b, c + 2048))
                 near = pieces[(begin[some] + self.margin)[:, None] + reach]
+                row, col = np.nonzero(count.take(near))
+                piece = near[row, col]
+                n = count[piece].astype(np.int32)
+                if n.max(initial=1) > 1:  # a piece that the item has more than once may be any of them
+                    nth = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+                    row, col, piece = np.repeat(row, n), np.repeat(col, n), np.repeat(piece, n)
+                    place = order[first[piece] + nth]
+                else:
+                    place = order[first[piece]]
+                right = np.abs(3 * place - reach[col]) <= most
                 met = np.zeros((len(some), len(own)), bool)
-                for n in range(int(nth.max(initial=-1)) + 1):
-                    where[own[order][nth == n]] = 3 * order[nth == n]
-                    place = where[near]
-                    row, at = np.nonzero(np.abs(place - reach) <= most)
-                    met[row, place[row, at] // 3] = True
-                    where[own] = -1 << 20
+                met[row[right], place[right]] = True
                 keep[some] = met.sum(1) >= len(own) - most
+            count[values] = 0
         return item[keep], begin[keep]
 
     def _verify(self, texts: list[bytes], base: np.ndarray, item: np.ndarray, begin: np.ndarray, best: dict) -> None:
