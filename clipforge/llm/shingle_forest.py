@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 
 from clipforge.operators.graph import connected
 
-from .common import give_back, materialize, only_likely, released, table
+from .common import give_back, materialize, only_likely, released, shuffle_parts, table
 
 WORDS, THRESHOLD = 5, 0.8
 TREES, LONGEST, RECALL = 24, 8, 0.999
@@ -264,7 +264,9 @@ def _classes(docs: DataFrame, threshold: float, trees: int, words: int) -> DataF
     dealt = texts.withColumn("pair", F.explode(pairs)).select("node", "comp", "blk", "copies", "text", "pair.i", "pair.j", "blocks")
     # small components share a task, a large one has a task for each pair of blocks
     dealt = dealt.withColumn("pack", F.when(F.col("blocks") == 1, F.pmod(F.xxhash64("comp"), F.lit(packs))).otherwise(F.xxhash64("comp")))
-    checked = dealt.groupBy("pack", "i", "j").applyInPandas(_verify(threshold, words), "node long, links long, root long")
+    # as many tasks as packs: they are long for their bytes, so small ones are not put together
+    tasks = min(100_000, max(shuffle_parts(docs.sparkSession), packs))
+    checked = dealt.repartition(tasks, "pack", "i", "j").groupBy("pack", "i", "j").applyInPandas(_verify(threshold, words), "node long, links long, root long")
     checked = materialize(checked, "forest-links")
     links = checked.groupBy("node").agg(F.sum("links").alias("links"))
     steps = checked.filter("node <> root").select(F.col("node").alias("a"), F.col("root").alias("b"))
