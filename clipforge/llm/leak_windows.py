@@ -123,11 +123,38 @@ def edit_distances(items: list[bytes], texts: list[bytes], most: list[int]) -> t
     for k in range(len(order)):
         if (k + 1 - first) * len(texts[order[k]]) > CELLS or k + 1 == len(order):
             some = order[first:k + 1]
-            best[some], end[some] = _distances([items[x] for x in some], [texts[x] for x in some], best[some] - 1)
+            if len(some) > 12 * (max(len(items[x]) for x in some) // 64 + 1):
+                best[some], end[some] = _distances([items[x] for x in some], [texts[x] for x in some], best[some] - 1)
+            else:  # too few for a step over all of them to pay
+                for x in some:
+                    low, at = _distance(items[x], texts[x])
+                    if low < best[x]:
+                        best[x], end[x] = low, at
             first = k + 1
     return best, end
 
 
+def _distance(item: bytes, text: bytes) -> tuple[int, int]:
+    """One pair, the whole item as the bits of one number."""
+    m = len(item)
+    rows: dict[int, int] = {}
+    for i, c in enumerate(item):
+        rows[c] = rows.get(c, 0) | (1 << i)
+    full, top = (1 << m) - 1, 1 << max(m - 1, 0)
+    up, down, score, best, end = full, 0, m, m, 0
+    for k, c in enumerate(text if m else b""):
+        eq = rows.get(c, 0)
+        cross = eq | down
+        x = (((eq & up) + up) ^ up) | eq
+        plus, minus = down | (full & ~(x | up)), up & x
+        score += bool(plus & top) - bool(minus & top)
+        plus, minus = (plus << 1) & full, (minus << 1) & full
+        up, down = minus | (full & ~(cross | plus)), plus & cross
+        if score < best:
+            best, end = score, k + 1
+    return best, end
+
+
 def _distances(items: list[bytes], texts: list[bytes], most: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     one = np.uint64(1)
     length, reach = np.array([len(i) for i in items]), np.array([len(t) for t in texts])
@@ -323,8 +350,9 @@ class Index:
                 continue
             first[values], count[values] = at, n
             reach = np.arange(-most, len(text) + most - 2, dtype=np.int32)
-            for c in range(a, b, 2048):
-                some = np.arange(c, min(b, c + 2048))
+            room = max(1, CELLS // 8 // len(reach))
+            for c in range(a, b, room):
+                some = np.arange(c, min(b, c + room))
                 near = pieces[(begin[some] + self.margin)[:, None] + reach]
                 row, col = np.nonzero(count.take(near))
                 piece = near[row, col]
@@ -354,11 +382,21 @@ class Index:
                         best[u, i] = (0, at)
                     else:
                         tries.setdefault((u, i), set()).add(at)
-        some = [(u, i, at, self.items[i][1], int(EDITS * len(self.items[i][1]))) for (u, i), places in tries.items() if best.get((u, i), (1, 0))[0] for at in sorted(places)]
-        edits, end = edit_distances([x for *_, x, _ in some], [texts[u][max(0, at - most):at + len(x) + most] for u, _, at, x, most in some], [most for *_, most in some])
-        for (u, i, at, x, most), e, stop in zip(some, edits.tolist(), end.tolist(), strict=True):
-            if e <= most:
-                best[u, i] = min(best.get((u, i), (e, 1 << 62)), (e, max(0, max(0, at - most) + stop - len(x))))
+        windows = []  # places nearer to each other than the edits allowed share one window
+        for (u, i), places in tries.items():
+            if best.get((u, i), (1, 0))[0]:
+                most, first, last = int(EDITS * len(self.items[i][1])), None, 0
+                for at in sorted(places):
+                    if first is not None and at > first + most:
+                        windows.append((u, i, max(0, first - most), last + len(self.items[i][1]) + most))
+                        first = None
+                    first, last = at if first is None else first, at
+                windows.append((u, i, max(0, first - most), last + len(self.items[i][1]) + most))
+        own = [self.items[i][1] for _, i, _, _ in windows]
+        edits, end = edit_distances(own, [texts[u][lo:hi] for u, _, lo, hi in windows], [int(EDITS * len(x)) for x in own])
+        for (u, i, lo, _), x, e, stop in zip(windows, own, edits.tolist(), end.tolist(), strict=True):
+            if e <= int(EDITS * len(x)):
+                best[u, i] = min(best.get((u, i), (e, 1 << 62)), (e, max(0, lo + stop - len(x))))
 
 
 def item_blocks(benchmark: DataFrame):

@@ -476,12 +476,30 @@ def slow_distance(item, text):
     return min(row)
 
 
-def test_edit_distance():
-    rng = random.Random(1)
-    for _ in range(60):
-        a = bytes(rng.choice(b"abc ") for _ in range(rng.randrange(1, 40)))
-        b = bytes(rng.choice(b"abc ") for _ in range(rng.randrange(0, 60)))
-        assert edit_distance(a, b)[0] == slow_distance(a, b)
+@pytest.mark.parametrize("pairs", [8, 400])
+def test_edit_distances(pairs):
+    """Alone (few pairs) and all together (many): the least edits within the bound, else one more than it."""
+    rng = random.Random(pairs)
+    items, texts, most = [], [], []
+    for _ in range(pairs):
+        items.append(bytes(rng.choice(b"ab ") for _ in range(rng.choice([1, 5, 40, 63, 64, 65, 130]))))
+        near = bytearray(items[-1])
+        for _ in range(len(near) // 6):
+            near[rng.randrange(len(near))] = 99
+        texts.append(bytes(rng.choice(b"ab ") for _ in range(rng.randrange(0, 60))) + (bytes(near) if rng.random() < 0.5 else b""))
+        most.append(rng.choice([len(items[-1]), len(items[-1]) // 5]))
+    best, end = leak_windows.edit_distances(items, texts, most)
+    for i, t, m, b, e in zip(items, texts, most, best.tolist(), end.tolist(), strict=True):
+        want = slow_distance(i, t)
+        assert b == min(want, m + 1) and (b > m or b == len(i) or slow_distance(i, t[:e]) == b)
+
+
+def test_long_item(spark):
+    rng = random.Random(6)
+    item = " ".join("".join(rng.choice("abcdefghij") for _ in range(rng.randrange(2, 9))) for _ in range(4000))
+    index = leak_windows.Index([(1, item.encode()), (2, item[:300].encode())])
+    edited = "".join(c if rng.random() > 0.05 else rng.choice("xyz ") for c in item)
+    assert [(t, i) for t, i, *_ in index.scan([f"before {edited} after", item[2000:3000], "nothing at all"])] == [(0, 0), (0, 1)]
 
 
 def test_planted_leaks_are_found(spark, documents, sf):
