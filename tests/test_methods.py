@@ -428,3 +428,12 @@ def test_approximate_aggregates_are_near(spark, sf):
     for r in exact.collect():
         g = got[r["event_type"]]
         assert abs(g["users"] - r["users"]) <= 0.15 * r["users"] and abs(g["hll_users"] - r["users"]) <= 0.08 * r["users"] and r["lo"] <= g["median"] <= r["hi"]
+
+
+def test_table_functions_and_plugged_scorers(spark):
+    from clipforge.functions import udfs
+
+    udfs.register(spark)
+    assert [r["start"] for r in spark.sql("select start from cf_tile_cover(32, 8, 2) order by 1").collect()] == L.tile_starts(32, 8, 2) == [0, 6, 12, 18, 24]
+    twice = udfs.scorer(lambda v: v * 2.0)
+    assert sorted(r["s"] for r in spark.createDataFrame([(float(i),) for i in range(5)], "v double").select(twice("v").alias("s")).collect()) == [0.0, 2.0, 4.0, 6.0, 8.0]
