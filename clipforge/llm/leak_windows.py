@@ -49,7 +49,7 @@ from .common import held, materialize, released, table
 TARGET = 0.95
 # Least length of an item, then walks, steps and sampled places that reach TARGET from that length on. Where steps and
 # places are the same, longer items use the first of the walks that shorter ones need.
-CLASSES = ((40, 16, 36, 9), (80, 6, 32, 11), (120, 3, 32, 11), (170, 2, 32, 11))
+CLASSES = ((40, 16, 36, 9), (80, 6, 32, 12), (120, 3, 32, 12), (170, 2, 32, 12))
 TAIL, RUN, PAD = 16, 24, 64
 EDITS = 0.2
 LEAST, WORDLIKE = 40, 5
