@@ -7,10 +7,13 @@ import re
 import shutil
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
 _LOCAL: list[str] = []
+_SCOPES: list[str] = []
 
 
 def scratch_path(spark: SparkSession, name: str) -> str:
@@ -28,7 +31,25 @@ def scratch_path(spark: SparkSession, name: str) -> str:
             _LOCAL.append(tempfile.mkdtemp(prefix="clipforge-"))
             atexit.register(shutil.rmtree, _LOCAL[0], ignore_errors=True)
         base = _LOCAL[0]
-    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    return "/".join([base.rstrip("/"), *_SCOPES, f"{name}-{uuid.uuid4().hex}"])
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Deletes a table or folder, wherever Spark's file systems reach."""
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+
+
+@contextmanager
+def scratch_scope(spark: SparkSession) -> Iterator[None]:
+    """Intermediate tables made inside go when it ends, so results must have been written elsewhere by then."""
+    folder = scratch_path(spark, "scope")
+    _SCOPES.append(folder.rsplit("/", 1)[1])
+    try:
+        yield
+    finally:
+        _SCOPES.pop()
+        remove(spark, folder)
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
