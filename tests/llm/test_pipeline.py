@@ -86,6 +86,18 @@ def test_codes_hold_what_the_mix_took(stages):
     assert [r["start"] for r in got] == np.concatenate([[0], np.cumsum([r["n_tokens"] for r in got])[:-1]]).tolist()
 
 
+def test_run_leaves_its_last_table_only(spark, stages):
+    import glob
+
+    from clipforge.sources import scratch
+
+    folder = scratch.scratch_path(spark, "x").rsplit("/", 1)[0]
+    before = set(glob.glob(f"{folder}/*"))
+    out = P.run(spark, SF)
+    left = {p.rsplit("/", 1)[1].rsplit("-", 1)[0] for p in set(glob.glob(f"{folder}/*")) - before}
+    assert left == {"pipeline-token_codes"} and ids(out.collect()) == ids(stages[5])
+
+
 def test_columns_with_clashing_names_pass_through(spark, stages):
     from pyspark.sql import functions as F
 
