@@ -45,8 +45,15 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents; each stage's rows are a table in the shared folder."""
-    docs = common.table(spark, sf_dir, "documents")
+    """All stages over documents; each stage's rows are a table in the shared folder, which goes when the next one is written."""
+    docs, last = common.table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
-        docs = common.materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        path = common.scratch_path(spark, f"pipeline-{name}")
+        with common.scratch_scope(spark):
+            out = stage(spark, docs, sf_dir)
+            out.write.parquet(path)
+        docs = spark.read.schema(out.schema).parquet(path)
+        if last:
+            common.remove(spark, last)
+        last = path
     return docs
