@@ -55,13 +55,20 @@ def quantile(df: DataFrame, value: Column, q: float, bins: int = 4096) -> float
     if not n:
         return None
 
-    def at(place: int) -> float:
-        lo, hi, before = least, most, 0
-        while lo < hi:
+    known: dict[tuple, list] = {}
+
+    def histogram(lo: float, hi: float) -> list:
+        if (lo, hi) not in known:
             width = (hi - lo) / bins
             slot = F.least(F.floor((F.col("v") - F.lit(lo)) / F.lit(width)), F.lit(bins - 1)) if width > 0 else F.col("v")
             part = v.filter(F.col("v").between(lo, hi)).groupBy(slot.alias("slot")).agg(F.count("*").alias("n"), F.min("v").alias("lo"), F.max("v").alias("hi")).collect()
-            for r in sorted(part, key=lambda r: r["lo"]):
+            known[lo, hi] = sorted(part, key=lambda r: r["lo"])
+        return known[lo, hi]
+
+    def at(place: int) -> float:
+        lo, hi, before = least, most, 0
+        while lo < hi:
+            for r in histogram(lo, hi):
                 if place < before + r["n"]:
                     lo, hi = r["lo"], r["hi"]
                     break
