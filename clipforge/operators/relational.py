@@ -32,10 +32,14 @@ def interval_join(a: DataFrame, b: DataFrame, key: str, width: int) -> DataFrame
 
 
 def salted_join(big: DataFrame, small: DataFrame, key: str, salts: int = 8) -> DataFrame:
-    """An inner join whose hot keys are dealt over ``salts`` partitions: the small side is repeated."""
+    """An inner join whose hot keys are dealt over ``salts`` partitions: the small side is repeated.
+
+    Both sides are shuffled and merged, for a broadcast would hold every repeat of
+    the small side in the driver, whose size Spark guesses from before the repeats.
+    """
     l = big.withColumn("salt_", F.pmod(F.xxhash64(*[F.col(c) for c in big.columns]), F.lit(salts)))
     r = small.withColumn("salt_", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(salts - 1).cast("bigint"))))
-    return l.join(r, [key, "salt_"]).drop("salt_")
+    return l.join(r.hint("merge"), [key, "salt_"]).drop("salt_")
 
 
 def hash_sample(df: DataFrame, key: Column, permille: int) -> DataFrame:
