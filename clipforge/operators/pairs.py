@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from clipforge.functions.exprs import key_int
-from clipforge.operators.dedup import meet_in_blocks
+from clipforge.operators.dedup import near_in_blocks
 
 
 def single_subject(clips: DataFrame, subjects: Column) -> DataFrame:
@@ -26,10 +26,10 @@ def cross_pairs(clips: DataFrame, video: str, clip: str, sim, t: float) -> DataF
     return l.join(r, video).filter("a < b").withColumn("sim", sim(F.col("fa"), F.col("fb"))).filter(F.col("sim") > t).select(video, "a", "b", "sim")
 
 
-def cross_pairs_in_blocks(clips: DataFrame, group: str, clip: str, sim, t: float) -> DataFrame:
-    """``cross_pairs`` where a group may hold a large part of all clips: it meets block by block."""
+def cross_vectors(clips: DataFrame, group: str, clip: str, t: float) -> DataFrame:
+    """``cross_pairs`` of vectors by their rounded cosine, where a group may hold a large part of all clips: it meets block by block."""
     rows = clips.select(group, F.col(clip).alias("k"), F.col("feature").alias("v"))
-    return meet_in_blocks(rows, [group]).withColumn("sim", sim(F.col("va"), F.col("vb"))).filter(F.col("sim") > t).select(group, "a", "b", "sim")
+    return near_in_blocks(rows, [group], t, cosine=True)
 
 
 def set_jaccard(a: Column, b: Column) -> Column:
