@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from clipforge.functions.exprs import key_int
-from clipforge.operators.dedup import near_in_blocks
+from clipforge.operators.dedup import near_in_blocks, near_sums_in_blocks
 
 
 def single_subject(clips: DataFrame, subjects: Column) -> DataFrame:
@@ -32,6 +32,12 @@ def cross_vectors(clips: DataFrame, group: str, clip: str, t: float) -> DataFram
     return near_in_blocks(rows, [group], t, cosine=True)
 
 
+def cross_vector_sums(clips: DataFrame, group: str, clip: str, t: float) -> DataFrame:
+    """(group, n, total, best) of the pairs of ``cross_vectors``, which themselves stay in their tasks."""
+    rows = clips.select(group, F.col(clip).alias("k"), F.col("feature").alias("v"))
+    return near_sums_in_blocks(rows, [group], t, cosine=True)
+
+
 def set_jaccard(a: Column, b: Column) -> Column:
     common = F.size(F.array_intersect(a, b))
     return F.when(F.size(a) + F.size(b) > 0, common / (F.size(a) + F.size(b) - common)).otherwise(0.0)
